@@ -5,9 +5,11 @@ doc_id.  The plan has four steps and ships each passage to one place only:
 
 1. *Anchors.*  Each window of `min_len` bytes names the smallest-hashed 16-byte gram inside it.
    Equal windows name equal grams, so equal strings meet wherever grams meet.  Runs of windows
-   with one anchor are handled together.  Blocks of documents send their distinct anchors.
-2. *Shared anchors* come back to the blocks that hold them.
-3. *Segments* (a run and the bytes its windows reach) of shared anchors go, once per block and
+   with one anchor are handled together.  Two equal windows also agree on the anchor and all bytes
+   to one of its sides, out to half of what a window has besides the gram.  Blocks of documents
+   send these two longer grams of their runs, as hashes, each once.
+2. *Shared grams* come back to the blocks that hold them.
+3. *Segments* (a run and the bytes its windows reach) with a shared gram go, once per block and
    content, to the anchor's bucket.  There a Burrows-Wheeler transform is built over the
    segments and its intervals are widened breadth first by backward extension: level l settles
    every neighbouring pair that shares exactly l bytes, and the search stops at `min_len`.
@@ -29,12 +31,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SpanHasher, mix64, parts_for, text_bytes
+from .common import SpanHasher, distinct, member, mix64, parts_for, text_bytes
 
 MIN_LEN = 50
 GRAM = 16
 BLOCK_BYTES = 8 << 20
-BATCH_BYTES = 1 << 20
+BATCH_BYTES = 1 << 18
 INDEX_BYTES = 4 << 20
 SEP = 0xFF  # never a byte of UTF-8
 _NO_DOC = np.iinfo(np.int64).max
@@ -53,12 +55,12 @@ def _gram_hashes(data: np.ndarray) -> np.ndarray:
 
 
 def anchor_runs(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, min_len: int):
-    """Runs of windows with one anchor: (first position, number of windows, anchor hash).
+    """Runs of windows with one anchor: (first position, number of windows, anchor hash, its place).
 
     `starts` and `ends` bound the documents in `data`; a window lies within one document.
     """
     n = len(data)
-    none = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint64)
+    none = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64)
     if n < min_len:
         return none
     grams = _gram_hashes(data)
@@ -85,7 +87,40 @@ def anchor_runs(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, min_len:
         return none
     edges = np.append(np.flatnonzero(change | ~valid), m)
     until = edges[np.searchsorted(edges, first, side="right")]
-    return first, until - first, grams[where[first]]
+    return first, until - first, grams[where[first]], where[first]
+
+
+def side_grams(hasher: SpanHasher, place: np.ndarray, low: np.ndarray, high: np.ndarray, min_len: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the anchor with the bytes before, and after, it; 0 where the document ends sooner.
+
+    A window that starts o bytes before the anchor's gram has min_len - GRAM - o bytes after it.
+    """
+    room = min_len - GRAM
+    before, after = (room + 1) // 2, room - (room + 1) // 2 + 1
+    out = []
+    for start, end in ((place - before, place + GRAM), (place, place + GRAM + after)):
+        fits = (start >= low) & (end <= high)
+        h = np.zeros(len(place), dtype=np.uint64)
+        h[fits] = np.maximum(hasher(start[fits], end[fits]), np.uint64(4))
+        out.append(h)
+    out[1] ^= np.uint64(2) * (out[1] > 0)  # the two sides are different names
+    return out[0], out[1]
+
+
+def _packed(hashes: np.ndarray) -> bytes:
+    """Upper 40 bits of each hash; the bucket's number holds lower ones."""
+    return np.ascontiguousarray((hashes >> np.uint64(24)).view(np.uint8).reshape(-1, 8)[:, :5]).tobytes()
+
+
+def _unpacked(data: bytes) -> np.ndarray:
+    wide = np.zeros((len(data) // 5, 8), dtype=np.uint8)
+    wide[:, :5] = np.frombuffer(data, dtype=np.uint8).reshape(-1, 5)
+    return wide.view(np.uint64).ravel()
+
+
+def _names(hashes: np.ndarray, buckets: int) -> np.ndarray:
+    """What a bucket can tell of a hash: its upper 40 bits and the bucket."""
+    return (hashes >> np.uint64(24)) * np.uint64(buckets) + hashes % np.uint64(buckets)
 
 
 def _batches(ids: list, texts: list):
@@ -123,63 +158,78 @@ def _block_anchors(buckets: int, min_len: int):
     def run(table: pa.Table) -> pa.Table:
         block, found = table.column("block")[0].as_py(), []
         for _, _, data, starts, ends in _batches(*_documents(table)):
-            found.append(np.unique(anchor_runs(data, starts, ends, min_len)[2]))
-        every = np.unique(np.concatenate(found)) if found else np.zeros(0, np.uint64)
-        rows = [(b, block, every[i].tobytes()) for b, i in _split(every, buckets)]
+            first, _, _, place = anchor_runs(data, starts, ends, min_len)
+            if len(first):
+                owner = np.searchsorted(ends, first, side="right")
+                found.append(distinct(np.concatenate(side_grams(SpanHasher(data), place, starts[owner], ends[owner], min_len))))
+        every = distinct(np.concatenate(found)) if found else np.zeros(0, np.uint64)
+        every = every[every > 0]
+        rows = [(b, block, _packed(every[i])) for b, i in _split(every, buckets)]
         return pa.table({"bucket": pa.array([r[0] for r in rows], pa.int64()), "block": pa.array([r[1] for r in rows], pa.int64()), "anchors": pa.array([r[2] for r in rows], pa.binary())})
 
     return run
 
 
-def _shared_anchors(table: pa.Table) -> pa.Table:
-    """Anchors that at least two blocks hold, for each of these blocks."""
-    blocks = table.column("block").to_pylist()
-    lists = [np.frombuffer(x, dtype=np.uint64) for x in table.column("anchors").to_pylist()]
-    every = np.sort(np.concatenate(lists))
-    twice = np.unique(every[1:][every[1:] == every[:-1]])
-    out_block, out = [], []
-    for block, own in zip(blocks, lists, strict=True):
-        hit = own[np.isin(own, twice, assume_unique=True)]
-        if len(hit):
-            out_block.append(block)
-            out.append(hit.tobytes())
-    return pa.table({"block": pa.array(out_block, pa.int64()), "anchors": pa.array(out, pa.binary())})
+def _shared_anchors(buckets: int):
+    def run(table: pa.Table) -> pa.Table:
+        """Grams that at least two blocks hold, for each of these blocks."""
+        blocks = table.column("block").to_pylist()
+        bucket = np.uint64(table.column("bucket")[0].as_py())
+        lists = [distinct(_unpacked(x)) for x in table.column("anchors").to_pylist()]
+        every = np.sort(np.concatenate(lists))
+        twice = distinct(every[1:][every[1:] == every[:-1]])
+        out_block, out = [], []
+        for block, own in zip(blocks, lists, strict=True):
+            hit = own[member(own, twice)]
+            if len(hit):
+                out_block.append(block)
+                out.append((hit * np.uint64(buckets) + bucket).tobytes())
+        return pa.table({"block": pa.array(out_block, pa.int64()), "anchors": pa.array(out, pa.binary())})
+
+    return run
 
 
 def _block_runs(table: pa.Table, min_len: int):
     """All runs of a block, batch by batch, with fingerprints of their segments."""
     for chosen, ids, data, starts, ends in _batches(*_documents(table)):
-        first, windows, anchor = anchor_runs(data, starts, ends, min_len)
-        if len(first):
-            print_ = SpanHasher(data)(first, first + windows + (min_len - 1))
-            print_ ^= anchor
-        else:
-            print_ = anchor
+        first, windows, anchor, place = anchor_runs(data, starts, ends, min_len)
+        if not len(first):
+            continue
+        hasher = SpanHasher(data)
+        print_ = hasher(first, first + windows + (min_len - 1)) ^ anchor
         owner = np.searchsorted(ends, first, side="right")
-        yield chosen, ids, data, starts, ends, first, windows, anchor, print_, owner
+        yield chosen, ids, data, starts, ends, first, windows, anchor, print_, owner, place, hasher
 
 
 def _block_segments(buckets: int, min_len: int):
     def run(docs: pa.Table, shared: pa.Table) -> pa.Table:
         cols: dict[str, list] = {k: [] for k in ("bucket", "block", "prints", "anchors", "docs", "windows", "bytes")}
         names = [np.frombuffer(x, dtype=np.uint64) for x in shared.column("anchors").to_pylist()]
-        known = np.unique(np.concatenate(names)) if names else np.zeros(0, np.uint64)
+        known = distinct(np.concatenate(names)) if names else np.zeros(0, np.uint64)
         if docs.num_rows:
             block = docs.column("block")[0].as_py()
-            # anchors of two documents of this very block count too
+
+            def sides(starts, ends, owner, place, hasher):
+                return side_grams(hasher, place, starts[owner], ends[owner], min_len)
+
+            # grams of two documents of this very block count too
             own = []
-            for _, ids, *_, anchor, _, owner in _block_runs(docs, min_len):
-                own.append((anchor, ids[owner]))
+            for _, own_ids, _, starts, ends, _, _, _, _, owner, place, hasher in _block_runs(docs, min_len):
+                for side in sides(starts, ends, owner, place, hasher):
+                    own.append((side, own_ids[owner]))
             if own:
-                anchor, ids = np.concatenate([x[0] for x in own]), np.concatenate([x[1] for x in own])
-                order = np.argsort(anchor, kind="stable")
-                anchor, ids = anchor[order], ids[order]
-                differ = (anchor[1:] == anchor[:-1]) & (ids[1:] != ids[:-1])
-                known = np.union1d(known, anchor[1:][differ])
+                gram, ids = np.concatenate([x[0] for x in own]), np.concatenate([x[1] for x in own])
+                order = np.argsort(gram, kind="stable")
+                gram, ids = gram[order], ids[order]
+                differ = (gram[1:] == gram[:-1]) & (ids[1:] != ids[:-1]) & (gram[1:] > 0)
+                known = distinct(np.concatenate([known, _names(gram[1:][differ], buckets)]))
             seen: set[int] = set()
             parts: list[tuple] = []
-            for _, ids, data, _, _, first, windows, anchor, print_, owner in _block_runs(docs, min_len):
-                keep = np.flatnonzero(np.isin(anchor, known))
+            for _, ids, data, starts, ends, first, windows, anchor, print_, owner, place, hasher in _block_runs(docs, min_len):
+                wanted = np.zeros(len(first), dtype=bool)
+                for side in sides(starts, ends, owner, place, hasher):
+                    wanted |= member(_names(side, buckets), known) & (side > 0)
+                keep = np.flatnonzero(wanted)
                 raw = data.tobytes()
                 for i, p in zip(keep.tolist(), print_[keep].tolist(), strict=True):
                     if p not in seen:  # documents come by id, so the first owner is the least
@@ -290,9 +340,14 @@ def _bucket_minima(min_len: int):
         blobs = table.column("bytes").to_pylist()
         starts = [np.cumsum(w.astype(np.int64) + tail) - (w + tail) for w in windows]
         every = np.concatenate(prints)
-        distinct, index, back = np.unique(every, return_index=True, return_inverse=True)
+        order = np.argsort(every, kind="stable")
+        head = np.ones(len(every), dtype=bool)
+        head[1:] = every[order[1:]] != every[order[:-1]]
+        index = order[head]
+        back = np.empty(len(every), dtype=np.int64)
+        back[order] = np.cumsum(head) - 1
         source = np.repeat(np.arange(len(blobs)), [len(p) for p in prints])[index]
-        least = np.full(len(distinct), _NO_DOC, dtype=np.int64)
+        least = np.full(len(index), _NO_DOC, dtype=np.int64)
         np.minimum.at(least, back, np.concatenate(owners))
         start, width, anchor = (np.concatenate(x)[index] for x in (starts, [w.astype(np.int64) for w in windows], anchors))
         by_anchor = np.argsort(anchor, kind="stable")
@@ -306,8 +361,8 @@ def _bucket_minima(min_len: int):
                 cuts.append(at)
                 filled = 0
             filled, at = filled + size, stop
-        counts = np.zeros(len(distinct), dtype=np.int64)
-        offsets = np.zeros(len(distinct), dtype=np.int64)
+        counts = np.zeros(len(index), dtype=np.int64)
+        offsets = np.zeros(len(index), dtype=np.int64)
         pieces: list[tuple] = []
         done = 0
         for chunk in np.split(by_anchor, cuts):
@@ -355,7 +410,7 @@ def _block_spans(min_len: int):
             offset = np.cumsum(counts) - counts
             order = np.argsort(prints)
             ordered = prints[order]
-            for chosen, own, data, starts, ends, first, _, _, print_, owner in _block_runs(docs, min_len):
+            for chosen, own, data, starts, ends, first, _, _, print_, owner, _, _ in _block_runs(docs, min_len):
                 slot = np.minimum(np.searchsorted(ordered, print_), len(ordered) - 1)
                 hit = np.flatnonzero(ordered[slot] == print_)
                 entry = order[slot[hit]]
@@ -387,7 +442,7 @@ def remove_repeats(docs: DataFrame, min_len: int = MIN_LEN, block_bytes: int = B
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.encode("text", "UTF-8").alias("body"))
     own = own.select("doc_id", "body", F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).alias("block"))
     by_block = own.groupBy("block")
-    shared = by_block.applyInArrow(_block_anchors(blocks, min_len), "bucket long, block long, anchors binary").groupBy("bucket").applyInArrow(_shared_anchors, "block long, anchors binary")
+    shared = by_block.applyInArrow(_block_anchors(blocks, min_len), "bucket long, block long, anchors binary").groupBy("bucket").applyInArrow(_shared_anchors(blocks), "block long, anchors binary")
     segments = by_block.cogroup(shared.groupBy("block")).applyInArrow(_block_segments(blocks, min_len), "bucket long, block long, prints binary, anchors binary, docs binary, windows binary, bytes binary")
     minima = segments.groupBy("bucket").applyInArrow(_bucket_minima(min_len), "block long, prints binary, counts binary, at binary, lengths binary, least binary")
     return by_block.cogroup(minima.groupBy("block")).applyInArrow(_block_spans(min_len), "doc_id long, n_bytes long, spans array<struct<start:long,end:long>>, kept binary")
