@@ -28,6 +28,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -37,7 +38,7 @@ MIN_LEN = 50
 GRAM = 16
 BLOCK_BYTES = 8 << 20
 BATCH_BYTES = 1 << 18
-INDEX_BYTES = 4 << 20
+INDEX_BYTES = 1 << 18
 SEP = 0xFF  # never a byte of UTF-8
 _NO_DOC = np.iinfo(np.int64).max
 
@@ -246,7 +247,7 @@ def _block_segments(buckets: int, min_len: int):
                     cols["anchors"].append(anchors[part].tobytes())
                     cols["docs"].append(np.array([r[2] for r in rows], dtype=np.int64).tobytes())
                     cols["windows"].append(np.array([r[3] for r in rows], dtype=np.uint16).tobytes())
-                    cols["bytes"].append(b"".join([r[4] for r in rows]))
+                    cols["bytes"].append(zstandard.ZstdCompressor(level=1).compress(b"".join([r[4] for r in rows])))
         return pa.table({k: pa.array(v, pa.int64() if k in ("bucket", "block") else pa.binary()) for k, v in cols.items()})
 
     return run
@@ -337,7 +338,7 @@ def _bucket_minima(min_len: int):
     def run(table: pa.Table) -> pa.Table:
         bin_ = lambda name, kind: [np.frombuffer(x, dtype=kind) for x in table.column(name).to_pylist()]
         prints, anchors, owners, windows = bin_("prints", np.uint64), bin_("anchors", np.uint64), bin_("docs", np.int64), bin_("windows", np.uint16)
-        blobs = table.column("bytes").to_pylist()
+        blobs = [zstandard.ZstdDecompressor().decompress(x) for x in table.column("bytes").to_pylist()]
         starts = [np.cumsum(w.astype(np.int64) + tail) - (w + tail) for w in windows]
         every = np.concatenate(prints)
         order = np.argsort(every, kind="stable")
@@ -366,7 +367,7 @@ def _bucket_minima(min_len: int):
         pieces: list[tuple] = []
         done = 0
         for chunk in np.split(by_anchor, cuts):
-            text = np.frombuffer(b"".join([bytes(blobs[s][a : a + w + tail]) + b"\xff" for s, a, w in zip(source[chunk].tolist(), start[chunk].tolist(), width[chunk].tolist(), strict=True)]), dtype=np.uint8)
+            text = np.frombuffer(b"".join([blobs[s][a : a + w + tail] + b"\xff" for s, a, w in zip(source[chunk].tolist(), start[chunk].tolist(), width[chunk].tolist(), strict=True)]), dtype=np.uint8)
             lens = width[chunk] + tail + 1
             begin = np.cumsum(lens) - lens
             minima = repeat_minima(text, np.repeat(least[chunk], lens), min_len)
