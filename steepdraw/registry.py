@@ -6,11 +6,12 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .operators import relational
 from .plans import theory
 
 
 def _all() -> dict[str, tuple]:
-    return theory.queries()
+    return theory.queries() | relational.queries()
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
