@@ -9,11 +9,14 @@ its two bags (sum of minima over sum of maxima) is at least `threshold`.  Docume
 shingle are one shingle of all their words; documents without words link to nothing.
 
 No bucket is expanded into pairs.  Texts with the same words are one class from the start.  In
-each bucket all members are compared with one centre, then with further centres among those that
-still stand apart from the classes of the centres so far, until nobody stands apart.  A pair is
-therefore tested unless both were already tied to different centres that are not linked.  Links
-are verified by joining both bags to the pair, so a hot centre is one row on one side of a join.
-Classes are connected components, found by repeated minimum over neighbours and pointer jumping;
+each bucket all members are compared with one centre, the member that meets most others over all
+buckets, then with further centres among those that still stand apart from the classes of the
+centres so far, until nobody stands apart.  One minus the similarity is a metric, so a later
+centre skips, without loss, the members whose distance to the bucket's first centre differs from
+its own by more than a link's distance.  A pair is therefore settled unless both were
+already tied to different centres that are not linked.  Links are verified by joining both bags
+to the pair, so a hot centre is one row on one side of a join.  Classes are connected components,
+found by repeated minimum over neighbours and pointer jumping and merged from round to round;
 neither links nor labels ever reach the driver.
 
 Texts and shingles are named by hashes (64 bits for texts, 32 for shingles within a bag).  Null
@@ -171,18 +174,15 @@ def bag_similarity(a: tuple[bytes, bytes, bytes], b: tuple[bytes, bytes, bytes])
     return low / (int(u.sum()) + int(v.sum()) - low)
 
 
-def _verify(threshold: float):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            bags = [b.column(i).to_pylist() for i in range(2, 8)]
-            ok = [bag_similarity(x[:3], x[3:]) >= threshold for x in zip(*bags, strict=True)]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(ok, pa.bool_())], names=["a", "b", "ok"])
-
-    return run
+def _similarities(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        bags = [b.column(i).to_pylist() for i in range(2, 8)]
+        sim = [bag_similarity(x[:3], x[3:]) for x in zip(*bags, strict=True)]
+        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(sim, pa.float64())], names=["a", "b", "sim"])
 
 
-def components(nodes: DataFrame, links: DataFrame) -> DataFrame:
-    """node and its component's least node; links (a, b) in either direction."""
+def components(links: DataFrame) -> DataFrame:
+    """node and label (the component's least node) of every node in links (a, b)."""
     both = materialise(links.select("a", "b").union(links.select(F.col("b"), F.col("a"))).distinct(), "links")
     label = materialise(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("label")), "labels")
     while True:
@@ -193,8 +193,17 @@ def components(nodes: DataFrame, links: DataFrame) -> DataFrame:
         changed = new.where("label <> old").limit(1).count()
         label = new.select("node", "label")
         if not changed:
-            break
-    return nodes.select("node").join(label, "node", "left").select("node", F.coalesce("label", "node").alias("label"))
+            return label
+
+
+def _merge(label: DataFrame, links: DataFrame) -> DataFrame:
+    """Labels after further links: the links join labels, whose components relabel the nodes."""
+    ends = links.join(label.withColumnsRenamed({"node": "a", "label": "la"}), "a").join(label.withColumnsRenamed({"node": "b", "label": "lb"}), "b")
+    joined = materialise(ends.where("la <> lb").select(F.col("la").alias("a"), F.col("lb").alias("b")).distinct(), "merged")
+    if joined.limit(1).count() == 0:
+        return label
+    to = components(joined).select(F.col("label").alias("to"), F.col("node").alias("label"))
+    return materialise(label.join(to, "label", "left").select("node", F.coalesce("to", "label").alias("label")), "classes")
 
 
 def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
@@ -209,41 +218,48 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
     # copies of one content are one node, reduced map side; the node's text is read at one id
     nodes = signed.where("weight > 0").groupBy("node").agg(F.min("doc_id").alias("lead"), F.first("weight").alias("weight"), F.first("bands").alias("bands"))
     member = nodes.select("node", "lead", "weight", F.explode("bands").alias("band"))
-    shared = member.groupBy("band").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("band")
+    shared = member.groupBy("band").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     member = materialise(member.join(shared, "band"), "members")
     wanted = materialise(member.select("node", "lead").distinct(), "wanted")
     leads = wanted.select(F.col("lead").alias("lead_id")).distinct()
     texts = own.join(leads, F.col("doc_id").eqNullSafe(F.col("lead_id"))).select("text")
     bags = materialise(texts.mapInArrow(_bags, "node long, names binary, places binary, sizes binary").dropDuplicates(["node"]), "bags")
-    member = member.select("node", "weight", "band")
+    met = member.groupBy("node").agg(F.sum("n").alias("met"))
+    member = materialise(member.join(met, "node").select("node", "weight", "band", "met", F.lit(None).cast("double").alias("pivot")), "members")
     left = bags.withColumnsRenamed({"node": "a", "names": "n1", "places": "p1", "sizes": "s1"})
     right = bags.withColumnsRenamed({"node": "b", "names": "n2", "places": "p2", "sizes": "s2"})
-    links = tried = label = None
-    apart, turn = member, 0
+    label = wanted.select("node", F.col("node").alias("label"))
+    tried, apart, turn = None, member, 0
     while True:
         # one centre a bucket at first, then several at once among those that stand apart
         part = F.pmod(F.xxhash64("node", F.lit(turn)), F.lit(1 if turn == 0 else CENTRES))
-        centre = apart.groupBy("band", part.alias("part")).agg(F.min(F.struct("node", "weight")).alias("c")).select("band", F.col("c.node").alias("centre"), F.col("c.weight").alias("centre_weight"))
+        best = F.max(F.struct("met", "node", "weight", "pivot")).alias("c")
+        centre = apart.groupBy("band", part.alias("part")).agg(best).select("band", F.col("c.node").alias("centre"), F.col("c.weight").alias("centre_weight"), F.col("c.pivot").alias("centre_pivot"))
         centre = materialise(centre, "centres")
         fits = F.least("weight", "centre_weight") >= F.lit(threshold) * F.greatest("weight", "centre_weight")
-        pairs = member.join(centre, "band").where((F.col("node") != F.col("centre")) & fits).select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
+        near = F.coalesce(F.abs(F.col("pivot") - F.col("centre_pivot")) <= 1.0 - threshold + 1e-9, F.lit(True))
+        pairs = member.join(centre, "band").where((F.col("node") != F.col("centre")) & fits & near).select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = materialise(pairs, "pairs")
-        found = pairs.join(left, "a").join(right, "b").select("a", "b", "n1", "p1", "s1", "n2", "p2", "s2").mapInArrow(_verify(threshold), "a long, b long, ok boolean")
+        found = pairs.join(left, "a").join(right, "b").select("a", "b", "n1", "p1", "s1", "n2", "p2", "s2").mapInArrow(_similarities, "a long, b long, sim double")
         found = materialise(found, "verified")
-        good = found.where("ok").select("a", "b")
-        links = good if links is None else links.union(good)
+        label = _merge(label, found.where(F.col("sim") >= threshold))
         tried = pairs if tried is None else tried.union(pairs)
-        label = components(wanted, links)
+        if turn == 0:  # similarity of each member to its bucket's first centre
+            first = member.drop("pivot").join(centre.select("band", "centre"), "band").withColumns({"a": F.least("node", "centre"), "b": F.greatest("node", "centre")})
+            own = F.when(F.col("node") == F.col("centre"), 1.0).otherwise(F.col("sim"))
+            member = materialise(first.join(found, ["a", "b"], "left").select("node", "weight", "band", "met", own.alias("pivot")), "members")
+            apart = member
         # a bucket is settled when all its members are in the classes of its centres
-        with_class = apart.join(label, "node")
         reached = centre.join(label.withColumnsRenamed({"node": "centre", "label": "reached"}), "centre").select(F.col("band").alias("band_"), "reached").distinct()
-        rest = with_class.join(reached, (F.col("band") == F.col("band_")) & (F.col("label") == F.col("reached")), "left_anti").select("node", "weight", "band")
+        rest = apart.join(label, "node").join(reached, (F.col("band") == F.col("band_")) & (F.col("label") == F.col("reached")), "left_anti").select("node", "weight", "band", "met", "pivot")
         apart = materialise(rest, "apart")
         if apart.limit(1).count() == 0:
             break
         turn += 1
+        member = member.join(apart.select("band").distinct(), "band", "left_semi")
+        member = materialise(member, "members")
     named_class = node_of.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
     sizes = named_class.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("class_size"))
     return named_class.join(sizes, "label").select("doc_id", "node", "class_id", "class_size")
