@@ -18,14 +18,13 @@ from __future__ import annotations
 import json
 import unicodedata
 from collections.abc import Iterator
-from functools import lru_cache
 
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-CACHE_ENTRIES = 120_000
+CACHE_ENTRIES = 150_000
 #: Unicode's White_Space property, as the pattern's \s means it.
 WHITE_SPACE = "".join(map(chr, (*range(0x09, 0x0E), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
 _SPLIT = regex.compile(f"[{WHITE_SPACE}]+")
@@ -45,6 +44,40 @@ def byte_symbols() -> list[str]:
     return [table[b] for b in range(256)]
 
 
+Piece = tuple[int, str, str]
+
+
+def _joined(parts: list[Piece]) -> Piece:
+    if len(parts) == 1:
+        return parts[0]
+    parts = [p for p in parts if p[0]]
+    return sum([p[0] for p in parts]), " ".join([p[1] for p in parts]), " ".join([p[2] for p in parts])
+
+
+class Recent:
+    """Table of at most twice `size` entries: the older half goes when the younger is full."""
+
+    def __init__(self, size: int, longest: int = 48) -> None:
+        self.size, self.longest = size, longest
+        self.young: dict[str, Piece] = {}
+        self.old: dict[str, Piece] = {}
+
+    def get(self, key: str) -> Piece | None:
+        got = self.young.get(key)
+        if got is None:
+            got = self.old.get(key)
+            if got is not None:
+                self.put(key, got)
+        return got
+
+    def put(self, key: str, value: Piece) -> Piece:
+        if len(key) <= self.longest:
+            if len(self.young) >= self.size:
+                self.young, self.old = {}, self.young
+            self.young[key] = value
+        return value
+
+
 class Codec:
     """Encoder and decoder of one tokenizer file."""
 
@@ -64,7 +97,7 @@ class Codec:
         self.apart = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         self.symbols = byte_symbols()
         self.inside = self._pairs_inside()
-        self._pieces: dict[str, tuple[int, str, str]] = {}
+        self._chunks, self._words, self._parts = Recent(CACHE_ENTRIES), Recent(CACHE_ENTRIES), Recent(CACHE_ENTRIES // 2)
 
     @staticmethod
     def _check(spec: dict, model: dict) -> None:
@@ -100,27 +133,40 @@ class Codec:
         return out
 
     def merge(self, own: list[str]) -> list[int]:
-        """Ids of one fragment: the best-ranked pair is joined until none is left."""
-        while len(own) > 1:
-            best = min(zip(own, own[1:], strict=False), key=lambda p: self.ranks.get(p, 1 << 60))
-            if best not in self.ranks:
+        """Ids of one fragment: the best-ranked pair, leftmost first, is joined until none is left."""
+        rank, none = self.ranks.get, 1 << 60
+        scores = [rank(p, none) for p in zip(own, own[1:], strict=False)]
+        while scores:
+            best = min(scores)
+            if best == none:
                 break
-            joined, i, n = [], 0, len(own)
-            while i < n:
-                if i + 1 < n and own[i] == best[0] and own[i + 1] == best[1]:
-                    joined.append(own[i] + own[i + 1])
-                    i += 2
-                else:
-                    joined.append(own[i])
-                    i += 1
-            own = joined
+            i = scores.index(best)
+            own[i : i + 2] = [own[i] + own[i + 1]]
+            del scores[i]
+            if i:
+                scores[i - 1] = rank((own[i - 1], own[i]), none)
+            if i < len(scores):
+                scores[i] = rank((own[i], own[i + 1]), none)
         return [self.vocab[s] for s in own if s in self.vocab]
 
-    @lru_cache(maxsize=CACHE_ENTRIES)  # noqa: B019  one codec per process
-    def word(self, word: str) -> tuple[int, ...]:
-        """Ids of one pre-token (normalised text)."""
-        spelled = "".join(map(self.symbols.__getitem__, word.encode("utf-8")))
-        return tuple(i for f in self.fragments(spelled) for i in self.merge(f))
+    def _fragment(self, own: list[str]) -> Piece:
+        ids = self.merge(own)
+        return len(ids), " ".join(map(str, ids)), self.decode(ids)
+
+    def _word(self, word: str) -> Piece:
+        """A pre-token (normalised text): its fragments, joined."""
+        got = self._words.get(word)
+        if got is None:
+            spelled = "".join(map(self.symbols.__getitem__, word.encode("utf-8")))
+            parts = []
+            for own in self.fragments(spelled):
+                name = "".join(own)
+                part = self._parts.get(name)
+                if part is None:
+                    part = self._parts.put(name, self._fragment(own))
+                parts.append(part)
+            got = self._words.put(word, _joined(parts))
+        return got
 
     def normal(self, text: str) -> str:
         if not text.isascii():
@@ -128,16 +174,13 @@ class Codec:
             return "".join([c.lower() for c in text]) if "Σ" in text else text.lower()  # no final-sigma rule
         return text.lower()
 
-    def _piece(self, chunk: str) -> tuple[int, str, str]:
-        if len(self._pieces) >= CACHE_ENTRIES:
-            self._pieces.clear()
-        ids = [i for w in self.pattern.findall(self.normal(chunk)) for i in self.word(w)]
-        got = (len(ids), " ".join(map(str, ids)), self.decode(ids))
-        if len(chunk) <= 64:
-            self._pieces[chunk] = got
+    def _piece(self, chunk: str) -> Piece:
+        got = self._chunks.get(chunk)
+        if got is None:
+            got = self._chunks.put(chunk, _joined([self._word(w) for w in self.pattern.findall(self.normal(chunk))]))
         return got
 
-    def pieces(self, text: str) -> list[tuple[int, str, str]]:
+    def pieces(self, text: str) -> list[Piece]:
         """(number of ids, ids, decoded text) of each stretch without white space."""
         if self.apart is not None and any(s in text for s in self.special):
             out = []
@@ -148,10 +191,9 @@ class Codec:
                     out.extend(self.pieces(part))
             return out
         chunks = _SPLIT.split(text) if _ODD_SPACE.search(text) else text.split()
-        known = self._pieces
-        out = list(map(known.get, chunks))
+        out = list(map(self._chunks.young.get, chunks))
         if None in out:
-            out = [p if p is not None else (known.get(c) or self._piece(c)) for p, c in zip(out, chunks, strict=True)]
+            out = [self._piece(c) if p is None else p for p, c in zip(out, chunks, strict=True)]
         return [p for p in out if p[0]]
 
     def encode(self, text: str | None) -> list[int]:
