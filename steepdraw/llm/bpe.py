@@ -18,6 +18,7 @@ from __future__ import annotations
 import json
 import unicodedata
 from collections.abc import Iterator
+from operator import itemgetter
 
 import pyarrow as pa
 import regex
@@ -45,13 +46,14 @@ def byte_symbols() -> list[str]:
 
 
 Piece = tuple[int, str, str]
+_COUNT, _IDS, _NAMES = itemgetter(0), itemgetter(1), itemgetter(2)
 
 
 def _joined(parts: list[Piece]) -> Piece:
     if len(parts) == 1:
         return parts[0]
     parts = [p for p in parts if p[0]]
-    return sum([p[0] for p in parts]), " ".join([p[1] for p in parts]), " ".join([p[2] for p in parts])
+    return sum(map(_COUNT, parts)), " ".join(map(_IDS, parts)), " ".join(map(_NAMES, parts))
 
 
 class Recent:
@@ -124,16 +126,14 @@ class Codec:
     def fragments(self, word: str) -> list[list[str]]:
         """Symbols of a byte-level word, split at every certain cut."""
         own = self.spell(word + self.suffix)
-        out = [[own[0]]]
-        for a, b in zip(own, own[1:], strict=False):
-            if (a, b) in self.inside:
-                out[-1].append(b)
-            else:
-                out.append([b])
-        return out
-
-    def merge(self, own: list[str]) -> list[int]:
-        """Ids of one fragment: the best-ranked pair, leftmost first, is joined until none is left."""
+        inside = self.inside
+        cuts = [i for i, p in enumerate(zip(own, own[1:], strict=False), 1) if p not in inside]
+        if not cuts:
+            return [own]
+        return [own[i:j] for i, j in zip([0, *cuts], [*cuts, len(own)], strict=True)]
+
+    def merge(self, own: list[str]) -> list[str]:
+        """Tokens of one fragment: the best-ranked pair, leftmost first, is joined until none is left."""
         rank, none = self.ranks.get, 1 << 60
         scores = [rank(p, none) for p in zip(own, own[1:], strict=False)]
         while scores:
@@ -147,11 +147,11 @@ class Codec:
                 scores[i - 1] = rank((own[i - 1], own[i]), none)
             if i < len(scores):
                 scores[i] = rank((own[i], own[i + 1]), none)
-        return [self.vocab[s] for s in own if s in self.vocab]
+        return own
 
     def _fragment(self, own: list[str]) -> Piece:
-        ids = self.merge(own)
-        return len(ids), " ".join(map(str, ids)), self.decode(ids)
+        tokens = [t for t in self.merge(own) if t in self.vocab]  # others have no id, as in the library
+        return len(tokens), " ".join([str(self.vocab[t]) for t in tokens]), " ".join(tokens)
 
     def _word(self, word: str) -> Piece:
         """A pre-token (normalised text): its fragments, joined."""
@@ -175,8 +175,10 @@ class Codec:
         return text.lower()
 
     def _piece(self, chunk: str) -> Piece:
-        got = self._chunks.get(chunk)
-        if got is None:
+        got = self._chunks.old.get(chunk)
+        if got is not None:
+            self._chunks.put(chunk, got)
+        else:
             got = self._chunks.put(chunk, _joined([self._word(w) for w in self.pattern.findall(self.normal(chunk))]))
         return got
 
@@ -190,11 +192,12 @@ class Codec:
                 elif part:
                     out.extend(self.pieces(part))
             return out
-        chunks = _SPLIT.split(text) if _ODD_SPACE.search(text) else text.split()
+        odd = _ODD_SPACE.search(text) is not None
+        chunks = _SPLIT.split(text) if odd else text.split()
         out = list(map(self._chunks.young.get, chunks))
         if None in out:
             out = [self._piece(c) if p is None else p for p, c in zip(out, chunks, strict=True)]
-        return [p for p in out if p[0]]
+        return [p for p in out if p[0]] if odd else out
 
     def encode(self, text: str | None) -> list[int]:
         return [int(i) for _, ids, _ in self.pieces(text or "") for i in ids.split(" ")]
@@ -222,9 +225,9 @@ def encode_decode(docs: DataFrame, path: str, column: str = "text") -> DataFrame
             n, ids, decoded = [], [], []
             for text in b.column(1).to_pylist():
                 pieces = own.pieces(text or "")
-                n.append(sum([p[0] for p in pieces]))
-                ids.append(" ".join([p[1] for p in pieces]))
-                decoded.append(" ".join([p[2] for p in pieces]))
+                n.append(sum(map(_COUNT, pieces)))
+                ids.append(" ".join(map(_IDS, pieces)))
+                decoded.append(" ".join(map(_NAMES, pieces)))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(decoded, pa.string())], names=["doc_id", "n_tokens", "ids", "decoded"])
 
     kind = dict(docs.dtypes)["doc_id"]
