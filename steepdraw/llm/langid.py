@@ -27,7 +27,8 @@ from pyspark.sql import functions as F
 BUCKETS = 1 << 14
 SWITCH_PENALTY = 6.0
 FLOOR = -30.0
-CACHE_ENTRIES = 60_000
+CACHE_ENTRIES = 200_000
+PACK = 200
 #: First code point of ranges of letters, with their script.
 SCRIPTS = ((0x0000, "latin"), (0x0370, "greek"), (0x0400, "cyrillic"), (0x0530, "armenian"), (0x0590, "hebrew"), (0x0600, "arabic"), (0x0900, "indic"), (0x0E00, "southeast"), (0x10A0, "georgian"), (0x1100, "hangul"), (0x1200, "other"), (0x1E00, "latin"), (0x1F00, "greek"), (0x2000, "other"), (0x3040, "kana"), (0x3100, "han"), (0xAC00, "hangul"), (0xD7B0, "other"), (0xF900, "han"), (0xFB00, "other"), (0x20000, "han"), (0x30000, "other"))
 _STARTS = [a for a, _ in SCRIPTS]
@@ -47,31 +48,31 @@ def words_of(text: str | None) -> list[str]:
     return _WORD.findall(text.lower()) if text else []
 
 
-def _hash(gram: str) -> int:
-    h = 2166136261
-    for byte in gram.encode("utf-8"):
-        h = (h ^ byte) * 16777619 & 0xFFFFFFFF
-    return (h ^ h >> 15) % BUCKETS
-
-
-_GRAMS: dict[str, int] = {}
-
-
-def gram_ids(word: str) -> list[int]:
-    """Buckets of the word's grams, its ends marked; long words by their first and last 20 letters."""
-    if len(word) > 40:
-        word = word[:20] + word[-20:]
-    own, out = f"<{word}>", []
-    for n in (1, 2, 3, 4):
-        for i in range(n == 1, len(own) - n + 1 - (n == 1)):
-            g = own[i : i + n]
-            h = _GRAMS.get(g)
-            if h is None:
-                if len(_GRAMS) > 400_000:
-                    _GRAMS.clear()
-                h = _GRAMS[g] = _hash(g)
-            out.append(h)
-    return out
+def grams_of(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets of the words' 1- to 4-letter grams, ends marked, and the word of each.
+
+    Long words count by their first and last 20 letters.
+    """
+    own = [f"<{w}>" if len(w) <= 40 else f"<{w[:20]}{w[-20:]}>" for w in words]
+    data = np.frombuffer("".join(own).encode("utf-32-le"), dtype=np.uint32).astype(np.uint64)
+    size = np.array([len(w) for w in own])
+    word = np.repeat(np.arange(len(own)), size)
+    left = np.repeat(np.cumsum(size), size) - np.arange(len(data))  # letters to the word's end
+    h, buckets, words_of_grams = np.zeros(len(data), dtype=np.uint64), [], []
+    for n in range(1, 5):
+        m = len(data) - n + 1
+        if m <= 0:
+            break
+        h = h[:m] * np.uint64(0x9E3779B97F4A7C15) + data[n - 1 :]
+        fits = left[:m] >= n
+        if n == 1:  # the marks alone say nothing
+            fits &= (data != ord("<")) & (data != ord(">"))
+        mixed = (h[fits] ^ (h[fits] >> np.uint64(29))) * np.uint64(0xD6E8FEB86659FD93 + 2 * n)
+        buckets.append((mixed >> np.uint64(40)).astype(np.int64) % BUCKETS)
+        words_of_grams.append(word[:m][fits])
+    if not buckets:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    return np.concatenate(buckets), np.concatenate(words_of_grams)
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -83,10 +84,11 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     def settle() -> None:
         for lang, own in words.items():
             into = grams.setdefault(lang, np.zeros(BUCKETS, dtype=np.int64))
+            seen, times = list(own), np.array(list(own.values()), dtype=np.float64)
+            gram, word = grams_of(seen)
+            into += np.bincount(gram, times[word], BUCKETS).astype(np.int64) if len(gram) else 0
             for w, c in own.items():
                 scripts[lang, script_of(w[0])] += c
-                for g in gram_ids(w):
-                    into[g] += c
             own.clear()
 
     for b in batches:
@@ -119,42 +121,50 @@ class LanguageModel:
         self._scores: dict[str, int] = {}
         self._table = np.zeros((CACHE_ENTRIES, len(self.langs)), dtype=np.float32)
 
-    def word_scores(self, word: str) -> np.ndarray:
-        grams = gram_ids(word)
-        s = self.logs[:, grams].sum(axis=1) / np.sqrt(len(grams))
-        allowed = self.allowed.get(script_of(word[0]))
-        if allowed is None:
-            return np.zeros(len(self.langs), dtype=np.float32)  # a script never seen tells nothing
-        if allowed.any():
-            s[~allowed] = s[allowed].max() + FLOOR
-        return s - s.max()
+    def word_scores(self, words: list[str]) -> np.ndarray:
+        """A row for each word: its score by language, the best at 0."""
+        gram, word = grams_of(words)
+        n = np.maximum(np.bincount(word, minlength=len(words)), 1)
+        s = np.stack([np.bincount(word, row[gram], len(words)) for row in self.logs], axis=1) / np.sqrt(n)[:, None]
+        scripts = [script_of(w[0]) for w in words]
+        for name in set(scripts):
+            of = np.array([x == name for x in scripts])
+            allowed = self.allowed.get(name)
+            if allowed is None:
+                s[of] = 0.0  # a script never seen tells nothing
+            elif allowed.any() and not allowed.all():
+                s[np.ix_(of, ~allowed)] = s[of][:, allowed].max(axis=1, keepdims=True) + FLOOR
+        return (s - s.max(axis=1, keepdims=True)).astype(np.float32)
 
     def scores(self, words: list[str]) -> np.ndarray:
         got = list(map(self._scores.get, words))
         if None in got:
-            fresh = {w for w, g in zip(words, got, strict=True) if g is None}
+            fresh = list({w for w, g in zip(words, got, strict=True) if g is None})
             if len(self._scores) + len(fresh) > CACHE_ENTRIES:
                 self._scores.clear()
-                got, fresh = [None], set(words)
+                fresh = list(set(words))
             if len(fresh) > CACHE_ENTRIES:
-                return np.stack([self.word_scores(w) for w in words])
-            for w in fresh:
-                self._table[len(self._scores)] = self.word_scores(w)
-                self._scores[w] = len(self._scores)
+                return self.word_scores(words)
+            at = len(self._scores)
+            self._table[at : at + len(fresh)] = self.word_scores(fresh)
+            self._scores.update(zip(fresh, range(at, at + len(fresh)), strict=True))
             got = list(map(self._scores.__getitem__, words))
         return self._table[got]
 
     def path(self, words: list[str], penalty: float = SWITCH_PENALTY) -> np.ndarray:
         """Index of the language of each word on the best path."""
-        s = self.scores(words).astype(np.float64)
+        return self.path_of(self.scores(words), penalty)
+
+    def path_of(self, scores: np.ndarray, penalty: float = SWITCH_PENALTY) -> np.ndarray:
+        s = scores.astype(np.float64)
         best = int(np.argmax(s.sum(axis=0)))
         if len(self.langs) == 1:
-            return np.zeros(len(words), dtype=np.int8)
+            return np.zeros(len(s), dtype=np.int8)
         other = s.copy()
         other[:, best] = -np.inf
         gain = np.concatenate([[0.0], np.cumsum(other.max(axis=1) - s[:, best])])
         if (gain - np.minimum.accumulate(gain)).max() <= penalty:
-            return np.full(len(words), best, dtype=np.int8)
+            return np.full(len(s), best, dtype=np.int8)
         return self._search(s, penalty)
 
     @staticmethod
@@ -177,14 +187,26 @@ class LanguageModel:
 
     def predict(self, text: str | None) -> tuple[str, float, list[dict]]:
         """Language, share of words and the spans of words of one language."""
-        words = words_of(text)
-        if not words or not self.langs:
-            return "und", 0.0, []
-        path = self.path(words)
-        count = np.bincount(path, minlength=len(self.langs))
-        cuts = [0, *(np.flatnonzero(np.diff(path)) + 1).tolist(), len(words)]
-        spans = [{"lang": self.langs[path[a]], "first_word": a, "words": b - a} for a, b in zip(cuts, cuts[1:], strict=False)]
-        return self.langs[int(np.argmax(count))], float(count.max() / len(words)), spans
+        return self.predict_all([text])[0]
+
+    def predict_all(self, texts: list[str | None]) -> list[tuple[str, float, list[dict]]]:
+        """Many texts at once: new words are scored together."""
+        words = [words_of(t) for t in texts]
+        if not self.langs:
+            return [("und", 0.0, [])] * len(texts)
+        scores = self.scores([w for own in words for w in own])
+        out, at = [], 0
+        for own in words:
+            if not own:
+                out.append(("und", 0.0, []))
+                continue
+            path = self.path_of(scores[at : at + len(own)])
+            at += len(own)
+            count = np.bincount(path, minlength=len(self.langs))
+            cuts = [0, *(np.flatnonzero(path[1:] != path[:-1]) + 1).tolist(), len(own)]
+            spans = [{"lang": self.langs[path[a]], "first_word": a, "words": b - a} for a, b in zip(cuts, cuts[1:], strict=False)]
+            out.append((self.langs[int(np.argmax(count))], float(count.max() / len(own)), spans))
+        return out
 
 
 def train(labelled: DataFrame) -> LanguageModel:
@@ -203,7 +225,8 @@ def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
         own = sent.value
         span = pa.list_(pa.struct([("lang", pa.string()), ("first_word", pa.int64()), ("words", pa.int64())]))
         for b in batches:
-            got = [own.predict(t) for t in b.column(1).to_pylist()]
+            texts = b.column(1).to_pylist()
+            got = [p for i in range(0, len(texts), PACK) for p in own.predict_all(texts[i : i + PACK])]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64()), pa.array([g[2] for g in got], span)], names=["doc_id", "lang_pred", "score", "spans"])
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {dict(docs.dtypes)['doc_id']}, lang_pred string, score double, spans array<struct<lang:string,first_word:long,words:long>>")
