@@ -55,7 +55,7 @@ def grams_of(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """
     own = [f"<{w}>" if len(w) <= 40 else f"<{w[:20]}{w[-20:]}>" for w in words]
     data = np.frombuffer("".join(own).encode("utf-32-le"), dtype=np.uint32).astype(np.uint64)
-    size = np.array([len(w) for w in own])
+    size = np.array([len(w) for w in own], dtype=np.int64)
     word = np.repeat(np.arange(len(own)), size)
     left = np.repeat(np.cumsum(size), size) - np.arange(len(data))  # letters to the word's end
     h, buckets, words_of_grams = np.zeros(len(data), dtype=np.uint64), [], []
