@@ -45,8 +45,11 @@ def uniform_draw(df: DataFrame, b: int, seed: int, step: int) -> DataFrame:
     return two_level_draw(df.withColumn("_one", F.lit(1.0)), "_one", b, seed, step)
 
 
-def two_level_draw(df: DataFrame, weight: str, b: int, seed: int, step: int, masses: list | None = None) -> DataFrame:
-    """b draws in proportion to `weight`: shards on the driver, rows by running sums inside shards."""
+def block_draw(df: DataFrame, weight: str, b: int, seed: int, steps: range | list[int], masses: list | None = None) -> DataFrame:
+    """b draws for each of several steps in one job, all in proportion to `weight`.
+
+    Shards are picked on the driver from one mass each, rows by running sums inside hit shards.
+    """
     spark = df.sparkSession
     if masses is None:
         masses = [tuple(r) for r in shard_masses(df, weight).orderBy("shard").collect()]  # one row a shard
@@ -54,11 +57,16 @@ def two_level_draw(df: DataFrame, weight: str, b: int, seed: int, step: int, mas
     if not total:
         raise ValueError("all weights are zero")
     spread = [(s, m) for s, _, m in masses if m > 0]
-    plan = [(step, j, *_pick(spread, py_uniform(seed, step, j)), "w") for j in range(b)]
+    plan = [(t, j, *_pick(spread, py_uniform(seed, t, j)), "w") for t in steps for j in range(b)]
     prob = F.col(weight) / F.lit(total)
     return _locate(df, weight, spark.createDataFrame(plan, DRAW)).select("step", "draw_no", "instance_id", prob.alias("prob"), (1.0 / (n * prob)).alias("weight"))
 
 
+def two_level_draw(df: DataFrame, weight: str, b: int, seed: int, step: int, masses: list | None = None) -> DataFrame:
+    """b draws of one step in proportion to `weight`."""
+    return block_draw(df, weight, b, seed, [step], masses)
+
+
 def mixture_draw(df: DataFrame, weight: str, beta: float, b: int, seed: int, step: int) -> DataFrame:
     """b draws from (1 - beta) * weight share + beta / n, without forming that column."""
     masses = [tuple(r) for r in shard_masses(df, weight).orderBy("shard").collect()]

@@ -204,6 +204,31 @@ def _draw_sql(step: int, mix: bool = False, flat: bool = False) -> str:
     return f"WITH {STORED_SQL}, {us}, {cum} SELECT draw_no::INTEGER AS draw_no, instance_id, round({p} * 1e6, 3) AS prob_millionths, round(1.0 / (n * {p}), 4) AS weight FROM us JOIN cum ON {hit}"
 
 
+VISIT_STEPS = range(1, 41)
+
+
+def _visits(s: SparkSession, d: str) -> DataFrame:
+    return M.visit_table(D.block_draw(_stored(s, d), "magnitude", 32, SEED, VISIT_STEPS))
+
+
+def visit_counts(s: SparkSession, d: str) -> DataFrame:
+    """Most visited rows of forty frozen batches."""
+    return _visits(s, d).orderBy(F.desc("visits"), "instance_id").limit(20)
+
+
+def staleness_report(s: SparkSession, d: str) -> DataFrame:
+    """Steps since the last visit, over the rows that were visited."""
+    age = F.lit(VISIT_STEPS.stop - 1) - F.col("last_step")
+    return _visits(s, d).agg(F.count(F.lit(1)).alias("visited"), F.round(F.avg(age), 6).alias("mean_age"), F.max(age).alias("max_age"), F.sum("visits").alias("draws"))
+
+
+VISITS_SQL = f"""{STORED_SQL}, us AS (SELECT t, {uniform_sql(str(SEED), "CAST(t AS VARCHAR)", "CAST(j AS VARCHAR)")} AS u FROM range(1, 41) a(t), range(32) b(j)),
+cum AS (SELECT instance_id, magnitude AS m, sum(magnitude) OVER (ORDER BY shard, instance_id) AS hi, sum(magnitude) OVER () AS total FROM stored),
+ends AS (SELECT t, u * (SELECT any_value(total) FROM cum) AS target FROM us),
+hit AS (SELECT t, instance_id FROM ends ASOF JOIN (SELECT instance_id, hi - m AS lo FROM cum) c ON ends.target >= c.lo),
+vis AS (SELECT instance_id, count(*) AS visits, max(t) AS last_step FROM hit GROUP BY 1)"""
+
+
 def poisson(s: SparkSession, d: str) -> DataFrame:
     h = H.probabilities(_stored(s, d), BETA)
     n = h.count()
@@ -413,6 +438,8 @@ def queries() -> dict[str, tuple]:
         "uniform_draw_128": (uniform_draw, _draw_sql(1, flat=True)),
         "weighted_draw_128": (weighted_draw, _draw_sql(1)),
         "mixture_draw": (mixture, _draw_sql(2, mix=True)),
+        "visit_counts": (visit_counts, f"WITH {VISITS_SQL} SELECT instance_id, visits, last_step FROM vis ORDER BY visits DESC, instance_id LIMIT 20"),
+        "staleness_report": (staleness_report, f"WITH {VISITS_SQL} SELECT count(*) AS visited, round(avg(40 - last_step), 6) AS mean_age, max(40 - last_step) AS max_age, sum(visits)::BIGINT AS draws FROM vis"),
         "poisson_draw": (poisson, _poisson_sql()),
         "subset_without_replacement": (subset, f"WITH {INST} SELECT instance_id, round({uniform_sql(str(SEED), '1', 'instance_id')}, 9) AS u FROM inst ORDER BY {uniform_sql(str(SEED), '1', 'instance_id')}, instance_id LIMIT 200"),
         "shard_masses": (shard_masses, f"WITH {STORED_SQL} SELECT shard, count(*) AS rows, round(sum(magnitude), 6) AS mass FROM stored GROUP BY shard"),

@@ -263,18 +263,14 @@ def _per_step(method, data, obj, w, steps, batch, rule, seed, eval_every, beta:
                 raise ValueError(f"{method} has no per-step form")
             drawn = rows.join(F.broadcast(picked.select("instance_id", "weight")), "instance_id")
         g, count, seen = distributed_gradient(drawn, obj, w)
-        w_old = w
         w = w - rule.move(g / count + obj.penalty.gradient(w), t)
         if method == "history":
-            shard_of = {}
-            delta = data.sparkSession.createDataFrame([(i, shard_of.get(i, 0), v, t) for i, v in sorted(seen.items())], "instance_id string, shard int, magnitude double, last_step long")
-            fresh = F.broadcast(delta.select("instance_id", F.col("magnitude").alias("_m"), F.col("last_step").alias("_t")))
+            fresh = F.broadcast(data.sparkSession.createDataFrame([(i, v, t) for i, v in sorted(seen.items())], "instance_id string, _m double, _t long"))  # a batch of rows
             state = state.join(fresh, "instance_id", "left").select("instance_id", "shard", F.coalesce("_m", "magnitude").alias("magnitude"), F.coalesce("_t", "last_step").alias("last_step"))
             if t % compact_every == 0:
                 state = checkpointed(state, "history")
         if eval_every and (t % eval_every == 0 or t == steps):
             trace.append({"step": t, "stage": 0, "loss": float("nan"), "penalty": obj.penalty.value(w), "error": float("nan"), "nonzero": int(np.count_nonzero(w)), "var_ratio": 1.0, "max_weight": 0.0, "elapsed_s": 0.0})
-        del w_old
     return TrainResult(w, trace, state, "done", {"rows": n})
 
 
@@ -293,10 +289,7 @@ def _prefetch(method, data, obj, w, steps, batch, rule, seed, eval_every, k: int
         now = range(first + 1, min(first + k, steps) + 1)
         weighted_rows = H.probabilities(state, beta if method == "history" else 1.0)
         masses = [tuple(r) for r in D.shard_masses(weighted_rows, "prob").orderBy("shard").collect()]
-        picked = None
-        for t in now:
-            one = D.two_level_draw(weighted_rows, "prob", batch, seed, t, masses)
-            picked = one if picked is None else picked.unionByName(one)
+        picked = D.block_draw(weighted_rows, "prob", batch, seed, now, masses)
         # k * batch rows at most
         fetched = rows.join(F.broadcast(picked), "instance_id").select("step", "draw_no", "instance_id", "features", "label", "weight").toPandas().sort_values(["step", "draw_no"])
         seen: dict[str, tuple[float, int]] = {}
