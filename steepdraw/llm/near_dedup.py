@@ -135,7 +135,7 @@ def _bands(bands: int, rows: int):
                     key = key * np.uint64(0x9E3779B97F4A7C15) + sig[:, :, r]
                 key = mix64(key + np.arange(bands, dtype=np.uint64))
                 keys = pa.ListArray.from_arrays(pa.array(np.arange(0, n * bands + 1, bands), pa.int32()), pa.array(key.ravel().view(np.int64)))
-                short = (sig.reshape(n, bands * rows) >> np.uint64(48)).astype(np.uint16).view(np.int16)
+                short = (sig.reshape(n, bands * rows) >> np.uint64(56)).astype(np.uint8).view(np.int8)
                 marks = pa.ListArray.from_arrays(pa.array(np.arange(0, n * bands * rows + 1, bands * rows), pa.int32()), pa.array(short.ravel()))
                 yield pa.RecordBatch.from_arrays([ids.slice(part.start, n), pa.array(node), pa.array(weight), keys, marks], names=["doc_id", "node", "weight", "bands", "marks"])
 
@@ -218,19 +218,20 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
     """
     own = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     kind = dict(docs.dtypes)["doc_id"]
-    signed = materialise(own.mapInArrow(_bands(bands, rows), f"doc_id {kind}, node long, weight long, bands array<long>, marks array<short>"), "signatures")
+    signed = materialise(own.mapInArrow(_bands(bands, rows), f"doc_id {kind}, node long, weight long, bands array<long>, marks array<tinyint>"), "signatures")
     node_of = signed.select("doc_id", "node")
     # copies of one content are one node, reduced map side; the node's text is read at one id
-    nodes = signed.where("weight > 0").groupBy("node").agg(F.min("doc_id").alias("lead"), F.first("weight").alias("weight"), F.first("bands").alias("bands"), F.first("marks").alias("marks"))
-    member = nodes.select("node", "lead", "weight", "marks", F.explode("bands").alias("band"))
-    shared = nodes.select(F.explode("bands").alias("band")).groupBy("band").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    member = materialise(member.join(shared, "band"), "members")
+    nodes = materialise(signed.where("weight > 0").groupBy("node").agg(F.min("doc_id").alias("lead"), *[F.first(c).alias(c) for c in ("weight", "bands", "marks")]), "nodes")
+    every = nodes.select("node", "lead", "weight", F.posexplode("bands").alias("k", "band"))
+    shared = every.groupBy("band").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    member = materialise(every.join(shared, "band"), "members")
     wanted = materialise(member.select("node", "lead").distinct(), "wanted")
     leads = wanted.select(F.col("lead").alias("lead_id")).distinct()
     texts = own.join(leads, F.col("doc_id").eqNullSafe(F.col("lead_id"))).select("text")
     bags = materialise(texts.mapInArrow(_bags, "node long, names binary, places binary, sizes binary").dropDuplicates(["node"]), "bags")
     met = member.groupBy("node").agg(F.sum("n").alias("met"))
-    member = materialise(member.join(met, "node").select("node", "weight", "marks", "band", "met", F.lit(None).cast("double").alias("pivot")), "members")
+    facts = met.join(nodes.select("node", "marks"), "node")
+    member = materialise(member.join(facts, "node").select("node", "weight", "marks", "k", "band", "met", F.lit(None).cast("double").alias("pivot")), "members")
     left = bags.withColumnsRenamed({"node": "a", "names": "n1", "places": "p1", "sizes": "s1"})
     right = bags.withColumnsRenamed({"node": "b", "names": "n2", "places": "p2", "sizes": "s2"})
     label = wanted.select("node", F.col("node").alias("label"))
@@ -238,13 +239,17 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
     while True:
         # one centre a bucket at first, then several at once among those that stand apart
         part = F.pmod(F.xxhash64("node", F.lit(turn)), F.lit(1 if turn == 0 else CENTRES * 4 ** (turn - 1)))
-        best = F.max(F.struct("met", "node", "weight", "pivot", "marks")).alias("c")
-        centre = apart.groupBy("band", part.alias("part")).agg(best).select("band", F.col("c.node").alias("centre"), F.col("c.weight").alias("centre_weight"), F.col("c.pivot").alias("centre_pivot"), F.col("c.marks").alias("centre_marks"))
-        centre = materialise(centre, "centres")
+        best = F.max(F.struct("met", "node")).alias("c")
+        centre = materialise(apart.groupBy("band", part.alias("part")).agg(best).select("band", F.col("c.node").alias("centre")), "centres")
+        # a centre meets the members of all its buckets, each in the first bucket they share
+        about = member.join(centre.select(F.col("centre").alias("node")).distinct(), "node", "left_semi")
+        about = about.select("band", F.col("node").alias("centre"), F.col("weight").alias("centre_weight"), F.col("marks").alias("centre_marks"), F.col("pivot").alias("centre_pivot"))
         fits = F.least("weight", "centre_weight") >= F.lit(threshold) * F.greatest("weight", "centre_weight")
         near = F.coalesce(F.abs(F.col("pivot") - F.col("centre_pivot")) <= 1.0 - threshold + 1e-9, F.lit(True))
         agree = F.aggregate(F.zip_with("marks", "centre_marks", lambda x, y: x == y), F.lit(0), lambda n, same: n + same.cast("int")) >= F.lit(AGREE * bands * rows)
-        pairs = member.join(centre, "band").where((F.col("node") != F.col("centre")) & fits & near & agree).select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
+        of_band = lambda marks, k: F.slice(marks, k * F.lit(rows) + 1, F.lit(rows))
+        earlier = F.exists(F.sequence(F.lit(0), F.lit(bands - 1)), lambda k: (k < F.col("k")) & (of_band(F.col("marks"), k) == of_band(F.col("centre_marks"), k)))
+        pairs = member.join(about, "band").where((F.col("node") != F.col("centre")) & fits & near & agree & ~earlier).select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = materialise(pairs, "pairs")
@@ -255,17 +260,18 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
         if turn == 0:  # similarity of each member to its bucket's first centre
             first = member.drop("pivot").join(centre.select("band", "centre"), "band").withColumns({"a": F.least("node", "centre"), "b": F.greatest("node", "centre")})
             own = F.when(F.col("node") == F.col("centre"), 1.0).otherwise(F.col("sim"))
-            member = materialise(first.join(found, ["a", "b"], "left").select("node", "weight", "marks", "band", "met", own.alias("pivot")), "members")
+            member = materialise(first.join(found, ["a", "b"], "left").select("node", "weight", "marks", "k", "band", "met", own.alias("pivot")), "members")
             apart = member
         # a bucket is settled when all its members are in the classes of its centres
-        reached = centre.join(label.withColumnsRenamed({"node": "centre", "label": "reached"}), "centre").select(F.col("band").alias("band_"), "reached").distinct()
-        rest = apart.join(label, "node").join(reached, (F.col("band") == F.col("band_")) & (F.col("label") == F.col("reached")), "left_anti").select("node", "weight", "marks", "band", "met", "pivot")
+        reached = about.select("band", "centre").join(label.withColumnsRenamed({"node": "centre", "label": "reached"}), "centre").select(F.col("band").alias("band_"), "reached").distinct()
+        rest = apart.join(label, "node").join(reached, (F.col("band") == F.col("band_")) & (F.col("label") == F.col("reached")), "left_anti").select("node", "band", "met")
         apart = materialise(rest, "apart")
         if apart.limit(1).count() == 0:
             break
         turn += 1
-        member = member.join(apart.select("band").distinct(), "band", "left_semi")
-        member = materialise(member, "members")
+        # all buckets of the nodes that share an unsettled one, so that first shared buckets stay
+        open_ = member.join(apart.select("band").distinct(), "band", "left_semi").select("node").distinct()
+        member = materialise(member.join(open_, "node", "left_semi"), "members")
     named_class = node_of.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
     sizes = named_class.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("class_size"))
     return named_class.join(sizes, "label").select("doc_id", "node", "class_id", "class_size")
