@@ -11,9 +11,9 @@ shingle are one shingle of all their words; documents without words link to noth
 No bucket is expanded into pairs.  Texts with the same words are one class from the start.  In
 each bucket all members are compared with one centre, the member that meets most others over all
 buckets, then with further centres among those that still stand apart from the classes of the
-centres so far, until nobody stands apart.  One minus the similarity is a metric, so a later
-centre skips, without loss, the members whose distance to the bucket's first centre differs from
-its own by more than a link's distance.  Pairs that agree on fewer than `AGREE` of all registers are
+centres so far, until nobody stands apart.  What two bags share cannot exceed what both share with
+a third, plus what both have beyond it; so a later centre skips, without loss, the members whose
+overlaps with the bucket's first centre rule out a link.  Pairs that agree on fewer than `AGREE` of all registers are
 skipped too; at a similarity of 0.8 that misses one link in 10,000, fewer than the bands do.
 Otherwise a pair is settled unless both were already tied to different centres that
 are not linked.  Every round takes four times as many centres, so rounds are few.  Links are verified by joining both bags
@@ -241,14 +241,18 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
         part = F.pmod(F.xxhash64("node", F.lit(turn)), F.lit(1 if turn == 0 else CENTRES * 4 ** (turn - 1)))
         best = F.max(F.struct("met", "node")).alias("c")
         centre = materialise(apart.groupBy("band", part.alias("part")).agg(best).select("band", F.col("c.node").alias("centre")), "centres")
-        # a centre meets the members of all its buckets, each in the first bucket they share
-        about = member.join(centre.select(F.col("centre").alias("node")).distinct(), "node", "left_semi")
+        if turn == 0:  # a first centre meets the members of its bucket
+            about = member.join(centre.withColumnRenamed("centre", "node"), ["band", "node"], "left_semi")
+        else:  # a later one the members of all its buckets, each in the first bucket they share
+            about = member.join(centre.select(F.col("centre").alias("node")).distinct(), "node", "left_semi")
         about = about.select("band", F.col("node").alias("centre"), F.col("weight").alias("centre_weight"), F.col("marks").alias("centre_marks"), F.col("pivot").alias("centre_pivot"))
         fits = F.least("weight", "centre_weight") >= F.lit(threshold) * F.greatest("weight", "centre_weight")
-        near = F.coalesce(F.abs(F.col("pivot") - F.col("centre_pivot")) <= 1.0 - threshold + 1e-9, F.lit(True))
+        most = F.least("pivot", "centre_pivot") + F.least(F.col("weight") - F.col("pivot"), F.col("centre_weight") - F.col("centre_pivot"))
+        least = F.lit(threshold / (1 + threshold)) * (F.col("weight") + F.col("centre_weight"))
+        near = F.when(F.col("pivot").isNull() | F.col("centre_pivot").isNull(), True).otherwise(most >= least - 1e-6)
         agree = F.aggregate(F.zip_with("marks", "centre_marks", lambda x, y: x == y), F.lit(0), lambda n, same: n + same.cast("int")) >= F.lit(AGREE * bands * rows)
         of_band = lambda marks, k: F.slice(marks, k * F.lit(rows) + 1, F.lit(rows))
-        earlier = F.exists(F.sequence(F.lit(0), F.lit(bands - 1)), lambda k: (k < F.col("k")) & (of_band(F.col("marks"), k) == of_band(F.col("centre_marks"), k)))
+        earlier = F.exists(F.sequence(F.lit(0), F.lit(bands - 1)), lambda k: (k < F.col("k")) & (of_band(F.col("marks"), k) == of_band(F.col("centre_marks"), k))) if turn else F.lit(False)
         pairs = member.join(about, "band").where((F.col("node") != F.col("centre")) & fits & near & agree & ~earlier).select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
@@ -257,9 +261,10 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
         found = materialise(found, "verified")
         label = _merge(label, found.where(F.col("sim") >= threshold))
         tried = pairs if tried is None else tried.union(pairs)
-        if turn == 0:  # similarity of each member to its bucket's first centre
-            first = member.drop("pivot").join(centre.select("band", "centre"), "band").withColumns({"a": F.least("node", "centre"), "b": F.greatest("node", "centre")})
-            own = F.when(F.col("node") == F.col("centre"), 1.0).otherwise(F.col("sim"))
+        if turn == 0:  # what each member shares with its bucket's first centre
+            first = member.drop("pivot").join(about.select("band", "centre", "centre_weight"), "band").withColumns({"a": F.least("node", "centre"), "b": F.greatest("node", "centre")})
+            shares = F.col("sim") * (F.col("weight") + F.col("centre_weight")) / (1.0 + F.col("sim"))
+            own = F.when(F.col("node") == F.col("centre"), F.col("weight").cast("double")).otherwise(shares)
             member = materialise(first.join(found, ["a", "b"], "left").select("node", "weight", "marks", "k", "band", "met", own.alias("pivot")), "members")
             apart = member
         # a bucket is settled when all its members are in the classes of its centres
