@@ -250,6 +250,34 @@ def subset(s: SparkSession, d: str) -> DataFrame:
     return D.subset_without_replacement(X.net_price(s, d).select("instance_id"), 200, SEED, 1).select("instance_id", F.round("u", 9).alias("u"))
 
 
+def subset_large(s: SparkSession, d: str) -> DataFrame:
+    """The same subset through a hash threshold, as for large m."""
+    own = X.net_price(s, d).select("instance_id")
+    return D.subset_by_threshold(own, 200, own.count(), SEED, 1).select("instance_id", F.round("u", 9).alias("u"))
+
+
+def preview(s: SparkSession, d: str) -> DataFrame:
+    """Weighted sample without replacement, by exponential keys."""
+    return D.exponential_key_topk(_stored(s, d), "magnitude", 100, SEED).select("instance_id", F.round(F.col("key") * 1e6, 3).alias("key_millionths"))
+
+
+def holdout_risk(s: SparkSession, d: str) -> DataFrame:
+    own = scored(s, d).where(X.hash_split(F.col("instance_id"), 20))
+    return own.agg(F.count(F.lit(1)).alias("rows"), F.round(F.avg("loss"), 6).alias("risk"), F.round(F.avg(C.loss("zero_one", F.col("score"), F.col("label"))), 6).alias("error"))
+
+
+def class_probability(s: SparkSession, d: str) -> DataFrame:
+    p = C.probability(F.col("score"), F.col("label"))
+    return scored(s, d).groupBy(F.col("label").cast("int").alias("label")).agg(F.round(F.avg(p), 6).alias("p"), F.round(F.avg(C.entropy(p)), 6).alias("entropy"), F.count(F.when(p > 0.5, 1)).alias("right"))
+
+
+def stage_and_length_costs(s: SparkSession, d: str) -> DataFrame:
+    """Benefit share of a stage and the relative cost of lengths, from the given tables' sizes."""
+    n = X.net_price(s, d).count() // 16
+    steps = 16 * n // 128
+    return s.createDataFrame([(n, round(M.benefit_share(n, max(1, steps), 128), 6), round(M.length_cost(128, 32, 64), 6))], "rows long, benefit double, length_cost double")
+
+
 def shard_masses(s: SparkSession, d: str) -> DataFrame:
     return D.shard_masses(_stored(s, d), "magnitude").select("shard", "rows", r6("mass"))
 
@@ -442,6 +470,11 @@ def queries() -> dict[str, tuple]:
         "staleness_report": (staleness_report, f"WITH {VISITS_SQL} SELECT count(*) AS visited, round(avg(40 - last_step), 6) AS mean_age, max(40 - last_step) AS max_age, sum(visits)::BIGINT AS draws FROM vis"),
         "poisson_draw": (poisson, _poisson_sql()),
         "subset_without_replacement": (subset, f"WITH {INST} SELECT instance_id, round({uniform_sql(str(SEED), '1', 'instance_id')}, 9) AS u FROM inst ORDER BY {uniform_sql(str(SEED), '1', 'instance_id')}, instance_id LIMIT 200"),
+        "subset_by_threshold": (subset_large, f"WITH {INST} SELECT instance_id, round({uniform_sql(str(SEED), '1', 'instance_id')}, 9) AS u FROM inst ORDER BY {uniform_sql(str(SEED), '1', 'instance_id')}, instance_id LIMIT 200"),
+        "exponential_key_preview": (preview, f"WITH {STORED_SQL}, k AS (SELECT instance_id, -ln({uniform_sql(str(SEED), 'instance_id')}) / magnitude AS key FROM stored) SELECT instance_id, round(key * 1e6, 3) AS key_millionths FROM k ORDER BY key LIMIT 100"),
+        "holdout_risk": (holdout_risk, f"WITH {s} SELECT count(*) AS rows, round(avg(loss), 6) AS risk, round(avg(CASE WHEN (s >= 0) = (label > 0) THEN 0.0 ELSE 1.0 END), 6) AS error FROM sc WHERE {uniform_sql('split', 'instance_id')} < 0.2"),
+        "class_probability": (class_probability, f"WITH {s}, q AS (SELECT label, 1.0 / (1.0 + exp(-(s * label))) AS p FROM sc) SELECT label::INTEGER AS label, round(avg(p), 6) AS p, round(avg(CASE WHEN p > 0 AND p < 1 THEN -p * ln(p) - (1 - p) * ln(1 - p) ELSE 0 END), 6) AS entropy, count(*) FILTER (WHERE p > 0.5) AS right FROM q GROUP BY 1"),
+        "stage_and_length_costs": (stage_and_length_costs, "WITH n AS (SELECT count(*) // 16 AS n FROM lineitem) SELECT n AS rows, round(1.0 - n / ((16 * n // 128) * 128.0), 6) AS benefit, round(96.0 / 2048, 6) AS length_cost FROM n"),
         "shard_masses": (shard_masses, f"WITH {STORED_SQL} SELECT shard, count(*) AS rows, round(sum(magnitude), 6) AS mass FROM stored GROUP BY shard"),
         "two_level_vs_global": (two_level_vs_global, "SELECT 64::BIGINT AS draws, 64::BIGINT AS same"),
         "proximal_stage_objective": (proximal, PROXIMAL_SQL),
