@@ -46,7 +46,6 @@ def remove_boilerplate(pages: DataFrame, host: str = "source", ratio: float = RA
     split = F.split("text", "\n")
     drop = lambda x: F.array_contains(F.col("_lines"), _line_hash(x)) & (F.trim(x) != "")
     kept = F.when(F.col("_lines").isNull() | F.col("text").isNull(), F.col("text")).otherwise(F.array_join(F.filter(split, lambda x: ~drop(x)), "\n"))
-    n = F.coalesce(F.size(split).cast("long"), F.lit(0).cast("long"))
     gone = F.when(F.col("_lines").isNull() | F.col("text").isNull(), F.lit(0)).otherwise(F.size(F.filter(split, drop)))
     n = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(split))
     names = pages.columns
