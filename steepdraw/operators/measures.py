@@ -98,10 +98,14 @@ def overhead(trace: DataFrame, base: str) -> DataFrame:
 
 
 def compare_methods(trace: DataFrame, target: float, base: str) -> DataFrame:
-    """Per method: steps and seconds to the target and their ratios to the base method's."""
-    hit = steps_to(trace, target).groupBy("method").agg(F.avg("steps").alias("steps"), F.avg("seconds").alias("seconds"))
+    """Per method: mean steps and seconds to the target and their ratios to the base method's,
+    runs that never reach it counted with their whole budget, and the mean last error.
+    """
+    ends = trace.groupBy("method", "seed").agg(F.max("step").alias("last"), F.max("elapsed_s").alias("whole"), F.max_by("error", "step").alias("error"))
+    hit = steps_to(trace, target).join(ends, ["method", "seed"])
+    hit = hit.groupBy("method").agg(F.avg(F.coalesce("steps", "last")).alias("steps"), F.avg(F.coalesce("seconds", "whole")).alias("seconds"), F.count("steps").alias("reached"), F.avg("error").alias("last_error"))
     own = hit.where(F.col("method") == base).select(F.col("steps").alias("base_steps"), F.col("seconds").alias("base_seconds"))
-    return hit.join(F.broadcast(own)).select("method", "steps", "seconds", (F.col("steps") / F.col("base_steps")).alias("steps_ratio"), (F.col("base_seconds") / F.col("seconds")).alias("speedup"))
+    return hit.join(F.broadcast(own)).select("method", "steps", "seconds", "reached", "last_error", (F.col("steps") / F.col("base_steps")).alias("steps_ratio"), (F.col("base_seconds") / F.col("seconds")).alias("speedup"))
 
 
 def benefit_share(rows: int, steps: int, batch: int) -> float:
