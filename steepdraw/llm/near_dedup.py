@@ -14,7 +14,7 @@ buckets, then with further centres among those that still stand apart from the c
 centres so far, until nobody stands apart.  What two bags share cannot exceed what both share with
 a third, plus what both have beyond it; so a later centre skips, without loss, the members whose
 overlaps with the bucket's first centre rule out a link.  Pairs that agree on fewer than `AGREE` of all registers are
-skipped too; at a similarity of 0.8 that misses one link in 10,000, fewer than the bands do.
+skipped too; at a similarity of 0.8 that misses fewer than one link in 10,000, as the bands do.
 Otherwise a pair is settled unless both were already tied to different centres that
 are not linked.  Every round takes four times as many centres, so rounds are few.  Links are verified by joining both bags
 to the pair, so a hot centre is one row on one side of a join.  Classes are connected components,
@@ -40,10 +40,11 @@ from .common import SpanHasher, materialise, mix64, powers
 
 SHINGLE = 5
 THRESHOLD = 0.8
-BANDS = 20
+BANDS = 26  # a link of 0.8 stays unproposed once in 30,000
 ROWS = 5
-CENTRES = 8
-AGREE = 0.64
+CENTRES = 4
+REGISTERS = 256  # the bands read the first BANDS * ROWS
+AGREE = 0.70
 BATCH_BYTES = 1 << 19
 
 
@@ -121,7 +122,7 @@ def _chunks(texts: list) -> Iterator[slice]:
         yield slice(start, len(texts))
 
 
-def _bands(bands: int, rows: int):
+def _bands(bands: int, rows: int, registers: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             ids, texts = b.column(0), b.column(1).to_pylist()
@@ -129,14 +130,15 @@ def _bands(bands: int, rows: int):
                 text, h, w, node = shingles(texts[part])
                 n = len(texts[part])
                 weight = np.bincount(text, w, minlength=n).astype(np.int64)
-                sig = signatures(text, h, w, n, bands * rows).reshape(n, bands, rows)
+                all_of = signatures(text, h, w, n, registers)
+                sig = all_of[:, : bands * rows].reshape(n, bands, rows)
                 key = np.zeros((n, bands), dtype=np.uint64)
                 for r in range(rows):
                     key = key * np.uint64(0x9E3779B97F4A7C15) + sig[:, :, r]
                 key = mix64(key + np.arange(bands, dtype=np.uint64))
                 keys = pa.ListArray.from_arrays(pa.array(np.arange(0, n * bands + 1, bands), pa.int32()), pa.array(key.ravel().view(np.int64)))
-                short = (sig.reshape(n, bands * rows) >> np.uint64(56)).astype(np.uint8).view(np.int8)
-                marks = pa.ListArray.from_arrays(pa.array(np.arange(0, n * bands * rows + 1, bands * rows), pa.int32()), pa.array(short.ravel()))
+                short = (all_of >> np.uint64(56)).astype(np.uint8).view(np.int8)
+                marks = pa.ListArray.from_arrays(pa.array(np.arange(0, n * registers + 1, registers), pa.int32()), pa.array(short.ravel()))
                 yield pa.RecordBatch.from_arrays([ids.slice(part.start, n), pa.array(node), pa.array(weight), keys, marks], names=["doc_id", "node", "weight", "bands", "marks"])
 
     return run
@@ -211,14 +213,14 @@ def _merge(label: DataFrame, links: DataFrame) -> DataFrame:
     return materialise(label.join(to, "label", "left").select("node", F.coalesce("to", "label").alias("label")), "classes")
 
 
-def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
+def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, registers: int = REGISTERS) -> DataFrame:
     """doc_id, class_id (least doc_id of the class) and class_size for every row of docs.
 
     node names the text's words.
     """
     own = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     kind = dict(docs.dtypes)["doc_id"]
-    signed = materialise(own.mapInArrow(_bands(bands, rows), f"doc_id {kind}, node long, weight long, bands array<long>, marks array<tinyint>"), "signatures")
+    signed = materialise(own.mapInArrow(_bands(bands, rows, registers), f"doc_id {kind}, node long, weight long, bands array<long>, marks array<tinyint>"), "signatures")
     node_of = signed.select("doc_id", "node")
     # copies of one content are one node, reduced map side; the node's text is read at one id
     nodes = materialise(signed.where("weight > 0").groupBy("node").agg(F.min("doc_id").alias("lead"), *[F.first(c).alias(c) for c in ("weight", "bands", "marks")]), "nodes")
@@ -250,7 +252,7 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
         most = F.least("pivot", "centre_pivot") + F.least(F.col("weight") - F.col("pivot"), F.col("centre_weight") - F.col("centre_pivot"))
         least = F.lit(threshold / (1 + threshold)) * (F.col("weight") + F.col("centre_weight"))
         near = F.when(F.col("pivot").isNull() | F.col("centre_pivot").isNull(), True).otherwise(most >= least - 1e-6)
-        agree = F.aggregate(F.zip_with("marks", "centre_marks", lambda x, y: x == y), F.lit(0), lambda n, same: n + same.cast("int")) >= F.lit(AGREE * bands * rows)
+        agree = F.aggregate(F.zip_with("marks", "centre_marks", lambda x, y: x == y), F.lit(0), lambda n, same: n + same.cast("int")) >= F.lit(AGREE * registers)
         of_band = lambda marks, k: F.slice(marks, k * F.lit(rows) + 1, F.lit(rows))
         earlier = F.exists(F.sequence(F.lit(0), F.lit(bands - 1)), lambda k: (k < F.col("k")) & (of_band(F.col("marks"), k) == of_band(F.col("centre_marks"), k))) if turn else F.lit(False)
         pairs = member.join(about, "band").where((F.col("node") != F.col("centre")) & fits & near & agree & ~earlier).select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
