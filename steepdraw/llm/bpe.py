@@ -17,7 +17,7 @@ from __future__ import annotations
 
 import json
 import unicodedata
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from operator import itemgetter
 
 import pyarrow as pa
@@ -25,7 +25,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-CACHE_ENTRIES = 150_000
+CACHE_ENTRIES = 200_000
 #: Unicode's White_Space property, as the pattern's \s means it.
 WHITE_SPACE = "".join(map(chr, (*range(0x09, 0x0E), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
 _SPLIT = regex.compile(f"[{WHITE_SPACE}]+")
@@ -56,28 +56,26 @@ def _joined(parts: list[Piece]) -> Piece:
     return sum(map(_COUNT, parts)), " ".join(map(_IDS, parts)), " ".join(map(_NAMES, parts))
 
 
-class Recent:
-    """Table of at most twice `size` entries: the older half goes when the younger is full."""
+class Recent(dict):
+    """Table that makes what it lacks; of at most twice `size` entries, as the older half goes when
+    the younger is full.  Long keys are made anew each time.
+    """
 
-    def __init__(self, size: int, longest: int = 48) -> None:
-        self.size, self.longest = size, longest
-        self.young: dict[str, Piece] = {}
+    def __init__(self, size: int, make: Callable[[str], Piece], longest: int = 48) -> None:
+        super().__init__()
+        self.size, self.make, self.longest = size, make, longest
         self.old: dict[str, Piece] = {}
 
-    def get(self, key: str) -> Piece | None:
-        got = self.young.get(key)
+    def __missing__(self, key: str) -> Piece:
+        got = self.old.get(key)
         if got is None:
-            got = self.old.get(key)
-            if got is not None:
-                self.put(key, got)
-        return got
-
-    def put(self, key: str, value: Piece) -> Piece:
+            got = self.make(key)
         if len(key) <= self.longest:
-            if len(self.young) >= self.size:
-                self.young, self.old = {}, self.young
-            self.young[key] = value
-        return value
+            if len(self) >= self.size:
+                self.old = dict(self)
+                self.clear()
+            self[key] = got
+        return got
 
 
 class Codec:
@@ -99,7 +97,8 @@ class Codec:
         self.apart = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         self.symbols = byte_symbols()
         self.inside = self._pairs_inside()
-        self._chunks, self._words, self._parts = Recent(CACHE_ENTRIES), Recent(CACHE_ENTRIES), Recent(CACHE_ENTRIES // 2)
+        self._chunks, self._words = Recent(CACHE_ENTRIES, self._piece), Recent(CACHE_ENTRIES, self._word)
+        self._parts: dict[str, Piece] = {}
 
     @staticmethod
     def _check(spec: dict, model: dict) -> None:
@@ -155,18 +154,19 @@ class Codec:
 
     def _word(self, word: str) -> Piece:
         """A pre-token (normalised text): its fragments, joined."""
-        got = self._words.get(word)
-        if got is None:
-            spelled = "".join(map(self.symbols.__getitem__, word.encode("utf-8")))
-            parts = []
-            for own in self.fragments(spelled):
-                name = "".join(own)
-                part = self._parts.get(name)
-                if part is None:
-                    part = self._parts.put(name, self._fragment(own))
-                parts.append(part)
-            got = self._words.put(word, _joined(parts))
-        return got
+        spelled = "".join(map(self.symbols.__getitem__, word.encode("utf-8")))
+        parts, known = [], self._parts
+        for own in self.fragments(spelled):
+            name = "".join(own)
+            part = known.get(name)
+            if part is None:
+                part = self._fragment(own)
+                if len(name) <= 48:
+                    if len(known) >= CACHE_ENTRIES // 2:
+                        known.clear()
+                    known[name] = part
+            parts.append(part)
+        return _joined(parts)
 
     def normal(self, text: str) -> str:
         if not text.isascii():
@@ -175,12 +175,10 @@ class Codec:
         return text.lower()
 
     def _piece(self, chunk: str) -> Piece:
-        got = self._chunks.old.get(chunk)
-        if got is not None:
-            self._chunks.put(chunk, got)
-        else:
-            got = self._chunks.put(chunk, _joined([self._word(w) for w in self.pattern.findall(self.normal(chunk))]))
-        return got
+        own = self.normal(chunk)
+        if own.isalpha() and max(own) < "\u0250":  # letters only: one pre-token
+            return self._words[own]
+        return _joined([self._words[w] for w in self.pattern.findall(own)])
 
     def pieces(self, text: str) -> list[Piece]:
         """(number of ids, ids, decoded text) of each stretch without white space."""
@@ -194,9 +192,7 @@ class Codec:
             return out
         odd = _ODD_SPACE.search(text) is not None
         chunks = _SPLIT.split(text) if odd else text.split()
-        out = list(map(self._chunks.young.get, chunks))
-        if None in out:
-            out = [self._piece(c) if p is None else p for p, c in zip(out, chunks, strict=True)]
+        out = list(map(self._chunks.__getitem__, chunks))
         return [p for p in out if p[0]] if odd else out
 
     def encode(self, text: str | None) -> list[int]:
