@@ -232,8 +232,8 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
     texts = own.join(leads, F.col("doc_id").eqNullSafe(F.col("lead_id"))).select("text")
     bags = materialise(texts.mapInArrow(_bags, "node long, names binary, places binary, sizes binary").dropDuplicates(["node"]), "bags")
     met = member.groupBy("node").agg(F.sum("n").alias("met"))
-    facts = met.join(nodes.select("node", "marks"), "node")
-    member = materialise(member.join(facts, "node").select("node", "weight", "marks", "k", "band", "met", F.lit(None).cast("double").alias("pivot")), "members")
+    facts = met.join(nodes.select("node", "marks", F.col("bands").alias("keys")), "node")
+    member = materialise(member.join(facts, "node").select("node", "weight", "marks", "keys", "k", "band", "met", F.lit(None).cast("double").alias("pivot")), "members")
     left = bags.withColumnsRenamed({"node": "a", "names": "n1", "places": "p1", "sizes": "s1"})
     right = bags.withColumnsRenamed({"node": "b", "names": "n2", "places": "p2", "sizes": "s2"})
     label = wanted.select("node", F.col("node").alias("label"))
@@ -247,14 +247,13 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
             about = member.join(centre.withColumnRenamed("centre", "node"), ["band", "node"], "left_semi")
         else:  # a later one the members of all its buckets, each in the first bucket they share
             about = member.join(centre.select(F.col("centre").alias("node")).distinct(), "node", "left_semi")
-        about = about.select("band", F.col("node").alias("centre"), F.col("weight").alias("centre_weight"), F.col("marks").alias("centre_marks"), F.col("pivot").alias("centre_pivot"))
+        about = about.select("band", F.col("node").alias("centre"), F.col("weight").alias("centre_weight"), F.col("marks").alias("centre_marks"), F.col("keys").alias("centre_keys"), F.col("pivot").alias("centre_pivot"))
         fits = F.least("weight", "centre_weight") >= F.lit(threshold) * F.greatest("weight", "centre_weight")
         most = F.least("pivot", "centre_pivot") + F.least(F.col("weight") - F.col("pivot"), F.col("centre_weight") - F.col("centre_pivot"))
         least = F.lit(threshold / (1 + threshold)) * (F.col("weight") + F.col("centre_weight"))
         near = F.when(F.col("pivot").isNull() | F.col("centre_pivot").isNull(), True).otherwise(most >= least - 1e-6)
         agree = F.aggregate(F.zip_with("marks", "centre_marks", lambda x, y: x == y), F.lit(0), lambda n, same: n + same.cast("int")) >= F.lit(AGREE * registers)
-        of_band = lambda marks, k: F.slice(marks, k * F.lit(rows) + 1, F.lit(rows))
-        earlier = F.exists(F.sequence(F.lit(0), F.lit(bands - 1)), lambda k: (k < F.col("k")) & (of_band(F.col("marks"), k) == of_band(F.col("centre_marks"), k))) if turn else F.lit(False)
+        earlier = F.exists(F.sequence(F.lit(0), F.lit(bands - 1)), lambda k: (k < F.col("k")) & (F.get("keys", k) == F.get("centre_keys", k))) if turn else F.lit(False)
         pairs = member.join(about, "band").where((F.col("node") != F.col("centre")) & fits & near & agree & ~earlier).select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
@@ -267,7 +266,7 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
             first = member.drop("pivot").join(about.select("band", "centre", "centre_weight"), "band").withColumns({"a": F.least("node", "centre"), "b": F.greatest("node", "centre")})
             shares = F.col("sim") * (F.col("weight") + F.col("centre_weight")) / (1.0 + F.col("sim"))
             own = F.when(F.col("node") == F.col("centre"), F.col("weight").cast("double")).otherwise(shares)
-            member = materialise(first.join(found, ["a", "b"], "left").select("node", "weight", "marks", "k", "band", "met", own.alias("pivot")), "members")
+            member = materialise(first.join(found, ["a", "b"], "left").select("node", "weight", "marks", "keys", "k", "band", "met", own.alias("pivot")), "members")
             apart = member
         # a bucket is settled when all its members are in the classes of its centres
         reached = about.select("band", "centre").join(label.withColumnsRenamed({"node": "centre", "label": "reached"}), "centre").select(F.col("band").alias("band_"), "reached").distinct()

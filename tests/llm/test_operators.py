@@ -243,6 +243,39 @@ def test_classes_equal_brute_force(spark, tiny):
     assert {r.doc_id for r in near_dedup.keep_one(df).collect()} == {find(d) for d, _ in rows}
 
 
+def in_given_buckets(keys_of):
+    """A stand-in for _bands that puts documents in the buckets keys_of(doc_id, k); all marks agree."""
+    given = near_dedup._bands
+
+    def make(bands, rows, registers):
+        real = given(bands, rows, registers)
+
+        def run(batches):
+            import pyarrow as pa
+
+            for b in real(batches):
+                ids = b.column(0).to_pylist()
+                keys = pa.array([[keys_of(d, k) for k in range(bands)] for d in ids], pa.list_(pa.int64()))
+                marks = pa.array([[0] * registers for _ in ids], pa.list_(pa.int8()))
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), keys, marks], names=b.schema.names)
+
+        return run
+
+    return make
+
+
+def edited(name, edits, n=400):
+    return " ".join(f"edit{i}-{name}" if i in edits else f"w{i}-{name}" for i in range(n))
+
+
+def test_equal_marks_of_different_bands_hide_no_pair(spark, monkeypatch):
+    # in each group the least doc_id is no link of the other two, which are links; their marks agree in band 0, their keys only in band 1
+    rows = [(3 * g + j, edited(g, set(range(0, 400, 10)) if j == 0 else {7 + j})) for g in range(12) for j in range(3)]
+    monkeypatch.setattr(near_dedup, "_bands", in_given_buckets(lambda d, k: d * 10 if k == 0 else -1 - d // 3))
+    got = {r.doc_id: r.class_id for r in near_dedup.classes(spark.createDataFrame(rows, "doc_id long, text string"), bands=2).collect()}
+    assert got == {3 * g + j: 3 * g + min(j, 1) for g in range(12) for j in range(3)}
+
+
 def test_registers_estimate_probability_similarity():
     import numpy as np
 
