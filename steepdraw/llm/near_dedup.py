@@ -10,13 +10,13 @@ shingle are one shingle of all their words; documents without words link to noth
 
 No bucket is expanded into pairs.  Texts with the same words are one class from the start.  In
 each bucket all members are compared with one centre, the member that meets most others over all
-buckets, then with further centres among those that still stand apart from the classes of the
-centres so far, until nobody stands apart.  What two bags share cannot exceed what both share with
+buckets, then with further centres among those that stand apart from the bucket's main class,
+the one with most members, until all of them have been centres: of two members of different
+classes one stands apart, so no pair of a bucket is left out.  What two bags share cannot exceed what both share with
 a third, plus what both have beyond it; so a later centre skips, without loss, the members whose
 overlaps with the bucket's first centre rule out a link.  Pairs that agree on fewer than `AGREE` of all registers are
 skipped too; at a similarity of 0.8 that misses fewer than one link in 10,000, as the bands do.
-Otherwise a pair is settled unless both were already tied to different centres that
-are not linked.  Every round takes four times as many centres, so rounds are few.  Links are verified by joining both bags
+Two of one class are not compared again.  Every round takes four times as many centres, so rounds are few.  Links are verified by joining both bags
 to the pair, so a hot centre is one row on one side of a join.  Classes are connected components,
 found by repeated minimum over neighbours and pointer jumping and merged from round to round;
 neither links nor labels ever reach the driver.
@@ -233,7 +233,7 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
     bags = materialise(texts.mapInArrow(_bags, "node long, names binary, places binary, sizes binary").dropDuplicates(["node"]), "bags")
     met = member.groupBy("node").agg(F.sum("n").alias("met"))
     facts = met.join(nodes.select("node", "marks", F.col("bands").alias("keys")), "node")
-    member = materialise(member.join(facts, "node").select("node", "weight", "marks", "keys", "k", "band", "met", F.lit(None).cast("double").alias("pivot")), "members")
+    member = materialise(member.join(facts, "node").select("node", "weight", "marks", "keys", "k", "band", "met", F.lit(None).cast("double").alias("pivot"), F.col("node").alias("label"), F.array().cast("array<int>").alias("open")), "members")
     left = bags.withColumnsRenamed({"node": "a", "names": "n1", "places": "p1", "sizes": "s1"})
     right = bags.withColumnsRenamed({"node": "b", "names": "n2", "places": "p2", "sizes": "s2"})
     label = wanted.select("node", F.col("node").alias("label"))
@@ -245,16 +245,16 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
         centre = materialise(apart.groupBy("band", part.alias("part")).agg(best).select("band", F.col("c.node").alias("centre")), "centres")
         if turn == 0:  # a first centre meets the members of its bucket
             about = member.join(centre.withColumnRenamed("centre", "node"), ["band", "node"], "left_semi")
-        else:  # a later one the members of all its buckets, each in the first bucket they share
+        else:  # a later one the members of all its open buckets, each in the first one they share
             about = member.join(centre.select(F.col("centre").alias("node")).distinct(), "node", "left_semi")
-        about = about.select("band", F.col("node").alias("centre"), F.col("weight").alias("centre_weight"), F.col("marks").alias("centre_marks"), F.col("keys").alias("centre_keys"), F.col("pivot").alias("centre_pivot"))
+        about = about.select("band", F.col("node").alias("centre"), F.col("weight").alias("centre_weight"), F.col("marks").alias("centre_marks"), F.col("keys").alias("centre_keys"), F.col("pivot").alias("centre_pivot"), F.col("label").alias("centre_label"))
         fits = F.least("weight", "centre_weight") >= F.lit(threshold) * F.greatest("weight", "centre_weight")
         most = F.least("pivot", "centre_pivot") + F.least(F.col("weight") - F.col("pivot"), F.col("centre_weight") - F.col("centre_pivot"))
         least = F.lit(threshold / (1 + threshold)) * (F.col("weight") + F.col("centre_weight"))
         near = F.when(F.col("pivot").isNull() | F.col("centre_pivot").isNull(), True).otherwise(most >= least - 1e-6)
         agree = F.aggregate(F.zip_with("marks", "centre_marks", lambda x, y: x == y), F.lit(0), lambda n, same: n + same.cast("int")) >= F.lit(AGREE * registers)
-        earlier = F.exists(F.sequence(F.lit(0), F.lit(bands - 1)), lambda k: (k < F.col("k")) & (F.get("keys", k) == F.get("centre_keys", k))) if turn else F.lit(False)
-        pairs = member.join(about, "band").where((F.col("node") != F.col("centre")) & fits & near & agree & ~earlier).select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
+        earlier = F.exists("open", lambda k: (k < F.col("k")) & (F.get("keys", k) == F.get("centre_keys", k))) if turn else F.lit(False)
+        pairs = member.join(about, "band").where((F.col("label") != F.col("centre_label")) & fits & near & agree & ~earlier).select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = materialise(pairs, "pairs")
@@ -266,18 +266,23 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
             first = member.drop("pivot").join(about.select("band", "centre", "centre_weight"), "band").withColumns({"a": F.least("node", "centre"), "b": F.greatest("node", "centre")})
             shares = F.col("sim") * (F.col("weight") + F.col("centre_weight")) / (1.0 + F.col("sim"))
             own = F.when(F.col("node") == F.col("centre"), F.col("weight").cast("double")).otherwise(shares)
-            member = materialise(first.join(found, ["a", "b"], "left").select("node", "weight", "marks", "keys", "k", "band", "met", own.alias("pivot")), "members")
-            apart = member
-        # a bucket is settled when all its members are in the classes of its centres
-        reached = about.select("band", "centre").join(label.withColumnsRenamed({"node": "centre", "label": "reached"}), "centre").select(F.col("band").alias("band_"), "reached").distinct()
-        rest = apart.join(label, "node").join(reached, (F.col("band") == F.col("band_")) & (F.col("label") == F.col("reached")), "left_anti").select("node", "band", "met")
-        apart = materialise(rest, "apart")
+            member = materialise(first.join(found, ["a", "b"], "left").select("node", "weight", "marks", "keys", "k", "band", "met", own.alias("pivot"), (F.col("node") == F.col("centre")).alias("was")), "members")
+            spots = member.select("node", "band", "k", "met", "was")
+            member = member.drop("was")
+        else:
+            been = centre.select(F.col("centre").alias("node"), F.lit(True).alias("now")).distinct()
+            spots = spots.join(been, "node", "left").select("node", "band", "k", "met", (F.col("was") | F.col("now").isNotNull()).alias("was"))
+        # a bucket is settled when all members outside its main class have been centres
+        spots = materialise(spots.join(label, "node"), "spots")
+        main = spots.groupBy("band", "label").agg(F.count(F.when(~F.col("was"), 1)).alias("n")).groupBy("band").agg(F.max(F.struct("n", "label"))["label"].alias("main"))
+        apart = materialise(spots.join(main, "band").where((F.col("label") != F.col("main")) & ~F.col("was")).select("node", "band", "met"), "apart")
         if apart.limit(1).count() == 0:
             break
         turn += 1
-        # all buckets of the nodes that share an unsettled one, so that first shared buckets stay
-        open_ = member.join(apart.select("band").distinct(), "band", "left_semi").select("node").distinct()
-        member = materialise(member.join(open_, "node", "left_semi"), "members")
+        spots = materialise(spots.join(apart.select("band").distinct(), "band", "left_semi"), "spots")
+        opened = spots.groupBy("node").agg(F.collect_list("k").alias("open"))
+        member = materialise(member.drop("label", "open").join(spots.select("node", "band", "label"), ["node", "band"]).join(opened, "node"), "members")
+        spots = spots.drop("label")
     named_class = node_of.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
     sizes = named_class.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("class_size"))
     return named_class.join(sizes, "label").select("doc_id", "node", "class_id", "class_size")

@@ -276,6 +276,14 @@ def test_equal_marks_of_different_bands_hide_no_pair(spark, monkeypatch):
     assert got == {3 * g + j: 3 * g + min(j, 1) for g in range(12) for j in range(3)}
 
 
+def test_members_of_different_centres_are_compared(spark, monkeypatch):
+    # chains of four texts in one bucket each, linked to their neighbours only
+    rows = [(4 * g + j, edited(g, {8 + 12 * i for i in range(8 * j)})) for g in range(60) for j in range(4)]
+    monkeypatch.setattr(near_dedup, "_bands", in_given_buckets(lambda d, k: d // 4))
+    got = {r.doc_id: r.class_id for r in near_dedup.classes(spark.createDataFrame(rows, "doc_id long, text string"), bands=1).collect()}
+    assert got == {d: d - d % 4 for d, _ in rows}
+
+
 def test_registers_estimate_probability_similarity():
     import numpy as np
 
