@@ -180,6 +180,30 @@ def test_substituted_items_are_found(spark, bench):
     assert set(got) == {1, 2} and got[1].items == [1] and got[1].share == 1.0 and got[2].share == pytest.approx(0.85)
 
 
+def laid_over(text, item):
+    """The greatest share of the item's tokens that agree at any position, also beyond the text's ends."""
+    return max(sum(0 <= s + i < len(text) and text[s + i] == x for i, x in enumerate(item)) for s in range(-len(item), len(text))) / len(item)
+
+
+def test_every_pattern_of_a_fifth_substituted_is_found(spark):
+    import random
+    from itertools import combinations
+
+    rng = random.Random(3)
+    items = {n: [f"i{n}x{j}" for j in range(n)] for n in [*range(10, 32), 44, 45, 59, 60, 100]}
+    rows = []
+    for n, item in items.items():
+        some = list(combinations(range(n), n // 5)) if n < 16 else [rng.sample(range(n), n // 5) for _ in range(200)] + [range(a, a + n // 5) for a in range(n - n // 5 + 1)]
+        for gone in some + [range(n // 5 + 1)]:
+            rows.append((len(rows), n, ["a", "b"] + [f"no{i}" if i in gone else x for i, x in enumerate(item)] + ["c"]))
+        rows += [(len(rows) + 0, n, item[n // 5 :]), (len(rows) + 1, n, item[: n - n // 5])]
+    bench = spark.createDataFrame([(n, " ".join(x)) for n, x in items.items()], "item_id long, text string")
+    docs = spark.createDataFrame([(d, " ".join(t)) for d, _, t in rows], "doc_id long, text string")
+    got = {r.doc_id: (r.item, r.share) for r in decontaminate.hits(docs, bench).collect()}
+    want = {d: (n, laid_over(t, items[n])) for d, n, t in rows}
+    assert got == {d: w for d, w in want.items() if w[1] >= 0.8}
+
+
 # --- 7: language
 
 
