@@ -17,8 +17,9 @@ and meet the benchmark's seeds by equi-join; the benchmark is broadcast only if
 below `BROADCAST_SEEDS`, otherwise the engine shuffles both sides.
 
 Tokens are the maximal runs of letters and digits of the lower-cased text.  Items with fewer
-tokens than `SPAN` are matched whole through seeds of their first tokens being absent: they are
-compared as exact runs of all their tokens.  Null text has no tokens; items without tokens are
+tokens than `SPAN` are compared as exact runs of all their tokens: the run is the seed, and its first
+token is sieved.  Windows carry tokens enough for items of up to `NEAR` tokens; hits of longer items
+are joined back to their texts.  Null text has no tokens; items without tokens are
 ignored; repeated items report as themselves.
 """
 
@@ -34,7 +35,7 @@ SPAN = 10
 MIN_MATCH = 0.8
 SIEVE_BITS = 1 << 20
 BROADCAST_SEEDS = 2_000_000
-MAX_ITEM = 4096  # tokens of an item that verification lays over a text, either side of a hit
+NEAR = 512  # tokens on either side that a window carries; longer items are laid over the joined text
 
 
 def tokens(text: Column) -> Column:
@@ -49,6 +50,14 @@ def _lead_hash(h: Column, i: Column) -> Column:
     return F.xxhash64(F.get(h, i), F.get(h, i + F.lit(1)), F.get(h, i + F.lit(2)))
 
 
+def _run_lead(h: Column, i: Column) -> Column:
+    return F.xxhash64(F.get(h, i), F.lit(-1))
+
+
+def _run_hash(h: Column, i: Column, n: int) -> Column:
+    return F.xxhash64(*[F.get(h, i + F.lit(o)) for o in range(n)], F.lit(-n))
+
+
 def _bit(sieve: Column, value: Column) -> Column:
     at = F.pmod(value, F.lit(SIEVE_BITS))
     return F.getbit(F.get(sieve, F.shiftright(at, 6).cast("int")), F.pmod(at, F.lit(64)).cast("int")) == 1
@@ -65,13 +74,20 @@ def _sieve(values: DataFrame) -> Column:
 
 
 def item_seeds(benchmark: DataFrame, key: str = "item_id") -> DataFrame:
-    """item, item_tokens, item_pos, lead and seed of each chosen window and mask of each item."""
-    own = benchmark.select(F.col(key).alias("item"), tokens(F.col("text")).alias("item_tokens")).where(F.size("item_tokens") >= SPAN)
-    own = own.withColumn("h", F.transform("item_tokens", lambda t: F.xxhash64(t)))
+    """item, item_tokens, item_print, item_pos, lead and seed of each chosen window and mask of each item.
+
+    Items under SPAN tokens have one seed, their whole run; those over NEAR leave out item_tokens.
+    """
+    own = benchmark.select(F.col(key).alias("item"), tokens(F.col("text")).alias("t")).where(F.size("t") > 0)
+    own = own.select("item", F.when(F.size("t") <= NEAR, F.col("t")).alias("item_tokens"), F.xxhash64("t").alias("item_print"), F.transform("t", lambda t: F.xxhash64(t)).alias("h"))
+    kept = ["item", "item_tokens", "item_print"]
     step = F.when(F.size("h") < 2 * SPAN, SPAN // 2).otherwise(SPAN)
-    at = own.select("item", "item_tokens", "h", F.explode(F.transform(F.sequence(F.lit(0), F.expr("size(h) div 15").cast("int")), lambda i: i * step)).alias("item_pos"))
+    at = own.where(F.size("h") >= SPAN).select(*kept, "h", F.explode(F.transform(F.sequence(F.lit(0), F.expr("size(h) div 15").cast("int")), lambda i: i * step)).alias("item_pos"))
     seeds = F.explode(F.array(*[F.struct(_lead_hash(F.col("h"), F.col("item_pos") + F.lit(o)).alias("lead"), _mask_hash(F.col("h"), F.col("item_pos"), m, k).alias("seed")) for k, (m, o) in enumerate(zip(MASKS, LEADS, strict=True))]))
-    return at.select("item", "item_tokens", "item_pos", seeds.alias("s")).select("item", "item_tokens", "item_pos", "s.*")
+    long = at.select(*kept, "item_pos", seeds.alias("s")).select(*kept, "item_pos", "s.*")
+    run = F.coalesce(*[F.when(F.size("h") == n, _run_hash(F.col("h"), F.lit(0), n)) for n in range(1, SPAN)])
+    short = own.where(F.size("h") < SPAN).select(*kept, F.lit(0).alias("item_pos"), _run_lead(F.col("h"), F.lit(0)).alias("lead"), run.alias("seed"))
+    return long.unionByName(short)
 
 
 def _let(value: Column, body) -> Column:
@@ -79,7 +95,7 @@ def _let(value: Column, body) -> Column:
     return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
-def _windows(text: Column, lead_sieve: Column, seed_sieve: Column, longest: int) -> Column:
+def _windows(text: Column, lead_sieve: Column, seed_sieve: Column, longest: int, runs: list[int]) -> Column:
     """Array of (pos, seed, near) of the windows that pass both sieves.
 
     One expression, exploded as outer: a filter on it would be pushed down and take it apart.
@@ -91,6 +107,9 @@ def _windows(text: Column, lead_sieve: Column, seed_sieve: Column, longest: int)
         led = F.filter(spots, lambda i: _bit(lead_sieve, _lead_hash(h, i)))
         # windows may reach beyond the text, where nothing agrees
         every = F.flatten(F.transform(led, lambda i: F.array(*[F.struct((i - F.lit(o)).alias("pos"), _mask_hash(h, i - F.lit(o), m, k).alias("seed")) for k, (m, o) in enumerate(zip(MASKS, LEADS, strict=True))])))
+        if runs:  # lengths of the short items
+            begun = F.filter(F.transform(t, lambda x, i: i), lambda i: _bit(lead_sieve, _run_lead(h, i)))
+            every = F.concat(every, F.flatten(F.transform(begun, lambda i: F.array(*[F.struct(i.alias("pos"), _run_hash(h, i, n).alias("seed")) for n in runs]))))
         passed = F.filter(every, lambda w: _bit(seed_sieve, w["seed"]))
         near = lambda i: F.slice(t, F.greatest(i - F.lit(longest), F.lit(0)) + 1, F.lit(2 * longest + SPAN))
         return F.transform(passed, lambda w: F.struct(w["pos"].alias("pos"), w["seed"].alias("seed"), near(w["pos"]).alias("near")))
@@ -98,27 +117,41 @@ def _windows(text: Column, lead_sieve: Column, seed_sieve: Column, longest: int)
     return _let(tokens(text), lambda t: _let(F.transform(t, lambda x: F.xxhash64(x)), lambda h: windows(t, h)))
 
 
+def _share(text: str, offset: Column) -> Column:
+    """Share of item_tokens that agree with the tokens of the array `text` from offset on."""
+    laid = F.transform("item_tokens", lambda x, i: F.when((offset + i >= 0) & (F.get(F.col(text), offset + i) == x), F.lit(1)).otherwise(F.lit(0)))
+    return F.aggregate(laid, F.lit(0), lambda a, x: a + x) / F.size("item_tokens")
+
+
 def hits(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", item_key: str = "item_id", min_match: float = MIN_MATCH) -> DataFrame:
     """key, item, start (token of the text where the item begins) and matched share, verified."""
     if min_match < MIN_MATCH:
         raise ValueError(f"the seeds lose nothing from a share of {MIN_MATCH} on, not from {min_match}")
     seeds = item_seeds(benchmark, item_key)
-    size = benchmark.select(tokens(F.col("text")).alias("t")).agg(F.sum(F.when(F.size("t") >= SPAN, F.expr("size(t) div 15") + 1)).alias("n"), F.max(F.size("t")).alias("longest")).first()
-    count, longest = (size["n"] or 0) * len(MASKS), min(size["longest"] or 0, MAX_ITEM)
+    sized = benchmark.select(F.size(tokens(F.col("text"))).alias("n")).where("n > 0")
+    size = sized.agg(F.sum(F.when(F.col("n") >= SPAN, F.expr("n div 15 + 1") * len(MASKS)).otherwise(1)).alias("seeds"), F.max("n").alias("longest"), F.array_sort(F.collect_set(F.when(F.col("n") < SPAN, F.col("n")))).alias("runs")).first()
+    count, longest = size["seeds"] or 0, min(size["longest"] or 0, NEAR)
     if not count:
         return docs.select(F.col(key), F.lit(None).cast(dict(benchmark.dtypes)[item_key]).alias("item"), F.lit(0).alias("start"), F.lit(0.0).alias("share")).where(F.lit(False))
     lead_sieve = _sieve(seeds.select(F.col("lead").alias("v")))
     seed_sieve = _sieve(seeds.select(F.col("seed").alias("v")))
-    found = docs.select(F.col(key), F.explode_outer(_windows(F.col("text"), lead_sieve, seed_sieve, longest)).alias("w")).select(key, "w.*")
-    right = seeds.select("item", "item_tokens", "item_pos", "seed")
+    own = [F.col(key), F.xxhash64("text").alias("text_print")]
+    found = docs.select(*own, F.explode_outer(_windows(F.col("text"), lead_sieve, seed_sieve, longest, size["runs"])).alias("w")).select(key, "text_print", "w.*")
+    right = seeds.select("item", "item_tokens", "item_print", "item_pos", "seed")
     if count <= BROADCAST_SEEDS:
         right = F.broadcast(right)
-    met = found.join(right, "seed")
-    met = met.withColumn("start", F.col("pos") - F.col("item_pos"))
+    met = found.join(right, "seed").withColumn("start", F.col("pos") - F.col("item_pos"))
     offset = F.col("start") - F.greatest(F.col("pos") - F.lit(longest), F.lit(0))  # of the item in `near`
-    laid = F.transform("item_tokens", lambda x, i: F.when((offset + i >= 0) & (F.get(F.col("near"), offset + i) == x), F.lit(1)).otherwise(F.lit(0)))
-    share = F.aggregate(laid, F.lit(0), lambda a, x: a + x) / F.size("item_tokens")
-    return met.where(share >= min_match).select(key, "item", "start", share.alias("share")).groupBy(key, "item", "start").agg(F.max("share").alias("share"))
+    least = F.when(F.size("item_tokens") < SPAN, 1.0).otherwise(min_match)
+    shares = met.where("item_tokens is not null").withColumn("share", _share("near", offset)).where(F.col("share") >= least).select(key, "item", "start", "share")
+    if size["longest"] > NEAR:
+        far = met.where("item_tokens is null").select(key, "text_print", "item", "item_print", "start").distinct()
+        texts = docs.select(F.xxhash64("text").alias("text_print"), "text").join(far.select("text_print").distinct(), "text_print", "left_semi").dropDuplicates(["text_print"])
+        items = benchmark.select(tokens(F.col("text")).alias("item_tokens")).where(F.size("item_tokens") > NEAR).withColumn("item_print", F.xxhash64("item_tokens")).dropDuplicates(["item_print"])
+        laid = far.select("text_print", "item_print", "start").distinct().join(items, "item_print").join(texts.select("text_print", tokens(F.col("text")).alias("near")), "text_print")
+        laid = laid.select("text_print", "item_print", "start", _share("near", F.col("start")).alias("share")).where(F.col("share") >= min_match)
+        shares = shares.unionByName(far.join(laid, ["text_print", "item_print", "start"]).select(key, "item", "start", "share"))
+    return shares.groupBy(key, "item", "start").agg(F.max("share").alias("share"))
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", item_key: str = "item_id") -> DataFrame:

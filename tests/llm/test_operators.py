@@ -204,6 +204,19 @@ def test_every_pattern_of_a_fifth_substituted_is_found(spark):
     assert got == {d: w for d, w in want.items() if w[1] >= 0.8}
 
 
+def test_short_and_very_long_items_are_found(spark):
+    long = [f"i{j}" for j in range(11_000)]
+    items = [(1, "yes"), (2, "two words"), (3, "a run of nine tokens that is no longer"), (4, " ".join(long)), (5, " ".join(long[:600])), (6, "two words")]
+    edited = [f"no{j}" if j % 6 == 0 else x for j, x in enumerate(long)]
+    broken = [f"no{j}" if j % 4 == 0 else x for j, x in enumerate(long)]
+    texts = ["Yes!", "x two, WORDS y", "words two", "it is a run of nine tokens that is no longer there", "a run of nine tokens that is not longer", "b " + " ".join(long), "b " + " ".join(edited), "b " + " ".join(broken), "b " + " ".join(long[:600]), " ".join(long[:8_000]), "two"]
+    docs = spark.createDataFrame([(d, t) for d, t in enumerate(texts)] + [(None, "say yes")], "doc_id long, text string")
+    got = {r.doc_id: r["items"] for r in decontaminate.contaminated(docs, spark.createDataFrame(items, "item_id long, text string")).collect()}
+    assert got == {0: [1], 1: [2, 6], 3: [3], 5: [4, 5], 6: [4, 5], 8: [5], 9: [5], None: [1]}
+    kept = decontaminate.decontaminate(docs, spark.createDataFrame(items, "item_id long, text string")).collect()
+    assert {r.doc_id for r in kept} == {2, 4, 7, 10}
+
+
 # --- 7: language
 
 
