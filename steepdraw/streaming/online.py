@@ -6,13 +6,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions.features import shard_of
 from ..functions.objectives import Linear
 from ..functions.steps import StepRule, constant
-from ..plans import local
-from ..sources.tables import scratch
+from ..plans import trainers as T
+from ..sources.tables import checkpointed, scratch
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -77,28 +78,42 @@ def run_available(df: DataFrame, name: str, mode: str = "complete") -> DataFrame
 class PrequentialTrainer:
     """Scores each batch first, then takes weighted steps on it; the model persists between batches.
 
-    A micro-batch is drawn from by the lengths of its own rows under the current model, mixed with
-    a uniform floor; the batch id seeds the draws, so a replayed batch gives the same model.
+    All rows of a micro-batch are scored, by a distributed mean, and all can be drawn: by shard
+    masses, from the lengths of its own rows under the current model, mixed with a uniform floor.
+    Only the drawn rows (steps times batch) reach the driver; the batch id seeds the draws, so a
+    replayed batch gives the same model.
     """
 
-    def __init__(self, dim: int, rule: StepRule | None = None, steps: int = 20, batch: int = 32, beta: float = 0.2, rows: int = 20_000) -> None:
+    def __init__(self, dim: int, rule: StepRule | None = None, steps: int = 20, batch: int = 32, beta: float = 0.2) -> None:
         self.objective, self.rule = Linear("squared", dim), rule or constant(0.01)
-        self.w, self.steps, self.batch, self.beta, self.rows = np.zeros(dim), steps, batch, beta, rows
+        self.w, self.steps, self.batch, self.beta = np.zeros(dim), steps, batch, beta
         self.trace: list[tuple[int, int, float, float]] = []
 
+    def _score(self, data: DataFrame) -> tuple[int, float]:
+        """Number of rows and mean loss under the current model."""
+        objective, w = self.objective, self.w
+
+        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for pdf in batches:
+                if len(pdf):
+                    x, y = np.array(pdf["features"].tolist()), pdf["label"].to_numpy(dtype=float)
+                    yield pd.DataFrame({"n": [len(pdf)], "loss": [float(objective.evaluate(w, x, y)[0].sum())]})
+
+        r = data.select("features", "label").mapInPandas(run, "n long, loss double").agg(F.sum("n").alias("n"), F.sum("loss").alias("loss")).first()
+        return (r["n"], r["loss"] / r["n"]) if r["n"] else (0, 0.0)
+
     def __call__(self, df: DataFrame, batch_id: int) -> None:
-        own = df.select("instance_id", "features", "label")
-        s = self.w
-        few = own.orderBy(F.xxhash64("instance_id", F.lit(batch_id))).limit(self.rows).toPandas()  # a bounded sample trains
-        if not len(few):
+        # an id that repeats is numbered, so that each row is drawn for itself
+        again = F.row_number().over(Window.partitionBy("instance_id").orderBy(F.xxhash64("features", "label")))
+        key = F.concat_ws("#", F.col("instance_id").cast("string"), again.cast("string"))
+        own = df.select(key.alias("instance_id"), "features", "label").withColumns({"shard": shard_of(F.col("instance_id"), 16), "is_valid": F.lit(False)})
+        own = checkpointed(own, "micro-batch")
+        n, before = self._score(own)
+        if not n:
             return
-        few = few.sort_values("instance_id")
-        x, y = np.array(few["features"].tolist()), few["label"].to_numpy(dtype=float)
-        before = float(self.objective.evaluate(s, x, y)[0].mean())
-        lengths = self.objective.evaluate(s, x, y)[1]
-        done = local.run_steps(self.objective, x, y, s, method="history", steps=self.steps, batch=self.batch, rule=self.rule, seed=batch_id, beta=self.beta, magnitude=lengths)
-        self.w = done.w
-        self.trace.append((batch_id, len(few), before, float(self.objective.evaluate(self.w, x, y)[0].mean())))
+        done = T.train("history", own, self.objective, w=self.w, steps=self.steps, batch=self.batch, step_rule=self.rule, seed=batch_id, exec_mode=f"prefetch:{self.steps}", beta=self.beta, init="exact_scan")
+        self.w = done.model
+        self.trace.append((batch_id, n, before, self._score(own)[1]))
 
 
 def event_instances(events: DataFrame) -> DataFrame:

@@ -64,6 +64,14 @@ def test_trainer_is_replayed_exactly(spark):
     assert np.allclose(models[0], models[1])
 
 
+def test_prequential_trainer_scores_every_row(spark):
+    n = 30_000
+    df = spark.range(n).select(F.col("id").alias("instance_id"), F.array(F.lit(1.0), (F.col("id") / n).cast("double")).alias("features"), F.when(F.col("id") % 3 == 0, 2.0).otherwise(1.0).alias("label"))
+    t = online.PrequentialTrainer(2, steps=5)
+    t(df, 1)
+    assert t.trace[0][1] == n and np.isclose(t.trace[0][2], 2.0)
+
+
 def test_sliding_windows_count_each_event_twice(spark, tmp_path):
     data = f"file://{tmp_path}/data"
     write(spark, data, "a", [event(1, 1, day=2), event(2, 1, day=3)])
