@@ -37,7 +37,28 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     """Write to the shared folder and read back: cuts the lineage and survives lost executors."""
     path = scratch_path(df.sparkSession, label)
     df.write.mode("overwrite").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.scratch = path
+    return out
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete the files of materialised tables that no plan to come reads."""
+    for df in tables:
+        spark = df.sparkSession
+        path = spark._jvm.org.apache.hadoop.fs.Path(df.scratch)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
+BROADCAST_BYTES = 32 << 20
+
+
+def broadcast_if(df: DataFrame, row_bytes: int) -> DataFrame:
+    """df, a materialised table, with a broadcast hint if its rows are known to fit BROADCAST_BYTES.
+
+    Beyond, the engine shuffles both sides of the join.
+    """
+    return F.broadcast(df) if df.count() * row_bytes <= BROADCAST_BYTES else df
 
 
 def text_bytes(df: DataFrame, column: str = "text") -> int:

@@ -4,48 +4,58 @@ Documents are bags of 5-word shingles, weighted by how often they occur.  Each s
 arrivals of a Poisson process whose rate is its weight to random registers; a register keeps the
 earliest arrival's name, and a shingle stops once its next arrival is later than the latest
 register.  Two documents agree on a register with the probability Jaccard similarity of their
-weights.  Bands of registers propose pairs; a pair is a link if the weighted Jaccard similarity of
-its two bags (sum of minima over sum of maxima) is at least `threshold`.  Documents shorter than a
-shingle are one shingle of all their words; documents without words link to nothing.
-
-No bucket is expanded into pairs.  Texts with the same words are one class from the start.  In
-each bucket all members are compared with one centre, the member that meets most others over all
-buckets, then with further centres among those that stand apart from the bucket's main class,
-the one with most members, until all of them have been centres: of two members of different
-classes one stands apart, so no pair of a bucket is left out.  What two bags share cannot exceed what both share with
-a third, plus what both have beyond it; so a later centre skips, without loss, the members whose
-overlaps with the bucket's first centre rule out a link.  Pairs that agree on fewer than `AGREE` of all registers are
-skipped too; at a similarity of 0.8 that misses fewer than one link in 10,000, as the bands do.
-Two of one class are not compared again.  Every round takes four times as many centres, so rounds are few.  Links are verified by joining both bags
-to the pair, so a hot centre is one row on one side of a join.  Classes are connected components,
-found by repeated minimum over neighbours and pointer jumping and merged from round to round;
-neither links nor labels ever reach the driver.
+weights, which is at least their weighted Jaccard similarity.  Bands of registers propose pairs; a
+pair is a link if the weighted Jaccard similarity of its two bags (sum of minima over sum of
+maxima) is at least `threshold`.  Documents shorter than a shingle are one shingle of all their
+words; documents without words link to nothing.
+
+No bucket is expanded into pairs.  Texts with the same words are one class from the start.
+
+1. All members of a bucket are compared with one centre, the member that meets most others over
+   all buckets.  Links merge classes; most buckets then hold one class and are settled.
+2. In the others, a few centres of each bucket are taken from the members outside its largest
+   class.  Of all pairs that they make with members of other classes, only the most alike of each
+   two classes is verified, so classes merge by few comparisons.
+3. What is left outside a bucket's largest class meets all members of other classes in the bucket,
+   each pair in the first bucket it shares, and every pair is verified.  Of two members of
+   different classes one is outside the largest, so no pair of a bucket is left out.
+
+Before its bags are read, a pair must pass two bounds: its sizes allow a link, and `AGREE` of all
+registers agree, compared by PLANES bits of each, packed into words.  At a similarity of 0.8
+chance hides one link in 1,500 from this bound and one in 3,000 from the bands; above, far fewer.
+Links are verified by joining both bags to the pair, so a hot centre is one row on one side of a
+join, and a hot bucket can be split.  Classes are connected components, found by repeated minimum
+over neighbours and pointer jumping; neither links nor labels ever reach the driver.
 
 Texts and shingles are named by hashes (64 bits for texts, 32 for shingles within a bag).  Null
 text counts as empty.  Rows of one text share their class, whatever their ids; a class is named by
-its least doc_id.  Rows without a doc_id have classes but can't be singled out: `keep_one` leaves
-them.  Rows that repeat a doc_id and its text are one document there.
+its least doc_id (null if none has an id).  Empty tables give empty results; of further columns
+`classes` takes no notice and `keep_one` returns them as they are, whatever their names.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SpanHasher, materialise, mix64, powers
+from .common import SpanHasher, broadcast_if, materialise, mix64, powers, release
 
 SHINGLE = 5
 THRESHOLD = 0.8
-BANDS = 26  # a link of 0.8 stays unproposed once in 30,000
+BANDS = 20
 ROWS = 5
-CENTRES = 4
-REGISTERS = 256  # the bands read the first BANDS * ROWS
-AGREE = 0.70
+ROUNDS = (2, 16)  # centres a mixed bucket before all its outer members are compared
+REGISTERS = 256  # the bands read the first BANDS * ROWS; a multiple of 64
+PLANES = 4
+AGREE = 0.72
 BATCH_BYTES = 1 << 19
+BATCH_ROWS = 512
 
 
 def word_hashes(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
@@ -111,35 +121,47 @@ def signatures(text: np.ndarray, names: np.ndarray, weights: np.ndarray, texts:
     return out.reshape(texts, registers)
 
 
-def _chunks(texts: list) -> Iterator[slice]:
+def _chunks(texts: pa.Array) -> Iterator[slice]:
+    """Slices of at most BATCH_ROWS texts, cut once they hold BATCH_BYTES."""
     size, start = 0, 0
-    for i, t in enumerate(texts):
-        size += len(t or "")
-        if size >= BATCH_BYTES:
+    for i, n in enumerate(pc.binary_length(texts).to_pylist()):
+        size += n or 0
+        if size >= BATCH_BYTES or i + 1 - start >= BATCH_ROWS:
             yield slice(start, i + 1)
             size, start = 0, i + 1
     if start < len(texts):
         yield slice(start, len(texts))
 
 
-def _bands(bands: int, rows: int, registers: int):
+def mark_planes(signature: np.ndarray) -> np.ndarray:
+    """The top PLANES bits of each register: plane after plane, 64 registers a word."""
+    top = (signature >> np.uint64(64 - PLANES)).astype(np.uint8)
+    return np.concatenate([np.packbits((top >> k) & 1, axis=1).view(np.int64) for k in range(PLANES)], axis=1)
+
+
+def _lists(values: np.ndarray) -> pa.Array:
+    n, each = values.shape
+    return pa.ListArray.from_arrays(pa.array(np.arange(0, n * each + 1, each), pa.int32()), pa.array(values.ravel()))
+
+
+def _signed(bands: int, rows: int, registers: int):
+    """node, weight, band keys and mark planes beside the columns before the text, which is last."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ids, texts = b.column(0), b.column(1).to_pylist()
+            *own, texts = b.columns
             for part in _chunks(texts):
-                text, h, w, node = shingles(texts[part])
-                n = len(texts[part])
+                some = texts.slice(part.start, part.stop - part.start).to_pylist()
+                text, h, w, node = shingles(some)
+                n = len(some)
                 weight = np.bincount(text, w, minlength=n).astype(np.int64)
-                all_of = signatures(text, h, w, n, registers)
-                sig = all_of[:, : bands * rows].reshape(n, bands, rows)
+                every = signatures(text, h, w, n, registers)
+                sig = every[:, : bands * rows].reshape(n, bands, rows)
                 key = np.zeros((n, bands), dtype=np.uint64)
                 for r in range(rows):
                     key = key * np.uint64(0x9E3779B97F4A7C15) + sig[:, :, r]
-                key = mix64(key + np.arange(bands, dtype=np.uint64))
-                keys = pa.ListArray.from_arrays(pa.array(np.arange(0, n * bands + 1, bands), pa.int32()), pa.array(key.ravel().view(np.int64)))
-                short = (all_of >> np.uint64(56)).astype(np.uint8).view(np.int8)
-                marks = pa.ListArray.from_arrays(pa.array(np.arange(0, n * registers + 1, registers), pa.int32()), pa.array(short.ravel()))
-                yield pa.RecordBatch.from_arrays([ids.slice(part.start, n), pa.array(node), pa.array(weight), keys, marks], names=["doc_id", "node", "weight", "bands", "marks"])
+                key = mix64(key + np.arange(bands, dtype=np.uint64)).view(np.int64)
+                yield pa.RecordBatch.from_arrays([*(c.slice(part.start, n) for c in own), pa.array(node), pa.array(weight), _lists(key), _lists(mark_planes(every))], names=[*b.schema.names[:-1], "node", "weight", "bands", "planes"])
 
     return run
 
@@ -147,10 +169,10 @@ def _bands(bands: int, rows: int, registers: int):
 def _bags(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Each text's bag: shingle names (4 bytes each, sorted), places and sizes of weights over one."""
     for b in batches:
-        texts = b.column(0).to_pylist()
-        for part in _chunks(texts):
-            text, h, w, node = shingles(texts[part])
-            n = len(texts[part])
+        for part in _chunks(b.column(0)):
+            some = b.column(0).slice(part.start, part.stop - part.start).to_pylist()
+            text, h, w, node = shingles(some)
+            n = len(some)
             short = (h >> np.uint64(32)).astype(np.uint32)  # keeps the order
             cut = np.searchsorted(text, np.arange(n + 1)).tolist()
             names, places, sizes = [], [], []
@@ -197,9 +219,10 @@ def components(links: DataFrame) -> DataFrame:
         hop = label.select(F.col("node").alias("label"), F.col("label").alias("up"))
         new = label.join(near.withColumnRenamed("a", "node"), "node").join(hop, "label", "left")
         new = materialise(new.select("node", F.least("label", "near", F.coalesce("up", "label")).alias("label"), F.col("label").alias("old")), "labels")
-        changed = new.where("label <> old").limit(1).count()
-        label = new.select("node", "label")
-        if not changed:
+        release(label)
+        label = new
+        if new.where("label <> old").isEmpty():
+            release(both)
             return label
 
 
@@ -207,89 +230,124 @@ def _merge(label: DataFrame, links: DataFrame) -> DataFrame:
     """Labels after further links: the links join labels, whose components relabel the nodes."""
     ends = links.join(label.withColumnsRenamed({"node": "a", "label": "la"}), "a").join(label.withColumnsRenamed({"node": "b", "label": "lb"}), "b")
     joined = materialise(ends.where("la <> lb").select(F.col("la").alias("a"), F.col("lb").alias("b")).distinct(), "merged")
-    if joined.limit(1).count() == 0:
+    if joined.isEmpty():
+        release(links, joined)
         return label
-    to = components(joined).select(F.col("label").alias("to"), F.col("node").alias("label"))
-    return materialise(label.join(to, "label", "left").select("node", F.coalesce("to", "label").alias("label")), "classes")
+    found = components(joined)
+    to = found.select(F.col("label").alias("to"), F.col("node").alias("label"))
+    out = materialise(label.join(to, "label", "left").select("node", F.coalesce("to", "label").alias("label")), "classes")
+    release(links, joined, found, label)
+    return out
 
 
-def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, registers: int = REGISTERS) -> DataFrame:
-    """doc_id, class_id (least doc_id of the class) and class_size for every row of docs.
+def _agreeing(mine: str, other: str, registers: int) -> Column:
+    """Registers whose marks agree."""
+    words = registers // 64
 
-    node names the text's words.
-    """
-    own = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    kind = dict(docs.dtypes)["doc_id"]
-    signed = materialise(own.mapInArrow(_bands(bands, rows, registers), f"doc_id {kind}, node long, weight long, bands array<long>, marks array<tinyint>"), "signatures")
-    node_of = signed.select("doc_id", "node")
-    # copies of one content are one node, reduced map side; the node's text is read at one id
-    nodes = materialise(signed.where("weight > 0").groupBy("node").agg(F.min("doc_id").alias("lead"), *[F.first(c).alias(c) for c in ("weight", "bands", "marks")]), "nodes")
-    every = nodes.select("node", "lead", "weight", F.posexplode("bands").alias("k", "band"))
-    shared = every.groupBy("band").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    member = materialise(every.join(shared, "band"), "members")
-    wanted = materialise(member.select("node", "lead").distinct(), "wanted")
-    leads = wanted.select(F.col("lead").alias("lead_id")).distinct()
-    texts = own.join(leads, F.col("doc_id").eqNullSafe(F.col("lead_id"))).select("text")
-    bags = materialise(texts.mapInArrow(_bags, "node long, names binary, places binary, sizes binary").dropDuplicates(["node"]), "bags")
-    met = member.groupBy("node").agg(F.sum("n").alias("met"))
-    facts = met.join(nodes.select("node", "marks", F.col("bands").alias("keys")), "node")
-    member = materialise(member.join(facts, "node").select("node", "weight", "marks", "keys", "k", "band", "met", F.lit(None).cast("double").alias("pivot"), F.col("node").alias("label"), F.array().cast("array<int>").alias("open")), "members")
+    def differing(word: int) -> Column:
+        differ = [F.get(mine, F.lit(k * words + word)).bitwiseXOR(F.get(other, F.lit(k * words + word))) for k in range(PLANES)]
+        return F.bit_count(reduce(Column.bitwiseOR, differ))
+
+    return F.lit(registers) - sum((differing(i) for i in range(1, words)), differing(0))
+
+
+def _verified(pairs: DataFrame, bags: DataFrame, threshold: float) -> DataFrame:
+    """The pairs (a, b) whose bags are as alike as `threshold`."""
     left = bags.withColumnsRenamed({"node": "a", "names": "n1", "places": "p1", "sizes": "s1"})
     right = bags.withColumnsRenamed({"node": "b", "names": "n2", "places": "p2", "sizes": "s2"})
-    label = wanted.select("node", F.col("node").alias("label"))
-    tried, apart, turn = None, member, 0
-    while True:
-        # one centre a bucket at first, then several at once among those that stand apart
-        part = F.pmod(F.xxhash64("node", F.lit(turn)), F.lit(1 if turn == 0 else CENTRES * 4 ** (turn - 1)))
-        best = F.max(F.struct("met", "node")).alias("c")
-        centre = materialise(apart.groupBy("band", part.alias("part")).agg(best).select("band", F.col("c.node").alias("centre")), "centres")
-        if turn == 0:  # a first centre meets the members of its bucket
-            about = member.join(centre.withColumnRenamed("centre", "node"), ["band", "node"], "left_semi")
-        else:  # a later one the members of all its open buckets, each in the first one they share
-            about = member.join(centre.select(F.col("centre").alias("node")).distinct(), "node", "left_semi")
-        about = about.select("band", F.col("node").alias("centre"), F.col("weight").alias("centre_weight"), F.col("marks").alias("centre_marks"), F.col("keys").alias("centre_keys"), F.col("pivot").alias("centre_pivot"), F.col("label").alias("centre_label"))
-        fits = F.least("weight", "centre_weight") >= F.lit(threshold) * F.greatest("weight", "centre_weight")
-        most = F.least("pivot", "centre_pivot") + F.least(F.col("weight") - F.col("pivot"), F.col("centre_weight") - F.col("centre_pivot"))
-        least = F.lit(threshold / (1 + threshold)) * (F.col("weight") + F.col("centre_weight"))
-        near = F.when(F.col("pivot").isNull() | F.col("centre_pivot").isNull(), True).otherwise(most >= least - 1e-6)
-        agree = F.aggregate(F.zip_with("marks", "centre_marks", lambda x, y: x == y), F.lit(0), lambda n, same: n + same.cast("int")) >= F.lit(AGREE * registers)
-        earlier = F.exists("open", lambda k: (k < F.col("k")) & (F.get("keys", k) == F.get("centre_keys", k))) if turn else F.lit(False)
-        pairs = member.join(about, "band").where((F.col("label") != F.col("centre_label")) & fits & near & agree & ~earlier).select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
-        if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        pairs = materialise(pairs, "pairs")
-        found = pairs.join(left, "a").join(right, "b").select("a", "b", "n1", "p1", "s1", "n2", "p2", "s2").mapInArrow(_similarities, "a long, b long, sim double")
-        found = materialise(found, "verified")
-        label = _merge(label, found.where(F.col("sim") >= threshold))
-        tried = pairs if tried is None else tried.union(pairs)
-        if turn == 0:  # what each member shares with its bucket's first centre
-            first = member.drop("pivot").join(about.select("band", "centre", "centre_weight"), "band").withColumns({"a": F.least("node", "centre"), "b": F.greatest("node", "centre")})
-            shares = F.col("sim") * (F.col("weight") + F.col("centre_weight")) / (1.0 + F.col("sim"))
-            own = F.when(F.col("node") == F.col("centre"), F.col("weight").cast("double")).otherwise(shares)
-            member = materialise(first.join(found, ["a", "b"], "left").select("node", "weight", "marks", "keys", "k", "band", "met", own.alias("pivot"), (F.col("node") == F.col("centre")).alias("was")), "members")
-            spots = member.select("node", "band", "k", "met", "was")
-            member = member.drop("was")
-        else:
-            been = centre.select(F.col("centre").alias("node"), F.lit(True).alias("now")).distinct()
-            spots = spots.join(been, "node", "left").select("node", "band", "k", "met", (F.col("was") | F.col("now").isNotNull()).alias("was"))
-        # a bucket is settled when all members outside its main class have been centres
-        spots = materialise(spots.join(label, "node"), "spots")
-        main = spots.groupBy("band", "label").agg(F.count(F.when(~F.col("was"), 1)).alias("n")).groupBy("band").agg(F.max(F.struct("n", "label"))["label"].alias("main"))
-        apart = materialise(spots.join(main, "band").where((F.col("label") != F.col("main")) & ~F.col("was")).select("node", "band", "met"), "apart")
-        if apart.limit(1).count() == 0:
+    met = pairs.join(left, "a").join(right, "b").select("a", "b", "n1", "p1", "s1", "n2", "p2", "s2")
+    found = met.mapInArrow(_similarities, "a long, b long, sim double")
+    return materialise(found.where(F.col("sim") >= threshold), "links")
+
+
+def _labelled(docs: DataFrame, threshold: float, bands: int, rows: int, registers: int) -> DataFrame:
+    """doc_id, print (of the text), node and label of every row of docs."""
+    own = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).select("doc_id", F.xxhash64("text").alias("print"), "text")
+    kind = dict(docs.dtypes)["doc_id"]
+    signed = materialise(own.mapInArrow(_signed(bands, rows, registers), f"doc_id {kind}, print long, node long, weight long, bands array<long>, planes array<long>"), "signatures")
+    every = signed.where("weight > 0").select("node", F.posexplode("bands").alias("k", "band"))
+    # a bucket that holds one content proposes nothing
+    shared = every.groupBy("band").agg(F.min("node").alias("lo"), F.max("node").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi").select("band", "n")
+    member = materialise(every.join(shared, "band").groupBy("band", "node").agg(F.first("k").alias("k"), F.first("n").alias("n")), "members")
+    met = materialise(member.groupBy("node").agg(F.sum("n").alias("met")), "met")
+    # facts of each content in a bucket, and the row whose text stands for it
+    lead = F.min(F.struct("doc_id", "print")).alias("lead")
+    facts = signed.join(broadcast_if(met, 16), "node").groupBy("node").agg(lead, *[F.first(c).alias(c) for c in ("met", "weight", "bands", "planes")])
+    facts = materialise(facts.withColumn("bands", F.transform("bands", lambda b: F.shiftright(b.bitwiseXOR(F.shiftleft(b, 32)), 32).cast("int"))), "facts")
+    leads = materialise(facts.select(F.col("lead.doc_id").alias("lead_id"), F.col("lead.print").alias("lead_print")), "leads")
+    is_lead = F.col("doc_id").eqNullSafe(F.col("lead_id")) & (F.col("print") == F.col("lead_print"))
+    texts = own.join(broadcast_if(leads, 16), is_lead, "left_semi").select("text")
+    bags = materialise(texts.mapInArrow(_bags, "node long, names binary, places binary, sizes binary").dropDuplicates(["node"]), "bags")
+
+    def alike(a: str, b: str) -> Column:
+        """Neither sizes nor marks rule out a link of the nodes with prefixes a and b."""
+        fits = F.least(f"{a}weight", f"{b}weight") >= F.lit(threshold) * F.greatest(f"{a}weight", f"{b}weight")
+        return fits & (_agreeing(f"{a}planes", f"{b}planes", registers) >= least)
+
+    least = round(AGREE * registers)
+    sketch = facts.select("node", "weight", "planes")
+    # one centre a bucket: the member that meets most others over all buckets
+    centre = member.join(broadcast_if(met, 16), "node").groupBy("band").agg(F.max(F.struct("met", "node"))["node"].alias("centre"))
+    stars = member.join(centre, "band").where("node <> centre").select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
+    ends = [sketch.withColumnsRenamed({"node": x, "weight": f"{x}_weight", "planes": f"{x}_planes"}) for x in "ab"]
+    stars = stars.join(ends[0], "a").join(ends[1], "b").where(alike("a_", "b_")).select("a", "b")
+    alone = materialise(met.select("node", F.col("node").alias("label")), "classes")
+    label = _merge(alone, _verified(stars, bags, threshold))
+    for parts in (*ROUNDS, None):
+        spots = member.join(label, "node").select("band", "k", "node", "label")
+        sizes = spots.groupBy("band", "label").agg(F.count(F.lit(1)).alias("n"))
+        mixed = sizes.groupBy("band").agg(F.max(F.struct("n", "label"))["label"].alias("main"), F.count(F.lit(1)).alias("labels")).where("labels > 1").select("band", "main")
+        spots = materialise(spots.join(mixed, "band").select("band", "k", "node", "label", (F.col("label") != F.col("main")).alias("apart")), "spots")
+        if spots.isEmpty():
             break
-        turn += 1
-        spots = materialise(spots.join(apart.select("band").distinct(), "band", "left_semi"), "spots")
-        opened = spots.groupBy("node").agg(F.collect_list("k").alias("open"))
-        member = materialise(member.drop("label", "open").join(spots.select("node", "band", "label"), ["node", "band"]).join(opened, "node"), "members")
-        spots = spots.drop("label")
-    named_class = node_of.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    sizes = named_class.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("class_size"))
-    return named_class.join(sizes, "label").select("doc_id", "node", "class_id", "class_size")
-
-
-def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """The document with the least doc_id of each class; rows without doc_id stay."""
-    chosen = classes(docs, **options).where("doc_id = class_id").select(F.col("doc_id").alias("_keep")).distinct()
-    own = docs.join(chosen, F.col("doc_id") == F.col("_keep"), "left_semi").dropDuplicates(["doc_id"])
-    return own.unionByName(docs.where("doc_id is null"))
+        opened = spots.groupBy("node").agg(F.collect_list("k").alias("open"))  # BANDS of them at most
+        full = spots.join(facts.select("node", "met", "weight", "planes", "bands").join(opened, "node"), "node")
+        if parts is None:
+            about = full.where("apart")
+        else:
+            own_part = F.pmod(F.xxhash64("node", F.lit(parts)), F.lit(parts))
+            chosen = spots.where("apart").join(met, "node").groupBy("band", own_part.alias("part")).agg(F.max(F.struct("met", "node"))["node"].alias("node"))
+            about = full.join(chosen.select("node").distinct(), "node", "left_semi")
+        about = about.select("band", F.col("node").alias("centre"), F.col("label").alias("centre_label"), F.col("apart").alias("centre_apart"), F.col("weight").alias("centre_weight"), F.col("planes").alias("centre_planes"), F.col("bands").alias("centre_bands"))
+        unlike = F.col("label") != F.col("centre_label")
+        once = (~F.col("apart")) | (F.col("node") < F.col("centre")) if parts is None else F.lit(True)
+        before = F.exists("open", lambda k: (k < F.col("k")) & (F.get("bands", k) == F.get("centre_bands", k)))
+        pairs = full.join(about, "band").where(unlike & once & alike("", "centre_") & ~before)
+        pairs = pairs.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b"), F.least("label", "centre_label").alias("la"), F.greatest("label", "centre_label").alias("lb"), _agreeing("planes", "centre_planes", registers).alias("agree"))
+        if parts is None:
+            pairs = pairs.select("a", "b").distinct()
+        else:  # the most promising pair of each two classes
+            pairs = pairs.groupBy("la", "lb").agg(F.max(F.struct("agree", "a", "b")).alias("best")).select("best.a", "best.b")
+        label = _merge(label, _verified(pairs, bags, threshold))
+        release(spots)
+    release(member, met, facts, leads, bags)
+    return signed.select("doc_id", "print", "node").join(broadcast_if(label, 16), "node", "left").withColumn("label", F.coalesce("label", "node"))
+
+
+def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, registers: int = REGISTERS) -> DataFrame:
+    """doc_id, node (names the text's words), class_id (least doc_id of the class) and class_size of every row."""
+    named = _labelled(docs, threshold, bands, rows, registers)
+    sizes = named.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("class_size"))
+    return named.join(sizes, "label").select("doc_id", "node", "class_id", "class_size")
+
+
+def keep_one(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, registers: int = REGISTERS) -> DataFrame:
+    """One row of each class: the one with the least doc_id, nulls last, and of these the least print.
+
+    Rows are told apart by doc_id and text, so rows that repeat an id with unlike texts all stay,
+    and rows that repeat both are one.  Texts move only where they share both with another row.
+    """
+    named = materialise(_labelled(docs, threshold, bands, rows, registers).select("label", "doc_id", "print"), "labelled")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "print"))
+    each = named.groupBy("label").agg(first.alias("one"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    chosen = F.col("doc_id").eqNullSafe(F.col("one.doc_id")) & (F.col("print") == F.col("one.print"))
+    marked = named.join(each, "label").select("doc_id", "print", chosen.alias("chosen"))
+    gone = materialise(marked.where("not chosen").select(F.col("doc_id").alias("gone_id"), F.col("print").alias("gone_print")).distinct(), "gone")
+    twice = materialise(marked.where("chosen").groupBy("doc_id", "print").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("doc_id").alias("gone_id"), F.col("print").alias("gone_print")), "twice")
+    whole = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").alias("own_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("own_print"))
+    same = F.col("own_id").eqNullSafe(F.col("gone_id")) & (F.col("own_print") == F.col("gone_print"))
+    kept = whole.join(broadcast_if(gone, 16), same, "left_anti")
+    if twice.isEmpty():
+        return kept.select("row.*")
+    once = kept.join(broadcast_if(twice, 16), same, "left_anti").select("row")
+    return once.unionByName(kept.join(broadcast_if(twice, 16), same, "left_semi").dropDuplicates(["own_id", "own_print"]).select("row")).select("row.*")

@@ -281,8 +281,8 @@ def test_classes_equal_brute_force(spark, tiny):
 
 
 def in_given_buckets(keys_of):
-    """A stand-in for _bands that puts documents in the buckets keys_of(doc_id, k); all marks agree."""
-    given = near_dedup._bands
+    """A stand-in for _signed that puts documents in the buckets keys_of(doc_id, k); all marks agree."""
+    given = near_dedup._signed
 
     def make(bands, rows, registers):
         real = given(bands, rows, registers)
@@ -293,8 +293,8 @@ def in_given_buckets(keys_of):
             for b in real(batches):
                 ids = b.column(0).to_pylist()
                 keys = pa.array([[keys_of(d, k) for k in range(bands)] for d in ids], pa.list_(pa.int64()))
-                marks = pa.array([[0] * registers for _ in ids], pa.list_(pa.int8()))
-                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), keys, marks], names=b.schema.names)
+                planes = pa.array([[0] * (registers * near_dedup.PLANES // 64) for _ in ids], pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([*b.columns[:-2], keys, planes], names=b.schema.names)
 
         return run
 
@@ -308,7 +308,7 @@ def edited(name, edits, n=400):
 def test_equal_marks_of_different_bands_hide_no_pair(spark, monkeypatch):
     # in each group the least doc_id is no link of the other two, which are links; their marks agree in band 0, their keys only in band 1
     rows = [(3 * g + j, edited(g, set(range(0, 400, 10)) if j == 0 else {7 + j})) for g in range(12) for j in range(3)]
-    monkeypatch.setattr(near_dedup, "_bands", in_given_buckets(lambda d, k: d * 10 if k == 0 else -1 - d // 3))
+    monkeypatch.setattr(near_dedup, "_signed", in_given_buckets(lambda d, k: d * 10 if k == 0 else -1 - d // 3))
     got = {r.doc_id: r.class_id for r in near_dedup.classes(spark.createDataFrame(rows, "doc_id long, text string"), bands=2).collect()}
     assert got == {3 * g + j: 3 * g + min(j, 1) for g in range(12) for j in range(3)}
 
@@ -316,7 +316,7 @@ def test_equal_marks_of_different_bands_hide_no_pair(spark, monkeypatch):
 def test_members_of_different_centres_are_compared(spark, monkeypatch):
     # chains of four texts in one bucket each, linked to their neighbours only
     rows = [(4 * g + j, edited(g, {8 + 12 * i for i in range(8 * j)})) for g in range(60) for j in range(4)]
-    monkeypatch.setattr(near_dedup, "_bands", in_given_buckets(lambda d, k: d // 4))
+    monkeypatch.setattr(near_dedup, "_signed", in_given_buckets(lambda d, k: d // 4))
     got = {r.doc_id: r.class_id for r in near_dedup.classes(spark.createDataFrame(rows, "doc_id long, text string"), bands=1).collect()}
     assert got == {d: d - d % 4 for d, _ in rows}
 
