@@ -13,19 +13,18 @@ No bucket is expanded into pairs.  Texts with the same words are one class from
 
 1. All members of a bucket are compared with one centre, the member that meets most others over
    all buckets.  Links merge classes; most buckets then hold one class and are settled.
-2. In the others, a few centres of each bucket are taken from the members outside its largest
-   class.  Of all pairs that they make with members of other classes, only the most alike of each
-   two classes is verified, so classes merge by few comparisons.
-3. What is left outside a bucket's largest class meets all members of other classes in the bucket,
-   each pair in the first bucket it shares, and every pair is verified.  Of two members of
-   different classes one is outside the largest, so no pair of a bucket is left out.
-
-Before its bags are read, a pair must pass two bounds: its sizes allow a link, and `AGREE` of all
-registers agree, compared by PLANES bits of each, packed into words.  At a similarity of 0.8
-chance hides one link in 1,500 from this bound and one in 3,000 from the bands; above, far fewer.
-Links are verified by joining both bags to the pair, so a hot centre is one row on one side of a
-join, and a hot bucket can be split.  Classes are connected components, found by repeated minimum
-over neighbours and pointer jumping; neither links nor labels ever reach the driver.
+2. In the others, what is outside the bucket's largest class is compared with all members of other
+   classes.  Of two members of different classes one is outside the largest, so no pair of a
+   bucket is left out.
+
+A comparison is a join's condition, so pairs that are no links never become rows.  It goes from
+cheap to exact: sizes allow a link; `AGREE` of all registers agree, by PLANES bits of each, packed
+into words; the bags share enough.  A bag is an array with one element for each occurrence of a
+shingle, so what two bags share is the size of their intersection.  At a similarity of 0.8 chance
+hides one link in 1,500 from the second test and one in 3,000 from the bands; above, far fewer.
+A hot centre is one row on one side of a join, and a hot bucket can be split.  Classes are
+connected components, found by repeated minimum over neighbours and pointer jumping; neither
+links nor labels ever reach the driver.
 
 Texts and shingles are named by hashes (64 bits for texts, 32 for shingles within a bag).  Null
 text counts as empty.  Rows of one text share their class, whatever their ids; a class is named by
@@ -50,7 +49,6 @@ SHINGLE = 5
 THRESHOLD = 0.8
 BANDS = 20
 ROWS = 5
-ROUNDS = (2, 16)  # centres a mixed bucket before all its outer members are compared
 REGISTERS = 256  # the bands read the first BANDS * ROWS; a multiple of 64
 PLANES = 4
 AGREE = 0.72
@@ -167,47 +165,17 @@ def _signed(bands: int, rows: int, registers: int):
 
 
 def _bags(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Each text's bag: shingle names (4 bytes each, sorted), places and sizes of weights over one."""
+    """Each text's bag: 32-bit names of its shingles, a further name for each further occurrence."""
     for b in batches:
         for part in _chunks(b.column(0)):
             some = b.column(0).slice(part.start, part.stop - part.start).to_pylist()
             text, h, w, node = shingles(some)
-            n = len(some)
-            short = (h >> np.uint64(32)).astype(np.uint32)  # keeps the order
-            cut = np.searchsorted(text, np.arange(n + 1)).tolist()
-            names, places, sizes = [], [], []
-            for a, z in zip(cut, cut[1:], strict=False):
-                heavy = np.flatnonzero(w[a:z] > 1).astype(np.uint32)
-                names.append(short[a:z].tobytes())
-                places.append(heavy.tobytes())
-                sizes.append(w[a:z][heavy].astype(np.uint32).tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(node), pa.array(names, pa.binary()), pa.array(places, pa.binary()), pa.array(sizes, pa.binary())], names=["node", "names", "places", "sizes"])
-
-
-def _unpack(bag: tuple[bytes, bytes, bytes]) -> tuple[np.ndarray, np.ndarray]:
-    names = np.frombuffer(bag[0], np.uint32)
-    weights = np.ones(len(names), dtype=np.int64)
-    weights[np.frombuffer(bag[1], np.uint32)] = np.frombuffer(bag[2], np.uint32)
-    return names, weights
-
-
-def bag_similarity(a: tuple[bytes, bytes, bytes], b: tuple[bytes, bytes, bytes]) -> float:
-    """Sum of smaller weights over sum of larger ones."""
-    (x, u), (y, v) = _unpack(a), _unpack(b)
-    if not len(x) or not len(y):
-        return 0.0
-    at = np.searchsorted(y, x)
-    at[at == len(y)] = 0
-    same = y[at] == x
-    low = int(np.minimum(u[same], v[at[same]]).sum())
-    return low / (int(u.sum()) + int(v.sum()) - low)
-
-
-def _similarities(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        bags = [b.column(i).to_pylist() for i in range(2, 8)]
-        sim = [bag_similarity(x[:3], x[3:]) for x in zip(*bags, strict=True)]
-        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(sim, pa.float64())], names=["a", "b", "sim"])
+            nth = np.arange(int(w.sum())) - np.repeat(np.cumsum(w) - w, w)
+            names = np.repeat(h, w)
+            names[nth > 0] = mix64(names[nth > 0] + nth[nth > 0].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+            edges = np.concatenate([[0], np.cumsum(np.bincount(text, w, minlength=len(some)))]).astype(np.int32)
+            bags = pa.ListArray.from_arrays(pa.array(edges), pa.array((names >> np.uint64(32)).astype(np.uint32).view(np.int32)))
+            yield pa.RecordBatch.from_arrays([pa.array(node), bags], names=["node", "bag"])
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -251,76 +219,55 @@ def _agreeing(mine: str, other: str, registers: int) -> Column:
     return F.lit(registers) - sum((differing(i) for i in range(1, words)), differing(0))
 
 
-def _verified(pairs: DataFrame, bags: DataFrame, threshold: float) -> DataFrame:
-    """The pairs (a, b) whose bags are as alike as `threshold`."""
-    left = bags.withColumnsRenamed({"node": "a", "names": "n1", "places": "p1", "sizes": "s1"})
-    right = bags.withColumnsRenamed({"node": "b", "names": "n2", "places": "p2", "sizes": "s2"})
-    met = pairs.join(left, "a").join(right, "b").select("a", "b", "n1", "p1", "s1", "n2", "p2", "s2")
-    found = met.mapInArrow(_similarities, "a long, b long, sim double")
-    return materialise(found.where(F.col("sim") >= threshold), "links")
-
-
 def _labelled(docs: DataFrame, threshold: float, bands: int, rows: int, registers: int) -> DataFrame:
     """doc_id, print (of the text), node and label of every row of docs."""
     own = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).select("doc_id", F.xxhash64("text").alias("print"), "text")
     kind = dict(docs.dtypes)["doc_id"]
     signed = materialise(own.mapInArrow(_signed(bands, rows, registers), f"doc_id {kind}, print long, node long, weight long, bands array<long>, planes array<long>"), "signatures")
-    every = signed.where("weight > 0").select("node", F.posexplode("bands").alias("k", "band"))
+    every = signed.where("weight > 0").select("node", F.explode("bands").alias("band"))
     # a bucket that holds one content proposes nothing
     shared = every.groupBy("band").agg(F.min("node").alias("lo"), F.max("node").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi").select("band", "n")
-    member = materialise(every.join(shared, "band").groupBy("band", "node").agg(F.first("k").alias("k"), F.first("n").alias("n")), "members")
+    member = materialise(every.join(shared, "band").groupBy("band", "node").agg(F.first("n").alias("n")), "members")
     met = materialise(member.groupBy("node").agg(F.sum("n").alias("met")), "met")
     # facts of each content in a bucket, and the row whose text stands for it
     lead = F.min(F.struct("doc_id", "print")).alias("lead")
-    facts = signed.join(broadcast_if(met, 16), "node").groupBy("node").agg(lead, *[F.first(c).alias(c) for c in ("met", "weight", "bands", "planes")])
-    facts = materialise(facts.withColumn("bands", F.transform("bands", lambda b: F.shiftright(b.bitwiseXOR(F.shiftleft(b, 32)), 32).cast("int"))), "facts")
-    leads = materialise(facts.select(F.col("lead.doc_id").alias("lead_id"), F.col("lead.print").alias("lead_print")), "leads")
+    sketch = signed.join(broadcast_if(met, 16), "node").groupBy("node").agg(lead, *[F.first(c).alias(c) for c in ("weight", "planes")])
+    sketch = materialise(sketch, "sketches")
+    leads = materialise(sketch.select(F.col("lead.doc_id").alias("lead_id"), F.col("lead.print").alias("lead_print")), "leads")
     is_lead = F.col("doc_id").eqNullSafe(F.col("lead_id")) & (F.col("print") == F.col("lead_print"))
     texts = own.join(broadcast_if(leads, 16), is_lead, "left_semi").select("text")
-    bags = materialise(texts.mapInArrow(_bags, "node long, names binary, places binary, sizes binary").dropDuplicates(["node"]), "bags")
+    bags = texts.mapInArrow(_bags, "node long, bag array<int>").groupBy("node").agg(F.first("bag").alias("bag"))
+    facts = materialise(sketch.drop("lead").join(bags, "node"), "facts")
+    release(sketch, leads)
+    least = round(AGREE * registers)
 
-    def alike(a: str, b: str) -> Column:
-        """Neither sizes nor marks rule out a link of the nodes with prefixes a and b."""
-        fits = F.least(f"{a}weight", f"{b}weight") >= F.lit(threshold) * F.greatest(f"{a}weight", f"{b}weight")
-        return fits & (_agreeing(f"{a}planes", f"{b}planes", registers) >= least)
+    def linked(a: str, b: str) -> Column:
+        """The nodes whose facts have prefixes a and b are a link; tested from cheap to exact."""
+        wa, wb, share = F.col(f"{a}weight"), F.col(f"{b}weight"), F.lit(threshold)
+        shared = F.size(F.array_intersect(f"{a}bag", f"{b}bag"))
+        return (F.least(wa, wb) >= share * F.greatest(wa, wb)) & (_agreeing(f"{a}planes", f"{b}planes", registers) >= least) & (shared >= share * (wa + wb - shared) - 1e-9)
+
+    def prefixed(df: DataFrame, prefix: str) -> DataFrame:
+        return df.withColumnsRenamed({c: f"{prefix}{c}" for c in ("node", "label", "weight", "planes", "bag", "apart")})
 
-    least = round(AGREE * registers)
-    sketch = facts.select("node", "weight", "planes")
     # one centre a bucket: the member that meets most others over all buckets
     centre = member.join(broadcast_if(met, 16), "node").groupBy("band").agg(F.max(F.struct("met", "node"))["node"].alias("centre"))
-    stars = member.join(centre, "band").where("node <> centre").select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()
-    ends = [sketch.withColumnsRenamed({"node": x, "weight": f"{x}_weight", "planes": f"{x}_planes"}) for x in "ab"]
-    stars = stars.join(ends[0], "a").join(ends[1], "b").where(alike("a_", "b_")).select("a", "b")
+    stars = member.join(centre, "band").where("node <> centre").select(F.least("node", "centre").alias("a_node"), F.greatest("node", "centre").alias("b_node")).distinct()
+    found = stars.join(prefixed(facts, "a_"), "a_node").join(prefixed(facts, "b_"), "b_node").where(linked("a_", "b_"))
     alone = materialise(met.select("node", F.col("node").alias("label")), "classes")
-    label = _merge(alone, _verified(stars, bags, threshold))
-    for parts in (*ROUNDS, None):
-        spots = member.join(label, "node").select("band", "k", "node", "label")
-        sizes = spots.groupBy("band", "label").agg(F.count(F.lit(1)).alias("n"))
-        mixed = sizes.groupBy("band").agg(F.max(F.struct("n", "label"))["label"].alias("main"), F.count(F.lit(1)).alias("labels")).where("labels > 1").select("band", "main")
-        spots = materialise(spots.join(mixed, "band").select("band", "k", "node", "label", (F.col("label") != F.col("main")).alias("apart")), "spots")
-        if spots.isEmpty():
-            break
-        opened = spots.groupBy("node").agg(F.collect_list("k").alias("open"))  # BANDS of them at most
-        full = spots.join(facts.select("node", "met", "weight", "planes", "bands").join(opened, "node"), "node")
-        if parts is None:
-            about = full.where("apart")
-        else:
-            own_part = F.pmod(F.xxhash64("node", F.lit(parts)), F.lit(parts))
-            chosen = spots.where("apart").join(met, "node").groupBy("band", own_part.alias("part")).agg(F.max(F.struct("met", "node"))["node"].alias("node"))
-            about = full.join(chosen.select("node").distinct(), "node", "left_semi")
-        about = about.select("band", F.col("node").alias("centre"), F.col("label").alias("centre_label"), F.col("apart").alias("centre_apart"), F.col("weight").alias("centre_weight"), F.col("planes").alias("centre_planes"), F.col("bands").alias("centre_bands"))
-        unlike = F.col("label") != F.col("centre_label")
-        once = (~F.col("apart")) | (F.col("node") < F.col("centre")) if parts is None else F.lit(True)
-        before = F.exists("open", lambda k: (k < F.col("k")) & (F.get("bands", k) == F.get("centre_bands", k)))
-        pairs = full.join(about, "band").where(unlike & once & alike("", "centre_") & ~before)
-        pairs = pairs.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b"), F.least("label", "centre_label").alias("la"), F.greatest("label", "centre_label").alias("lb"), _agreeing("planes", "centre_planes", registers).alias("agree"))
-        if parts is None:
-            pairs = pairs.select("a", "b").distinct()
-        else:  # the most promising pair of each two classes
-            pairs = pairs.groupBy("la", "lb").agg(F.max(F.struct("agree", "a", "b")).alias("best")).select("best.a", "best.b")
-        label = _merge(label, _verified(pairs, bags, threshold))
-        release(spots)
-    release(member, met, facts, leads, bags)
+    label = _merge(alone, materialise(found.select(F.col("a_node").alias("a"), F.col("b_node").alias("b")), "links"))
+    # buckets that still hold several classes
+    spots = member.join(label, "node").select("band", "node", "label")
+    sizes = spots.groupBy("band", "label").agg(F.count(F.lit(1)).alias("n"))
+    mixed = sizes.groupBy("band").agg(F.max(F.struct("n", "label"))["label"].alias("main"), F.count(F.lit(1)).alias("labels")).where("labels > 1").select("band", "main")
+    spots = materialise(spots.join(mixed, "band").select("band", "node", "label", (F.col("label") != F.col("main")).alias("apart")), "spots")
+    full = spots.join(facts, "node")
+    about = prefixed(full.where("apart"), "c_")
+    once = ~F.col("apart") | (F.col("node") < F.col("c_node"))
+    found = full.join(about, "band").where((F.col("label") != F.col("c_label")) & once & linked("", "c_"))
+    found = found.select(F.least("node", "c_node").alias("a"), F.greatest("node", "c_node").alias("b")).distinct()
+    label = _merge(label, materialise(found, "links"))
+    release(member, met, facts, spots)
     return signed.select("doc_id", "print", "node").join(broadcast_if(label, 16), "node", "left").withColumn("label", F.coalesce("label", "node"))
 
 
