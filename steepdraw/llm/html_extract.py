@@ -47,9 +47,16 @@ OUTER_ROLES = frozenset("navigation banner contentinfo complementary search form
 
 LENGTH_LOW, LENGTH_HIGH = 70, 200
 STOPS_LOW, STOPS_HIGH = 0.30, 0.32
+STOPS_UNKNOWN = 0.05  # a page whose prose has fewer is in a language without a list; length and links decide
 MAX_LINK_DENSITY = 0.33
+ALL_LINKS = 0.9  # inside an article
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*(?:>|\Z)|<\?[^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)|<[/a-zA-Z][^<]*\Z", re.DOTALL)
+#: A tag ends at the first > outside quotes; where quotes don't pair up before the next <, they are read as any character.
+_TOKEN = re.compile(
+    r"<!--.*?(?:-->|\Z)|<![^>]*(?:>|\Z)|<\?[^>]*(?:>|\Z)|"
+    r"<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"'<]|\"[^\"<]*\"|'[^'<]*')*>|(?:[^>\"']|=\s*\"[^\"=]*\"|=\s*'[^'=]*')*>|[^>]*(?:>|\Z))",
+    re.DOTALL,
+)
 _ATTRIBUTE = re.compile(r"""([^\s=/>"']+)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+))""")
 _SPACE = re.compile(r"\s+")
 _WORD = re.compile(r"[^\W\d_]+")
@@ -149,7 +156,7 @@ def blocks_of(page: str) -> list[Block]:
                         break
                 elif stack[k][0] in ("ul", "ol", "dl", "table", "tbody", "thead", "html"):
                     break
-        attributes = m.group(3)
+        attributes = m.group(3).removesuffix(">")
         outer = outer or _is_outer(tag, attributes, article)
         article = article or tag in ARTICLE_TAGS or 'role="main"' in attributes
         dropped = dropped or tag in DROPPED_TAGS
@@ -164,29 +171,46 @@ def blocks_of(page: str) -> list[Block]:
     return [b for b in found if b.text]
 
 
-def _first_pass(b: Block) -> str:
+def _stops(text: str) -> tuple[int, int]:
+    words = _WORD.findall(text.lower())
+    return sum(w in STOP_WORDS for w in words), len(words)
+
+
+def _known_language(blocks: list[Block]) -> bool:
+    """Whether the stop words say anything about this page's prose."""
+    counts = [_stops(b.text) for b in blocks if not b.outer and len(b.text) >= LENGTH_LOW]
+    return sum(c[0] for c in counts) >= STOPS_UNKNOWN * sum(c[1] for c in counts)
+
+
+def _first_pass(b: Block, known: bool = True) -> str:
     """good, bad, near (middling) or short (ambiguous), from the block alone."""
     if b.outer:
         return "bad"
     linked = len(_SPACE.sub(" ", "".join(b.linked)).strip())
+    if b.article:  # prose with many links is prose; a block that is nothing but links is a list of them
+        if linked >= ALL_LINKS * len(b.text):
+            return "bad"
+        return "good" if len(b.text) >= LENGTH_LOW else "short"
     if linked > MAX_LINK_DENSITY * len(b.text):
         return "bad"
-    if b.article:
-        return "good" if len(b.text) >= LENGTH_LOW else "short"
     if b.text.startswith(("©", "(c) ")):
         return "bad"
     if len(b.text) < LENGTH_LOW:
         return "short" if not linked else "bad"
-    words = _WORD.findall(b.text.lower())
-    stops = sum(w in STOP_WORDS for w in words) / max(1, len(words))
-    if stops >= STOPS_HIGH:
+    if not known:
+        return "good" if len(b.text) > LENGTH_HIGH else "near"
+    stops, words = _stops(b.text)
+    if stops >= STOPS_HIGH * max(1, words):
         return "good" if len(b.text) > LENGTH_HIGH else "near"
-    return "near" if stops >= STOPS_LOW else "bad"
+    return "near" if stops >= STOPS_LOW * max(1, words) else "bad"
 
 
 def label_blocks(blocks: list[Block]) -> list[Block]:
     """Both passes; every block ends as good or bad."""
-    first = [_first_pass(b) for b in blocks]
+    known = _known_language(blocks)
+    first = [_first_pass(b, known) for b in blocks]
+    if "good" not in first:  # pages of middling paragraphs only: the longest stand for the text
+        first = ["good" if x == "near" and len(b.text) > LENGTH_LOW else x for b, x in zip(blocks, first, strict=True)]
     before, last = [], "bad"
     for b, x in zip(blocks, first, strict=True):
         before.append(last)
