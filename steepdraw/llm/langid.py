@@ -16,8 +16,11 @@ labelled row every document gets `und`.  lang, source and doc_id are never used
 from __future__ import annotations
 
 import re
+from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator
+from functools import cache
+from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
@@ -32,28 +35,45 @@ PACK = 200
 #: First code point of ranges of letters, with their script.
 SCRIPTS = ((0x0000, "latin"), (0x0370, "greek"), (0x0400, "cyrillic"), (0x0530, "armenian"), (0x0590, "hebrew"), (0x0600, "arabic"), (0x0900, "indic"), (0x0E00, "southeast"), (0x10A0, "georgian"), (0x1100, "hangul"), (0x1200, "other"), (0x1E00, "latin"), (0x1F00, "greek"), (0x2000, "other"), (0x3040, "kana"), (0x3100, "han"), (0xAC00, "hangul"), (0xD7B0, "other"), (0xF900, "han"), (0xFB00, "other"), (0x20000, "han"), (0x30000, "other"))
 _STARTS = [a for a, _ in SCRIPTS]
-_WORD = re.compile(r"[^\W\d_]+")
+LONGEST_WORD = 40
+LAST_LATIN = "\u036f"
 
 
+@cache
 def script_of(char: str) -> str:
-    code, found = ord(char), "other"
-    for start, name in SCRIPTS:
-        if code < start:
-            break
-        found = name
-    return found
+    return SCRIPTS[bisect_right(_STARTS, ord(char)) - 1][1]
 
 
-def words_of(text: str | None) -> list[str]:
-    return _WORD.findall(text.lower()) if text else []
+@cache
+def _words_in() -> re.Pattern:
+    """Runs of up to LONGEST_WORD letters; signs for numbers such as a half are none."""
+    signs = [c for c in map(chr, range(0x110000)) if c.isnumeric() and not c.isdecimal() and not c.isalpha()]
+    ranges, start = [], None
+    for a, b in zip(signs, [*signs[1:], None], strict=True):
+        start = start or a
+        if b is None or ord(b) != ord(a) + 1:
+            ranges.append(f"{start}-{a}")
+            start = None
+    return re.compile(rf"[^\W\d_{''.join(ranges)}]{{1,{LONGEST_WORD}}}")
 
 
-def grams_of(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """Buckets of the words' 1- to 4-letter grams, ends marked, and the word of each.
+def words_of(text: str | None) -> list[str]:
+    """Words of letters, lower-cased.
 
-    Long words count by their first and last 20 letters.
+    Longer runs, as of scripts without spaces, are consecutive words of LONGEST_WORD letters, and a
+    run goes on as a new word where its script changes, so every letter is scored by its script.
     """
-    own = [f"<{w}>" if len(w) <= 40 else f"<{w[:20]}{w[-20:]}>" for w in words]
+    if not text:
+        return []
+    found = _words_in().findall(text.lower())
+    if max(text) <= LAST_LATIN:
+        return found
+    return [part for w in found for part in ((w,) if max(w) <= LAST_LATIN else ("".join(g) for _, g in groupby(w, script_of)))]
+
+
+def grams_of(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets of the words' 1- to 4-letter grams, ends marked, and the word of each."""
+    own = [f"<{w}>" for w in words]
     data = np.frombuffer("".join(own).encode("utf-32-le"), dtype=np.uint32).astype(np.uint64)
     size = np.array([len(w) for w in own], dtype=np.int64)
     word = np.repeat(np.arange(len(own)), size)
