@@ -1,32 +1,45 @@
 """Document quality with thresholds that adapt to language and source.
 
-A narrow pass measures each text.  The measures of each (language, source) go into KLL quantile
-sketches; sketches merge, so languages and the whole corpus are sums of the groups' sketches and
-no row is read twice.  A group's upper fence is its third quartile plus `SPREAD` times its
-interquartile range, never below the stated floor; groups under `LEAST` rows use their
-language's fence, and small languages the corpus's.  Texts beyond a fence, or that fail the base
-rules, are rejected.  Sketches are built map side, so a hot source costs one sketch per task.
-
-Null text has no words and fails; null language or source is a group of its own.
+A narrow pass measures each text.  The measures of the texts that pass the base rules go into
+quantile sketches, one for each (language, source) and measure: histograms whose bins grow by a
+fixed factor, so that every quantile is known within `ACCURACY` of its value.  Counts of bins add
+up, so sketches merge exactly, in any order and with the same result; languages and the whole
+corpus are sums of the groups' sketches and no row is read twice.  Sketches are summed map side,
+so a hot source costs as many rows a task as it has bins.
+
+A group's fence lies beyond its upper quantile by a multiple of the distance between that quantile
+and its mirror; the multiple puts the fence of a normally distributed measure `REACH` standard
+deviations above its mean, whichever quantile is used.  `TAILS` names the quantile of each measure.
+No number fixes a fence: a group without LEAST rows, or without distance between its two
+quantiles, takes its language's fence, a language without them the corpus's, and a corpus without
+them has none.  Texts beyond a fence, or that fail the base rules, are rejected.
+
+Null text has no words and fails; null language or source is a group of its own; repeated rows
+count as often as they occur.  Empty tables give empty results.  `filter_documents` returns all
+columns as they are, whatever their names.
 """
 
 from __future__ import annotations
 
+import math
 import re
 from collections import Counter
-from collections.abc import Iterator
+from statistics import NormalDist
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from .common import materialise
 
-SKETCH_K = 4096
-SPREAD = 3.0
+ACCURACY = 0.005
+GROWTH = (1 + ACCURACY) / (1 - ACCURACY)
+REACH = 4.7
 LEAST = 30
-#: Measures that may not exceed their fence, with the fence's floor.
-FLOORS = {"symbol_ratio": 0.30, "repeat_ratio": 0.30, "dup_line_ratio": 0.50, "word_length": 16.0}
+#: Measures that may not exceed their fence, and the quantile that it starts from: the more of the
+#: good texts repeat lines or phrases, the further out.
+TAILS = {"symbol_ratio": 0.95, "repeat_ratio": 0.99, "dup_line_ratio": 0.99, "word_length": 0.75}
 
 _WORD = re.compile("[^\x20\x09-\x0d]+")
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")
@@ -53,63 +66,77 @@ def measure(text: str | None) -> tuple[int, ...]:
     return len(words), sum(map(len, words)), sum(map(text.count, SYMBOLS)), len(lines) - len(set(lines)), repeat_words(words), len(lines)
 
 
-def with_measures(docs: DataFrame, keep: list[str]) -> DataFrame:
-    """Adds the counts; `keep` names the columns that pass through."""
+@F.arrow_udf(StructType([StructField(c, LongType()) for c in COUNTS]))
+def measures_of(texts: pa.Array) -> pa.Array:
+    got = [measure(t) for t in texts.to_pylist()]
+    return pa.StructArray.from_arrays([pa.array([g[i] for g in got], pa.int64()) for i in range(len(COUNTS))], list(COUNTS))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            got = [measure(t) for t in b.column(len(keep)).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(keep))), *(pa.array([g[i] for g in got], pa.int64()) for i in range(len(COUNTS)))], names=[*keep, *COUNTS])
 
-    kinds = dict(docs.dtypes)
-    schema = ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), *(f"{c} long" for c in COUNTS)])
-    return docs.select(*keep, F.col("text").cast("string").alias("_text")).mapInArrow(run, schema)
+def _measured(docs: DataFrame, **kept: Column) -> DataFrame:
+    """kept columns, lang, source, measures (a struct) and base_failed."""
+    own = docs.select(*[c.alias(n) for n, c in kept.items()], "lang", "source", measures_of(F.col("text").cast("string")).alias("m"))
+    words = F.col("m.n_words")
+    return own.withColumn("base_failed", (words < 50) | (100 * F.col("m.n_repeat_words") > 50 * words))
 
 
-def ratios(df: DataFrame) -> DataFrame:
-    words, lines = F.greatest("n_words", F.lit(1)), F.greatest("n_lines", F.lit(1))
-    return df.withColumns({"symbol_ratio": F.col("n_symbols") / words, "repeat_ratio": F.col("n_repeat_words") / words, "dup_line_ratio": F.col("n_dup_lines") / lines, "word_length": F.col("word_chars") / words})
+def _ratio(measure: str) -> Column:
+    words, lines = F.greatest("m.n_words", F.lit(1)), F.greatest("m.n_lines", F.lit(1))
+    return {"symbol_ratio": F.col("m.n_symbols") / words, "repeat_ratio": F.col("m.n_repeat_words") / words, "dup_line_ratio": F.col("m.n_dup_lines") / lines, "word_length": F.col("m.word_chars") / words}[measure]
 
 
-def base_failed() -> Column:
-    return (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
+def sketches(measured: DataFrame) -> DataFrame:
+    """lang, source, measure, bin and n; bin b holds values up to GROWTH ** b, a null bin holds zeros."""
+    each = F.explode(F.array(*[F.struct(F.lit(m).alias("measure"), _ratio(m).alias("value")) for m in TAILS]))
+    long = measured.where("not base_failed").select("lang", "source", each.alias("x")).select("lang", "source", "x.*")
+    at = F.when(F.col("value") > 0, F.ceil(F.log("value") / F.lit(math.log(GROWTH))).cast("int"))
+    return long.groupBy("lang", "source", "measure", at.alias("bin")).agg(F.count(F.lit(1)).alias("n"))
 
 
-def _fences(sketches: DataFrame, tag: str) -> DataFrame:
-    def fence(m: str) -> Column:
-        low, high = (F.kll_sketch_get_quantile_double(m, F.lit(q)) for q in (0.25, 0.75))
-        return F.greatest(F.lit(FLOORS[m]), high + F.lit(SPREAD) * (high - low))
+def _reach(q: float) -> float:
+    z = NormalDist().inv_cdf(q)
+    return (REACH - z) / (2 * z)
 
-    keys = [c for c in sketches.columns if c not in (*FLOORS, "n")]
-    return sketches.select(*keys, F.col("n").alias(f"n_{tag}"), *[fence(m).alias(f"{m}_{tag}") for m in FLOORS])
+
+def _fences(sketch: DataFrame, *group: str) -> DataFrame:
+    """group, measure and fence (null where the group has none) from merged sketches."""
+    own = sketch.groupBy(*group, "measure", "bin").agg(F.sum("n").alias("n"))
+    # a window holds the bins of one sketch
+    upto = own.withColumn("upto", F.sum("n").over(Window.partitionBy(*group, "measure").orderBy(F.col("bin").asc_nulls_first())))
+    value = F.coalesce(F.lit(2 / (1 + GROWTH)) * F.pow(F.lit(GROWTH), "bin"), F.lit(0.0))
+    tail = F.create_map(*[x for m, q in TAILS.items() for x in (F.lit(m), F.lit(q))])[F.col("measure")]
+    reach = F.create_map(*[x for m, q in TAILS.items() for x in (F.lit(m), F.lit(_reach(q)))])[F.col("measure")]
+    points = upto.groupBy(*group, "measure").agg(F.max("upto").alias("rows"), F.array_sort(F.collect_list(F.struct("upto", value.alias("value")))).alias("bins"))
+    at = lambda q: F.filter("bins", lambda b: b["upto"] >= q * F.col("rows"))[0]["value"]
+    found = points.select(*group, "measure", "rows", at(1 - tail).alias("low"), at(tail).alias("high"), reach.alias("reach"))
+    fence = F.when((F.col("rows") >= LEAST) & (F.col("high") > F.col("low")), F.col("high") + F.col("reach") * (F.col("high") - F.col("low")))
+    return found.select(*group, "measure", fence.alias("fence"))
 
 
 def thresholds(measured: DataFrame) -> DataFrame:
-    """One row per (lang, source) with the fence of each measure, from merged sketches."""
-    own = measured.groupBy("lang", "source").agg(F.count(F.lit(1)).alias("n"), *[F.kll_sketch_agg_double(m, F.lit(SKETCH_K)).alias(m) for m in FLOORS])
-    own = materialise(own, "sketches")
-    merged = [F.sum("n").alias("n"), *[F.kll_merge_agg_double(m).alias(m) for m in FLOORS]]
-    by_lang = _fences(own.groupBy("lang").agg(*merged), "lang")
-    whole = _fences(own.groupBy(F.lit(1).alias("one")).agg(*merged), "all")
-    langs = by_lang.withColumn("one", F.lit(1)).join(whole, "one").drop("one").withColumnRenamed("lang", "lang_")
-    out = _fences(own, "group").join(langs, F.col("lang").eqNullSafe(F.col("lang_")))
-    return out.select("lang", "source", *[F.when(F.col("n_group") >= LEAST, F.col(f"{m}_group")).when(F.col("n_lang") >= LEAST, F.col(f"{m}_lang")).otherwise(F.col(f"{m}_all")).alias(f"{m}_fence") for m in FLOORS])
+    """group_lang, group_source and fences (measure to fence) of each (lang, source)."""
+    own = materialise(sketches(measured), "sketches")
+    group = _fences(own, "lang", "source").withColumnRenamed("fence", "by_group")
+    lang = _fences(own, "lang").select(F.col("lang").alias("lang_"), F.col("measure").alias("measure_"), F.col("fence").alias("by_lang"))
+    whole = _fences(own).select(F.col("measure").alias("measure__"), F.col("fence").alias("by_all"))
+    wide = group.join(lang, F.col("lang").eqNullSafe(F.col("lang_")) & (F.col("measure") == F.col("measure_"))).join(whole, F.col("measure") == F.col("measure__"))
+    named = F.struct("measure", F.coalesce("by_group", "by_lang", "by_all").alias("fence"))
+    return wide.groupBy(F.col("lang").alias("group_lang"), F.col("source").alias("group_source")).agg(F.map_from_entries(F.collect_list(named)).alias("fences"))
 
 
 def judge(measured: DataFrame, fences: DataFrame) -> DataFrame:
-    """Adds base_failed and kept to measured rows (with ratios)."""
-    f = fences.withColumnsRenamed({"lang": "lang_", "source": "source_"})
-    joined = measured.join(f, F.col("lang").eqNullSafe(F.col("lang_")) & F.col("source").eqNullSafe(F.col("source_")), "left")
+    """Adds fences and kept to measured rows; groups without a row that passes the base rules need none."""
+    same = F.col("lang").eqNullSafe(F.col("group_lang")) & F.col("source").eqNullSafe(F.col("group_source"))
     beyond = F.lit(False)
-    for m in FLOORS:
-        beyond = beyond | (F.col(m) > F.col(f"{m}_fence"))
-    return joined.withColumn("base_failed", base_failed()).withColumn("kept", ~F.col("base_failed") & ~F.coalesce(beyond, F.lit(False))).drop("lang_", "source_")
+    for m in TAILS:
+        beyond = beyond | F.coalesce(_ratio(m) > F.col("fences")[m], F.lit(False))
+    return measured.join(fences, same, "left").withColumn("kept", ~F.col("base_failed") & ~beyond)
 
 
 def assess(docs: DataFrame) -> DataFrame:
     """doc_id, lang, source, counts, ratios, fences, base_failed and kept of each document."""
-    measured = ratios(materialise(with_measures(docs, ["doc_id", "lang", "source"]), "measures"))
-    return judge(measured, thresholds(measured))
+    measured = materialise(_measured(docs, doc_id=F.col("doc_id")), "measures")
+    judged = judge(measured, thresholds(measured))
+    return judged.select("doc_id", "lang", "source", "m.*", *[_ratio(m).alias(m) for m in TAILS], "fences", "base_failed", "kept")
 
 
 def filter_documents(docs: DataFrame) -> DataFrame:
@@ -117,6 +144,6 @@ def filter_documents(docs: DataFrame) -> DataFrame:
 
     The measures are taken again beside the text, which costs less than a shuffle of the texts.
     """
-    names = docs.columns
-    fences = thresholds(ratios(materialise(with_measures(docs, ["lang", "source"]), "measures")))
-    return judge(ratios(with_measures(docs, names)), fences).where("kept").select(*names)
+    fences = thresholds(materialise(_measured(docs), "measures"))
+    whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+    return judge(_measured(docs, row=whole), fences).where("kept").select("row.*")
