@@ -333,6 +333,30 @@ def test_registers_estimate_probability_similarity():
     assert (sig[0] == sig[1]).mean() == pytest.approx(want, abs=0.04)
 
 
+def test_links_of_every_twentieth_document_are_found(spark, small):
+    # recall over all pairs of a query set with all documents, by brute force
+    rows = [(r.doc_id, bag(r.text)) for r in spark.read.parquet(f"{small}/documents.parquet").collect()]
+    got = {r.doc_id: r.class_id for r in near_dedup.classes(spark.read.parquet(f"{small}/documents.parquet")).collect()}
+    found = wanted = 0
+    for d, x in rows:
+        if d % 20 or not x:
+            continue
+        for e, y in rows:
+            low = sum((x & y).values()) if d != e and y else 0
+            if low and low >= 0.8 * (sum(x.values()) + sum(y.values()) - low):
+                wanted, found = wanted + 1, found + (got[d] == got[e])
+    assert wanted > 10 and found == wanted
+
+
+def test_rows_are_told_apart_by_id_and_text(spark):
+    texts = [" ".join(f"{k}{i}" for i in range(60)) for k in "abc"]
+    rows = [(1, texts[0]), (1, texts[1]), (2, texts[2]), (2, texts[2]), (3, texts[2] + " more"), (None, texts[0]), (None, texts[1] + " z")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumns({"row": F.lit(1), "label": F.lit(2), "own_id": F.lit(3), "gone_id": F.lit(4)})
+    got = near_dedup.keep_one(df)
+    assert got.columns == df.columns
+    assert sorted((r.doc_id, r.text) for r in got.collect()) == sorted([(1, texts[0]), (1, texts[1]), (2, texts[2])])
+
+
 # --- 9: secrets
 
 
@@ -365,6 +389,57 @@ def test_measures_equal_a_plain_count():
     assert quality_rules.measure(None) == (0,) * 6
 
 
+def brute_quality(rows):
+    """kept of each (doc_id, text, lang, source) by plain loops over the same rule."""
+    from math import ceil, log
+    from statistics import NormalDist
+
+    words = {d: re.findall(r"[^\x20\x09-\x0D]+", t or "") for d, t, *_ in rows}
+    values, failed = {}, {}
+    for d, t, *_ in rows:
+        w, lines = words[d], [x for x in (t or "").split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
+        grams = Counter(tuple(w[i : i + 3]) for i in range(len(w) - 2))
+        inside = {j for i in range(len(w) - 2) if grams[tuple(w[i : i + 3])] > 1 for j in (i, i + 1, i + 2)}
+        failed[d] = len(w) < 50 or 100 * len(inside) > 50 * len(w)
+        symbols = len(re.findall(r"[#*$%&|<>]", t or ""))
+        values[d] = {"symbol_ratio": symbols / max(1, len(w)), "repeat_ratio": len(inside) / max(1, len(w)), "dup_line_ratio": (len(lines) - len(set(lines))) / max(1, len(lines)), "word_length": sum(map(len, w)) / max(1, len(w))}
+
+    def fence(own, m):
+        q = quality_rules.TAILS[m]
+        if len(own) < quality_rules.LEAST:
+            return None
+        grid = sorted(0.0 if v == 0 else 2 / (1 + quality_rules.GROWTH) * quality_rules.GROWTH ** ceil(log(v) / log(quality_rules.GROWTH)) for v in own)
+        low, high = (next(g for i, g in enumerate(grid, 1) if i >= x * len(grid)) for x in (1 - q, q))
+        z = NormalDist().inv_cdf(q)
+        return high + (quality_rules.REACH - z) / (2 * z) * (high - low) if high > low else None
+
+    kept, used = {}, {}
+    for d, _, lang, source in rows:
+        beyond = False
+        for m in quality_rules.TAILS:
+            pools = ([e for e, _, x, y in rows if not failed[e] and (x, y) == (lang, source)], [e for e, _, x, _ in rows if not failed[e] and x == lang], [e for e, *_ in rows if not failed[e]])
+            if not pools[0]:
+                continue
+            key = (lang, source, m)
+            if key not in used:
+                used[key] = next((f for f in (fence([values[e][m] for e in p], m) for p in pools) if f is not None), None)
+            beyond |= used[key] is not None and values[d][m] > used[key]
+        kept[d] = not failed[d] and not beyond
+    return kept, used
+
+
+def test_verdicts_and_fences_equal_brute_force(spark, small):
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    rows = [(r.doc_id, r.text, r.lang, r.source) for r in docs.collect()]
+    kept, used = brute_quality(rows)
+    got = quality_rules.assess(docs).collect()
+    assert {r.doc_id: r.kept for r in got} == kept
+    fences = {(r.lang, r.source, m): f for r in got if r.fences for m, f in r.fences.items()}
+    assert {k: v for k, v in fences.items() if v is not None} == pytest.approx({k: v for k, v in used.items() if v is not None})
+    assert len({f for (_, _, m), f in fences.items() if m == "word_length"}) > len({r.lang for r in got})  # groups differ within languages
+    assert sum(not k for k in kept.values()) > sum(r.base_failed for r in got)  # and fences decide
+
+
 def test_clean_documents_stay_and_junk_goes(spark, small):
     docs = spark.read.parquet(f"{small}/documents.parquet")
     labels = {r.doc_id: r.quality for r in spark.read.parquet(f"{small}/labels.parquet").collect()}
@@ -372,3 +447,72 @@ def test_clean_documents_stay_and_junk_goes(spark, small):
     junk, clean = [r for r in out if not labels[r.doc_id]], [r for r in out if labels[r.doc_id]]
     assert sum(not r.kept for r in junk) / len(junk) > 0.9
     assert sum(r.kept for r in clean) / len(clean) > 0.98
+
+
+# --- 1 and 7: rules at their edges
+
+
+def test_markup_with_stray_quotes_is_no_text():
+    page = "<html><body><article><p>See <a href=\"x title='y'>the page</a> and <a href=\"z\">more</a> of the words that are in this text, here and there and in it.</p><p data-x=\"<b>x</b>\" title='a > b'>Short.</p></article></body></html>"
+    assert html_extract.main_text(page) == "See the page and more of the words that are in this text, here and there and in it.\nShort."
+
+
+def test_prose_with_links_in_an_article_stays_and_link_lists_go():
+    page = "<article><p>The first paragraph is long enough to be good and it has the words of a text in it.</p><p>As <a>the paper on the history of the town</a> says, it is so.</p><ul><li><a>Another page of the site, with a long title</a></li></ul></article>"
+    assert html_extract.main_text(page).split("\n")[1:] == ["As the paper on the history of the town says, it is so."]
+
+
+def test_pages_in_languages_without_a_stop_list():
+    prose = "Questa mattina il presidente della repubblica ha incontrato i rappresentanti delle regioni per discutere il nuovo piano nazionale; sono stati presentati molti documenti e ogni gruppo ha potuto parlare liberamente davanti alla stampa."
+    assert html_extract.main_text(f"<nav><a>Casa</a></nav><div><p>{prose}</p></div><footer>Fine</footer>") == prose
+    assert html_extract.main_text("<div><p>" + "\u9019\u662f\u9577\u6bb5\u843d" * 20 + "</p></div>") == "\u9019\u662f\u9577\u6bb5\u843d" * 20
+
+
+def test_extraction_equals_planted_articles(spark, small):
+    """Brute force over the planted pages: text of the article's own elements, read by the library's parser."""
+    from html.parser import HTMLParser
+
+    class Article(HTMLParser):
+        def __init__(self):
+            super().__init__()
+            self.inside, self.skip, self.out = 0, [], []
+
+        def handle_starttag(self, tag, attrs):
+            names = " ".join(v or "" for k, v in attrs if k in ("class", "id"))
+            if tag == "article":
+                self.inside += 1
+            if self.inside and tag not in html_extract.VOID_TAGS and (self.skip or tag in html_extract.OUTER_TAGS | html_extract.DROPPED_TAGS or html_extract.OUTER_NAMES.search(names)):
+                self.skip.append(tag)
+
+        def handle_endtag(self, tag):
+            if tag in self.skip:
+                del self.skip[len(self.skip) - 1 - self.skip[::-1].index(tag) :]
+            if tag == "article":
+                self.inside -= 1
+
+        def handle_data(self, data):
+            if self.inside and not self.skip:
+                self.out.append(data)
+
+    rows = spark.read.parquet(f"{small}/pages.parquet").where("html is not null").collect()
+    got = {r.page_id: r.text for r in html_extract.extract(spark.read.parquet(f"{small}/pages.parquet")).collect()}
+    same = 0
+    for r in rows:
+        parser = Article()
+        parser.feed(r.html)
+        same += "".join("".join(parser.out).split()) == "".join(got[r.page_id].split())
+    assert same >= 0.95 * len(rows)
+
+
+def test_words_are_letters_and_long_runs_are_read_whole():
+    assert langid.words_of("\u00bd \u00b2 \u2167 12_3") == []
+    assert "".join(langid.words_of("q" * 95)) == "q" * 95 and max(map(len, langid.words_of("q" * 95))) == langid.LONGEST_WORD
+    assert langid.words_of("\u0430\u0431cd") == ["\u0430\u0431", "cd"]
+    model = langid.LanguageModel([("en", "", 1, 5), ("en", "latin", -1, 5)])
+    assert model.predict("\u00bd \u00b2 7") == ("und", 0.0, [])
+
+
+def test_held_out_accuracy(spark, small):
+    docs = langid.held_out(spark.read.parquet(f"{small}/documents.parquet"))
+    out = langid.identify(docs, langid.train(docs.where("not held_out"))).join(docs.select("doc_id", "lang", "held_out", "text"), "doc_id").where("held_out and lang is not null and length(text) > 200").collect()
+    assert sum(r.lang == r.lang_pred for r in out) >= 0.97 * len(out)
