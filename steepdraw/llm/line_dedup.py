@@ -7,11 +7,12 @@ page crawled a thousand times doesn't turn its own text into boilerplate.
 
 At most (mean lines per page) / `ratio` lines of a host can exceed the ratio, so a host's list is
 short whatever its size.  Lists travel to the pages, pages don't travel to the lists: a hot host
-is aggregated map side, and the join by host may be split or broadcast by the engine, which
-measures the list table.
+is aggregated map side, and the lists are broadcast if their measured size allows; otherwise the
+engine splits the pages of a hot host.
 
 Lines are compared by 64-bit hash without surrounding spaces; blank lines are kept.  Null text stays null;
-a null host is a group of its own; repeated rows are copies of one page.
+a null host is a group of its own; repeated rows are copies of one page; an empty text has one
+blank line.  Empty tables give empty results.
 """
 
 from __future__ import annotations
@@ -19,6 +20,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import BROADCAST_BYTES, materialise
+
 RATIO = 0.05
 MIN_PAGES = 5
 
@@ -40,16 +43,25 @@ def boilerplate(pages: DataFrame, host: str = "source", ratio: float = RATIO, mi
 
 
 def remove_boilerplate(pages: DataFrame, host: str = "source", ratio: float = RATIO, min_pages: int = MIN_PAGES) -> DataFrame:
-    """The pages with boilerplate lines removed from text, and n_lines, n_removed."""
-    lists = boilerplate(pages, host, ratio, min_pages).withColumnsRenamed({"host": "_host", "lines": "_lines"})
-    joined = pages.join(lists, F.col(host).eqNullSafe(F.col("_host")), "left")
-    split = F.split("text", "\n")
-    drop = lambda x: F.array_contains(F.col("_lines"), _line_hash(x)) & (F.trim(x) != "")
-    kept = F.when(F.col("_lines").isNull() | F.col("text").isNull(), F.col("text")).otherwise(F.array_join(F.filter(split, lambda x: ~drop(x)), "\n"))
-    gone = F.when(F.col("_lines").isNull() | F.col("text").isNull(), F.lit(0)).otherwise(F.size(F.filter(split, drop)))
-    n = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(split))
-    names = pages.columns
-    return joined.select(*[kept.alias(c) if c == "text" else F.col(c) for c in names], n.cast("long").alias("_n_lines"), gone.cast("long").alias("_n_removed"))
+    """The pages with boilerplate lines removed from text, and _n_lines, _n_removed.
+
+    Columns of these two names in the input are replaced; all others come back as they are.
+    """
+    lists = materialise(boilerplate(pages, host, ratio, min_pages), "boilerplate")
+    size = lists.agg(F.sum(F.size("lines") + 8).alias("longs")).first()["longs"] or 0
+    lists = F.broadcast(lists) if 8 * size <= BROADCAST_BYTES else lists
+    whole = F.struct(*[F.col(f"`{c}`") for c in pages.columns])
+    joined = pages.select(whole.alias("row"), F.col(f"`{host}`").alias("own")).join(lists, F.col("own").eqNullSafe(F.col("host")), "left")
+    text = F.col("row.text")
+    split = F.split(text, "\n")
+    drop = lambda x: F.array_contains(F.col("lines"), _line_hash(x)) & (F.trim(x) != "")
+    whole_stays = F.col("lines").isNull() | text.isNull()
+    kept = F.when(whole_stays, text).otherwise(F.array_join(F.filter(split, lambda x: ~drop(x)), "\n"))
+    gone = F.when(whole_stays, F.lit(0)).otherwise(F.size(F.filter(split, drop)))
+    n = F.when(text.isNull(), F.lit(0)).otherwise(F.size(split))
+    done = joined.select("row", kept.alias("kept"), n.cast("long").alias("n"), gone.cast("long").alias("gone"))
+    names = [c for c in pages.columns if c not in ("_n_lines", "_n_removed")]
+    return done.select(*[F.col("kept").alias(c) if c == "text" else F.col(f"row.`{c}`") for c in names], F.col("n").alias("_n_lines"), F.col("gone").alias("_n_removed"))
 
 
 #: Base SQL of the same rule, over a view `documents` (for DuckDB).
