@@ -12,15 +12,16 @@ is contaminated if at least `MIN_MATCH` of the item's tokens agree there.
 
 Most corpus windows are ruled out before any join by two sieves, bitmaps of a fixed size made from
 the benchmark: one over the three adjacent tokens that each mask has, one over whole seeds.  A sieve has no false negatives;
-what passes by chance fails the join.  Windows that pass are few, carry the tokens around them,
-and meet the benchmark's seeds by equi-join; the benchmark is broadcast only if its seed count is
-below `BROADCAST_SEEDS`, otherwise the engine shuffles both sides.
+what passes by chance fails the join.  Windows that pass are few numbers each, and meet the
+benchmark's seeds by equi-join; the benchmark is broadcast only if its seed count is below
+`BROADCAST_SEEDS`, otherwise the engine shuffles both sides.  Hits of one text, item and offset are
+one; the texts that have any are read once more and the items laid over them.
 
 Tokens are the maximal runs of letters and digits of the lower-cased text.  Items with fewer
 tokens than `SPAN` are compared as exact runs of all their tokens: the run is the seed, and its first
-token is sieved.  Windows carry tokens enough for items of up to `NEAR` tokens; hits of longer items
-are joined back to their texts.  Null text has no tokens; items without tokens are
-ignored; repeated items report as themselves.
+token is sieved.  Null text has no tokens; items without tokens are ignored; repeated items report
+as themselves; rows of one text are verified once and each reported.  Empty tables give empty
+results; further columns don't matter, whatever their names.
 """
 
 from __future__ import annotations
@@ -28,6 +29,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import broadcast_if, materialise
+
 #: Positions that each mask reads.  Each pair of positions is unread by some mask.
 MASKS = ((0, 1, 2, 3, 4), (2, 5, 6, 7, 8), (3, 4, 5, 6, 9), (3, 4, 7, 8, 9), (0, 1, 5, 6, 7), (0, 1, 2, 8, 9))
 LEADS = tuple(next(o for o in m if {o + 1, o + 2} <= set(m)) for m in MASKS)  # of three adjacent positions
@@ -35,7 +38,6 @@ SPAN = 10
 MIN_MATCH = 0.8
 SIEVE_BITS = 1 << 20
 BROADCAST_SEEDS = 2_000_000
-NEAR = 512  # tokens on either side that a window carries; longer items are laid over the joined text
 
 
 def tokens(text: Column) -> Column:
@@ -74,13 +76,13 @@ def _sieve(values: DataFrame) -> Column:
 
 
 def item_seeds(benchmark: DataFrame, key: str = "item_id") -> DataFrame:
-    """item, item_tokens, item_print, item_pos, lead and seed of each chosen window and mask of each item.
+    """item, item_print, item_pos, lead and seed of each chosen window and mask of each item.
 
-    Items under SPAN tokens have one seed, their whole run; those over NEAR leave out item_tokens.
+    Items under SPAN tokens have one seed, their whole run.
     """
     own = benchmark.select(F.col(key).alias("item"), tokens(F.col("text")).alias("t")).where(F.size("t") > 0)
-    own = own.select("item", F.when(F.size("t") <= NEAR, F.col("t")).alias("item_tokens"), F.xxhash64("t").alias("item_print"), F.transform("t", lambda t: F.xxhash64(t)).alias("h"))
-    kept = ["item", "item_tokens", "item_print"]
+    own = own.select("item", F.xxhash64("t").alias("item_print"), F.transform("t", lambda t: F.xxhash64(t)).alias("h"))
+    kept = ["item", "item_print"]
     step = F.when(F.size("h") < 2 * SPAN, SPAN // 2).otherwise(SPAN)
     at = own.where(F.size("h") >= SPAN).select(*kept, "h", F.explode(F.transform(F.sequence(F.lit(0), F.expr("size(h) div 15").cast("int")), lambda i: i * step)).alias("item_pos"))
     seeds = F.explode(F.array(*[F.struct(_lead_hash(F.col("h"), F.col("item_pos") + F.lit(o)).alias("lead"), _mask_hash(F.col("h"), F.col("item_pos"), m, k).alias("seed")) for k, (m, o) in enumerate(zip(MASKS, LEADS, strict=True))]))
@@ -95,8 +97,8 @@ def _let(value: Column, body) -> Column:
     return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
-def _windows(text: Column, lead_sieve: Column, seed_sieve: Column, longest: int, runs: list[int]) -> Column:
-    """Array of (pos, seed, near) of the windows that pass both sieves.
+def _windows(text: Column, lead_sieve: Column, seed_sieve: Column, runs: list[int]) -> Column:
+    """Array of (pos, seed) of the windows that pass both sieves.
 
     One expression, exploded as outer: a filter on it would be pushed down and take it apart.
     """
@@ -110,9 +112,7 @@ def _windows(text: Column, lead_sieve: Column, seed_sieve: Column, longest: int,
         if runs:  # lengths of the short items
             begun = F.filter(F.transform(t, lambda x, i: i), lambda i: _bit(lead_sieve, _run_lead(h, i)))
             every = F.concat(every, F.flatten(F.transform(begun, lambda i: F.array(*[F.struct(i.alias("pos"), _run_hash(h, i, n).alias("seed")) for n in runs]))))
-        passed = F.filter(every, lambda w: _bit(seed_sieve, w["seed"]))
-        near = lambda i: F.slice(t, F.greatest(i - F.lit(longest), F.lit(0)) + 1, F.lit(2 * longest + SPAN))
-        return F.transform(passed, lambda w: F.struct(w["pos"].alias("pos"), w["seed"].alias("seed"), near(w["pos"]).alias("near")))
+        return F.filter(every, lambda w: _bit(seed_sieve, w["seed"]))
 
     return _let(tokens(text), lambda t: _let(F.transform(t, lambda x: F.xxhash64(x)), lambda h: windows(t, h)))
 
@@ -127,31 +127,26 @@ def hits(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", item_key: s
     """key, item, start (token of the text where the item begins) and matched share, verified."""
     if min_match < MIN_MATCH:
         raise ValueError(f"the seeds lose nothing from a share of {MIN_MATCH} on, not from {min_match}")
+    own = docs.select(F.col(key).alias("key"), F.xxhash64("text").alias("text_print"), "text")
     seeds = item_seeds(benchmark, item_key)
     sized = benchmark.select(F.size(tokens(F.col("text"))).alias("n")).where("n > 0")
-    size = sized.agg(F.sum(F.when(F.col("n") >= SPAN, F.expr("n div 15 + 1") * len(MASKS)).otherwise(1)).alias("seeds"), F.max("n").alias("longest"), F.array_sort(F.collect_set(F.when(F.col("n") < SPAN, F.col("n")))).alias("runs")).first()
-    count, longest = size["seeds"] or 0, min(size["longest"] or 0, NEAR)
+    size = sized.agg(F.sum(F.when(F.col("n") >= SPAN, F.expr("n div 15 + 1") * len(MASKS)).otherwise(1)).alias("seeds"), F.array_sort(F.collect_set(F.when(F.col("n") < SPAN, F.col("n")))).alias("runs")).first()
+    count = size["seeds"] or 0
     if not count:
-        return docs.select(F.col(key), F.lit(None).cast(dict(benchmark.dtypes)[item_key]).alias("item"), F.lit(0).alias("start"), F.lit(0.0).alias("share")).where(F.lit(False))
+        return own.select(F.col("key").alias(key), F.lit(None).cast(dict(benchmark.dtypes)[item_key]).alias("item"), F.lit(0).alias("start"), F.lit(0.0).alias("share")).where(F.lit(False))
     lead_sieve = _sieve(seeds.select(F.col("lead").alias("v")))
     seed_sieve = _sieve(seeds.select(F.col("seed").alias("v")))
-    own = [F.col(key), F.xxhash64("text").alias("text_print")]
-    found = docs.select(*own, F.explode_outer(_windows(F.col("text"), lead_sieve, seed_sieve, longest, size["runs"])).alias("w")).select(key, "text_print", "w.*")
-    right = seeds.select("item", "item_tokens", "item_print", "item_pos", "seed")
-    if count <= BROADCAST_SEEDS:
-        right = F.broadcast(right)
-    met = found.join(right, "seed").withColumn("start", F.col("pos") - F.col("item_pos"))
-    offset = F.col("start") - F.greatest(F.col("pos") - F.lit(longest), F.lit(0))  # of the item in `near`
+    found = own.select("key", "text_print", F.explode_outer(_windows(F.col("text"), lead_sieve, seed_sieve, size["runs"])).alias("w")).select("key", "text_print", "w.*")
+    right = F.broadcast(seeds) if count <= BROADCAST_SEEDS else seeds
+    met = found.join(right, "seed").select("key", "text_print", "item", "item_print", (F.col("pos") - F.col("item_pos")).alias("start"))
+    met = materialise(met.distinct(), "seed-hits")
+    prints = materialise(met.select("text_print").distinct(), "hit-texts")
+    texts = own.select("text_print", "text").join(broadcast_if(prints, 8), "text_print", "left_semi").dropDuplicates(["text_print"]).select("text_print", tokens(F.col("text")).alias("text_tokens"))
+    items = benchmark.select(tokens(F.col("text")).alias("item_tokens")).where(F.size("item_tokens") > 0).withColumn("item_print", F.xxhash64("item_tokens")).dropDuplicates(["item_print"])
+    laid = met.select("text_print", "item_print", "start").distinct().join(items, "item_print").join(texts, "text_print")
     least = F.when(F.size("item_tokens") < SPAN, 1.0).otherwise(min_match)
-    shares = met.where("item_tokens is not null").withColumn("share", _share("near", offset)).where(F.col("share") >= least).select(key, "item", "start", "share")
-    if size["longest"] > NEAR:
-        far = met.where("item_tokens is null").select(key, "text_print", "item", "item_print", "start").distinct()
-        texts = docs.select(F.xxhash64("text").alias("text_print"), "text").join(far.select("text_print").distinct(), "text_print", "left_semi").dropDuplicates(["text_print"])
-        items = benchmark.select(tokens(F.col("text")).alias("item_tokens")).where(F.size("item_tokens") > NEAR).withColumn("item_print", F.xxhash64("item_tokens")).dropDuplicates(["item_print"])
-        laid = far.select("text_print", "item_print", "start").distinct().join(items, "item_print").join(texts.select("text_print", tokens(F.col("text")).alias("near")), "text_print")
-        laid = laid.select("text_print", "item_print", "start", _share("near", F.col("start")).alias("share")).where(F.col("share") >= min_match)
-        shares = shares.unionByName(far.join(laid, ["text_print", "item_print", "start"]).select(key, "item", "start", "share"))
-    return shares.groupBy(key, "item", "start").agg(F.max("share").alias("share"))
+    shares = laid.select("text_print", "item_print", "start", _share("text_tokens", F.col("start")).alias("share"), least.alias("least")).where("share >= least").drop("least")
+    return met.join(shares, ["text_print", "item_print", "start"]).select(F.col("key").alias(key), "item", "start", "share").distinct()
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", item_key: str = "item_id") -> DataFrame:
@@ -161,9 +156,10 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", ite
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", item_key: str = "item_id") -> DataFrame:
-    """The documents that hold no benchmark item."""
-    bad = hits(docs, benchmark, key, item_key).select(F.col(key).alias("_bad")).distinct()
-    return docs.join(bad, F.col(key).eqNullSafe(F.col("_bad")), "left_anti")
+    """The documents that hold no benchmark item, with all their columns."""
+    bad = materialise(hits(docs, benchmark, key, item_key).select(F.col(key).alias("bad")).distinct(), "contaminated")
+    whole = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(f"`{key}`").alias("own"))
+    return whole.join(broadcast_if(bad, 16), F.col("own").eqNullSafe(F.col("bad")), "left_anti").select("row.*")
 
 
 ORACLE_MASKS = ((0, 1, 3, 4, 6, 9), (0, 1, 2, 5, 7, 8), (0, 1, 4, 5, 8, 9))
