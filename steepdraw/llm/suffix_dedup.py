@@ -441,7 +441,7 @@ def remove_repeats(docs: DataFrame, min_len: int = MIN_LEN, block_bytes: int = B
         raise ValueError(f"min_len must be at least {GRAM + 8}")
     blocks = parts_for(text_bytes(docs), block_bytes)
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.encode("text", "UTF-8").alias("body"))
-    own = own.select("doc_id", "body", F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).alias("block"))
+    own = own.select("doc_id", "body", F.pmod(F.xxhash64("doc_id", "body"), F.lit(blocks)).alias("block"))
     by_block = own.groupBy("block")
     shared = by_block.applyInArrow(_block_anchors(blocks, min_len), "bucket long, block long, anchors binary").groupBy("bucket").applyInArrow(_shared_anchors(blocks), "block long, anchors binary")
     segments = by_block.cogroup(shared.groupBy("block")).applyInArrow(_block_segments(blocks, min_len), "bucket long, block long, prints binary, anchors binary, docs binary, windows binary, bytes binary")
