@@ -516,3 +516,48 @@ def test_held_out_accuracy(spark, small):
     docs = langid.held_out(spark.read.parquet(f"{small}/documents.parquet"))
     out = langid.identify(docs, langid.train(docs.where("not held_out"))).join(docs.select("doc_id", "lang", "held_out", "text"), "doc_id").where("held_out and lang is not null and length(text) > 200").collect()
     assert sum(r.lang == r.lang_pred for r in out) >= 0.97 * len(out)
+
+
+# --- 3: trees; names that clash
+
+
+def test_tree_splits_equal_brute_force_and_learn_a_planted_rule():
+    import numpy as np
+
+    rng = np.random.default_rng(3)
+    model = url_filter.UrlModel(least=5)
+    binned, grad, hess = rng.integers(0, 8, (200, 3)).astype(np.uint8), rng.standard_normal(200), rng.uniform(0.1, 1, 200)
+    j, k, low, high = model._grow(binned, grad, hess, np.arange(200), 1)
+    score = lambda own: grad[own].sum() ** 2 / (hess[own].sum() + model.ridge)
+    gains = {(a, c): score(binned[:, a] <= c) + score(binned[:, a] > c) for a in range(3) for c in range(8) if min((binned[:, a] <= c).sum(), (binned[:, a] > c).sum()) >= model.least}
+    assert (j, k) == max(gains, key=gains.get)
+    left = binned[:, j] <= k
+    assert low[0] == pytest.approx(model.rate * grad[left].sum() / (hess[left].sum() + model.ridge)) and high[0] == pytest.approx(model.rate * grad[~left].sum() / (hess[~left].sum() + model.ridge))
+    parts = [(f"h{i % 50:02d}.org", f"/p/{'7' * (i % 9)}x{i:04d}") for i in range(3000)]  # the path's length decides
+    rows = [(f"https://{host}{path}", host, path) for host, path in parts]
+    blocked = np.array([float(i % 9 >= 5) for i in range(3000)])
+    fitted = url_filter.UrlModel().fit(rows[:2000], blocked[:2000])
+    assert ((fitted.probability(rows[2000:]) > 0.5) == (blocked[2000:] > 0.5)).mean() > 0.97
+
+
+def test_columns_with_the_operators_own_names(spark, bench):
+    text = "same line\nother words of this text " + " ".join(f"w{i}" for i in range(80))
+    rows = [(i, text + str(i), "en", "s") for i in range(8)] + [(99, " ".join(f"tok{i}" for i in range(20)), "en", "s"), (100, None, None, None)]
+    clash = {c: F.lit(7) for c in ("host", "lines", "_host", "_lines", "row", "own", "bad", "_bad", "_keep", "key", "text_print", "n_words", "lang_", "word_length_fence", "m", "fences", "measure", "kept", "base_failed", "group_lang", "label", "node", "print")}
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").withColumns(clash)
+    lined = line_dedup.remove_boilerplate(df.withColumn("_n_lines", F.lit(5)))
+    assert lined.columns == [*df.columns, "_n_lines", "_n_removed"] and {r._n_removed for r in lined.where("doc_id < 8").collect()} == {1}
+    assert [r.host for r in lined.collect()] == [7] * 10
+    kept = decontaminate.decontaminate(df, bench)
+    assert kept.columns == df.columns and sorted(r.doc_id for r in kept.collect()) == [*range(8), 100]
+    good = quality_rules.filter_documents(df)
+    assert good.columns == df.columns and sorted(r.doc_id for r in good.collect()) == list(range(8))
+    assert near_dedup.keep_one(df).columns == df.columns
+
+
+def test_long_items_cost_one_pass_over_their_texts(spark):
+    item = " ".join(f"q{i}" for i in range(6000))
+    docs = spark.createDataFrame([(1, "head " + item + " tail"), (2, item.replace("q17 ", "zz ")), (3, "q1 q2 q3 q4 q5 q6 q7 q8 q9 q10 q11"), (4, "one two three"), (5, "x one two three y")], "doc_id long, text string")
+    items = spark.createDataFrame([(1, item), (2, "One, two three!")], "item_id long, text string")
+    got = {(r.doc_id, r.item, r.start) for r in decontaminate.hits(docs, items).collect()}
+    assert got == {(1, 1, 1), (2, 1, 0), (4, 2, 0), (5, 2, 1)}
