@@ -35,13 +35,13 @@ def shard_of(key: Column, shards: int) -> Column:
     return F.floor(hash_uniform("shard", key) * shards).cast("int")
 
 
-def net_price(spark: SparkSession, sf_dir: str) -> DataFrame:
+def net_price(spark: SparkSession, sf_dir: str, extra: tuple[str, ...] = ()) -> DataFrame:
     """instance_id, x1..x4 (price, discount, quantity, tax), x0 = 1, label: net price above a bound."""
-    lines = read_table(spark, sf_dir, "lineitem", ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", *LINE_FEATURES])
+    lines = read_table(spark, sf_dir, "lineitem", ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", *LINE_FEATURES, *extra])
     net = F.col("l_extendedprice") * (1 - F.col("l_discount"))
-    own = lines.select(line_key().alias("instance_id"), *LINE_FEATURES, F.when(net > NET_PRICE, 1.0).otherwise(-1.0).alias("label"), net.alias("net"))
+    own = lines.select(line_key().alias("instance_id"), *LINE_FEATURES, *extra, F.when(net > NET_PRICE, 1.0).otherwise(-1.0).alias("label"), net.alias("net"))
     out = standardise(own, list(LINE_FEATURES))
-    return out.select("instance_id", *[F.col(c).alias(f"x{i + 1}") for i, c in enumerate(LINE_FEATURES)], F.lit(1.0).alias("x0"), "label", "net")
+    return out.select("instance_id", *[F.col(c).alias(f"x{i + 1}") for i, c in enumerate(LINE_FEATURES)], F.lit(1.0).alias("x0"), "label", "net", *extra)
 
 
 def as_instances(df: DataFrame, features: list[str], shards: int = 16, valid_pct: int = 20) -> DataFrame:
@@ -95,6 +95,41 @@ def document_quality(spark: SparkSession, sf_dir: str, target: str = "quality",
     return dense.select(F.col("doc_id").alias("instance_id"), shard_of(key, shards).alias("shard"), hash_split(key, valid_pct).alias("is_valid"), "features", "label")
 
 
+def sparse_rows(docs: DataFrame, key: str, text: str, buckets: int) -> DataFrame:
+    """key, places and features: the hashed tokens that a row has, ordered by place."""
+    long = token_buckets(docs, key, text, buckets)
+    packed = long.groupBy(key).agg(F.array_sort(F.collect_list(F.struct("feature", "value"))).alias("own"))  # a row's tokens
+    return packed.select(key, F.col("own.feature").cast("array<int>").alias("places"), F.col("own.value").alias("features"))
+
+
+def sparse_documents(spark: SparkSession, sf_dir: str, target: str = "quality", buckets: int = 1 << 18, shards: int = 16, valid_pct: int = 20) -> DataFrame:
+    """Labelled documents as sparse rows: label +1 or -1."""
+    labels = read_table(spark, sf_dir, "labels", ["doc_id", target]).where(F.col(target).isNotNull())
+    docs = read_table(spark, sf_dir, "documents", ["doc_id", "text"]).join(labels, "doc_id", "left_semi")
+    key = F.col("doc_id").cast("string")
+    own = sparse_rows(docs, "doc_id", "text", buckets).join(labels, "doc_id")
+    return own.select(F.col("doc_id").alias("instance_id"), shard_of(key, shards).alias("shard"), hash_split(key, valid_pct).alias("is_valid"), "places", "features", (2.0 * F.col(target) - 1.0).alias("label"))
+
+
+def sparse_pages(spark: SparkSession, sf_dir: str, buckets: int = 1 << 18, shards: int = 16, valid_pct: int = 20) -> DataFrame:
+    """Pages as sparse rows of URL and HTML tokens; label: the page is longer than the median."""
+    pages = read_table(spark, sf_dir, "pages", ["page_id", "url", "html"]).where("html is not null")
+    size = F.length("html")
+    mid = pages.agg(F.percentile(size, F.lit(0.5)).alias("mid"))
+    labelled = pages.join(F.broadcast(mid)).select("page_id", F.concat_ws(" ", "url", "html").alias("text"), F.when(size > F.col("mid"), 1.0).otherwise(-1.0).alias("label"))
+    key = F.col("page_id").cast("string")
+    own = sparse_rows(labelled, "page_id", "text", buckets).join(labelled.select("page_id", "label"), "page_id")
+    return own.select(F.col("page_id").alias("instance_id"), shard_of(key, shards).alias("shard"), hash_split(key, valid_pct).alias("is_valid"), "places", "features", "label")
+
+
+def given_embeddings(spark: SparkSession, sf_dir: str, one: int | None = None, shards: int = 16, valid_pct: int = 20) -> DataFrame:
+    """Embeddings with the label they came with, or +1 for label `one` and -1 for the rest."""
+    own = read_table(spark, sf_dir, "embeddings", ["vec_id", "embedding", "label"])
+    key = F.col("vec_id").cast("string")
+    label = F.col("label").cast("double") if one is None else F.when(F.col("label") == one, 1.0).otherwise(-1.0)
+    return own.select(F.col("vec_id").alias("instance_id"), shard_of(key, shards).alias("shard"), hash_split(key, valid_pct).alias("is_valid"), F.col("embedding").cast("array<double>").alias("features"), label.alias("label"))
+
+
 def event_values(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Squared-loss instances from events: hour, one-hot type and the JSON counter k against value."""
     types = ["click", "purchase", "search", "signup", "view"]

@@ -22,6 +22,42 @@ def stable_sigmoid(z: np.ndarray) -> np.ndarray:
     return np.where(z >= 0, 1 / (1 + small), small / (1 + small))
 
 
+class SparseRows:
+    """Rows of which only the places with values are held; what a linear objective needs of a matrix."""
+
+    def __init__(self, edges: np.ndarray, places: np.ndarray, values: np.ndarray) -> None:
+        self.edges, self.places, self.values = edges, places, values
+        self.row = np.repeat(np.arange(len(edges) - 1), np.diff(edges))
+
+    @classmethod
+    def of(cls, places: list, values: list) -> SparseRows:
+        sizes = [len(p) for p in places]
+        flat = lambda parts, kind: np.concatenate([np.asarray(p, dtype=kind) for p in parts]) if sum(sizes) else np.zeros(0, kind)
+        return cls(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int64), flat(places, np.int64), flat(values, np.float64))
+
+    def __len__(self) -> int:
+        return len(self.edges) - 1
+
+    def __getitem__(self, rows: np.ndarray) -> SparseRows:
+        rows = np.arange(len(self))[rows]
+        size = (self.edges[1:] - self.edges[:-1])[rows]
+        edges = np.concatenate([[0], np.cumsum(size)])
+        at = np.repeat(self.edges[:-1][rows] - edges[:-1], size) + np.arange(int(edges[-1]))
+        return SparseRows(edges, self.places[at], self.values[at])
+
+    def __matmul__(self, w: np.ndarray) -> np.ndarray:
+        return np.bincount(self.row, self.values * w[self.places], len(self))
+
+
+def square_norms(x: np.ndarray | SparseRows) -> np.ndarray:
+    return np.bincount(x.row, x.values**2, len(x)) if isinstance(x, SparseRows) else (x * x).sum(axis=1)
+
+
+def weighted_sum(x: np.ndarray | SparseRows, weight: np.ndarray, dim: int) -> np.ndarray:
+    """Sum of the rows under weights."""
+    return np.bincount(x.places, x.values * weight[x.row], dim) if isinstance(x, SparseRows) else x.T @ weight
+
+
 @dataclass
 class Penalty:
     """none, l2 (lam * |w|^2) or l1 (lam * sum |w|); never part of the sampling."""
@@ -42,7 +78,7 @@ class Penalty:
 
 @dataclass
 class Linear:
-    """Squared, hinge or logistic loss of a linear score."""
+    """Squared, hinge or logistic loss of a linear score; rows are dense or SparseRows."""
 
     kind: str
     dim: int
@@ -62,7 +98,7 @@ class Linear:
             losses, slope = np.log1p(np.exp(-np.abs(m))) + np.maximum(-m, 0), -y * stable_sigmoid(-m)
         else:
             raise ValueError(self.kind)
-        return losses, np.abs(slope) * np.sqrt((x * x).sum(axis=1)), lambda weight: x.T @ (slope * weight)
+        return losses, np.abs(slope) * np.sqrt(square_norms(x)), lambda weight: weighted_sum(x, slope * weight, self.dim)
 
     def wrong(self, w: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray:
         return np.where(x @ w >= 0, 1.0, -1.0) != y

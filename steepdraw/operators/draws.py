@@ -88,19 +88,34 @@ def mixture_draw(df: DataFrame, weight: str, beta: float, b: int, seed: int, ste
     return both.select("step", "draw_no", "instance_id", prob.alias("prob"), (1.0 / (n * prob)).alias("weight"))
 
 
-def poisson_draw(df: DataFrame, prob: str, b: int, n: int, seed: int, step: int, terms: int = 12) -> DataFrame:
-    """One scan, no prefix sums: each row takes Poisson(b * prob) copies by its own uniform."""
-    rate = F.lit(float(b)) * F.col(prob)
-    u = hash_uniform(seed, step, F.col("instance_id"))
-    start = F.struct(F.exp(-rate).alias("term"), F.exp(-rate).alias("below"), F.lit(0).alias("copies"))
-
-    def further(acc, k):
-        term = acc["term"] * rate / k
-        return F.struct(term.alias("term"), (acc["below"] + term).alias("below"), (acc["copies"] + F.when(u >= acc["below"], 1).otherwise(0)).alias("copies"))
-
-    # a fold keeps the expression small; unrolled it outgrows one generated method
-    copies = F.aggregate(F.sequence(F.lit(1), F.lit(terms)), start, further)["copies"]
-    drawn = df.select("instance_id", prob, copies.alias("copies")).where("copies > 0")
+MOST_RATE = 500.0  # exp(-rate) keeps all its digits
+
+
+def poisson_draw(df: DataFrame, prob: str, b: int, n: int, seed: int, step: int) -> DataFrame:
+    """One scan, no prefix sums: each row takes Poisson(b * prob) copies by its own uniform.
+
+    Rows whose uniform already lies below the probability of no copy leave after one comparison;
+    the others walk up the distribution until they pass it.  A rate above MOST_RATE is the sum of
+    equal parts, each with a uniform of its own.
+    """
+    u, rate = hash_uniform(seed, step, F.col("instance_id")), F.lit(float(b)) * F.col(prob)
+    some = df.select("instance_id", prob).where((rate > MOST_RATE) | (u >= F.exp(-rate)))
+
+    def walk(x):
+        """Copies of (u, rate); a mean of 500 is passed by 12 deviations and 30 with certainty."""
+        start = F.struct(F.exp(-x["rate"]).alias("term"), F.exp(-x["rate"]).alias("below"), F.lit(0).alias("copies"))
+
+        def further(acc, k):
+            term = acc["term"] * x["rate"] / k
+            return F.struct(term.alias("term"), (acc["below"] + term).alias("below"), (acc["copies"] + F.when(x["u"] >= acc["below"], 1).otherwise(0)).alias("copies"))
+
+        reach = (x["rate"] + 12 * F.sqrt(x["rate"]) + 30).cast("int")
+        return F.aggregate(F.sequence(F.lit(1), reach), start, further)["copies"]
+
+    parts = F.greatest(F.lit(1), F.ceil(rate / MOST_RATE).cast("int"))
+    draw = lambda k: F.struct(F.when(k == 1, u).otherwise(hash_uniform(seed, step, F.col("instance_id"), k)).alias("u"), (rate / parts).alias("rate"))
+    copies = F.aggregate(F.transform(F.transform(F.sequence(F.lit(1), parts), draw), walk), F.lit(0), lambda total, c: total + c)
+    drawn = some.select("instance_id", prob, copies.alias("copies")).where("copies > 0")
     return drawn.select(F.lit(step).alias("step"), "copies", "instance_id", F.col(prob).alias("prob"), (1.0 / (n * F.col(prob))).alias("weight"))
 
 
@@ -122,10 +137,17 @@ def exponential_key_topk(df: DataFrame, weight: str, b: int, seed: int) -> DataF
 
 
 def global_cdf_draw(df: DataFrame, prob: str, b: int, seed: int, step: int) -> DataFrame:
-    """Running sum over all rows: the plain definition, for small tables and tests."""
+    """Running sum over all rows, shard after shard: the plain definition, of every row.
+
+    Sums of whole shards carry the running sums from shard to shard, so no task holds the table.
+    """
     spark: SparkSession = df.sparkSession
-    total = df.count()
-    upto = F.sum(prob).over(Window.orderBy("instance_id").rowsBetween(Window.unboundedPreceding, Window.currentRow))
-    targets = spark.createDataFrame([(step, j, py_uniform(seed, step, j)) for j in range(b)], "step long, draw_no int, u double")
+    masses = [tuple(r) for r in shard_masses(df, prob).orderBy("shard").collect()]  # one row a shard
+    total = sum(r[1] for r in masses)
+    before = list(itertools.accumulate((r[2] for r in masses), initial=0.0))
+    starts = spark.createDataFrame([(r[0], m) for r, m in zip(masses, before, strict=False)], "_shard int, _before double")
+    own = Window.partitionBy("shard").orderBy("instance_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    every = df.withColumn("upto", F.sum(prob).over(own)).join(F.broadcast(starts), F.col("shard") == F.col("_shard")).withColumn("upto", F.col("upto") + F.col("_before"))
+    targets = spark.createDataFrame([(step, j, py_uniform(seed, step, j) * before[-1]) for j in range(b)], "step long, draw_no int, u double")
     hit = (F.col("u") < F.col("upto")) & (F.col("u") >= F.col("upto") - F.col(prob))
-    return df.withColumn("upto", upto).join(F.broadcast(targets), hit).select("step", "draw_no", "instance_id", F.col(prob).alias("prob"), (1.0 / (total * F.col(prob))).alias("weight"))
+    return every.join(F.broadcast(targets), hit).select("step", "draw_no", "instance_id", F.col(prob).alias("prob"), (1.0 / (total * F.col(prob))).alias("weight"))

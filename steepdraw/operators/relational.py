@@ -146,11 +146,11 @@ def join_range_cdf(s, d):
 
 
 def join_theta_pairs(s, d):
-    """Variance from pairwise distances over a fixed small table: half the mean squared gap."""
-    a = _t(s, d, "supplier", "s_suppkey", "s_acctbal").orderBy("s_suppkey").limit(100)
-    b = a.select(F.col("s_suppkey").alias("k2"), F.col("s_acctbal").alias("v2"))
-    gap = F.col("s_acctbal") - F.col("v2")
-    return a.join(F.broadcast(b), F.col("s_suppkey") < F.col("k2")).agg(F.count(F.lit(1)).alias("pairs"), F.round(F.sum(gap * gap) / 10000, 2).alias("variance"))
+    """Variance from the gaps of all pairs of rows, without the pairs: sums give their mean square."""
+    v = F.col("s_acctbal")
+    sums = _t(s, d, "supplier", "s_acctbal").where(v.isNotNull()).agg(F.count(F.lit(1)).alias("n"), F.sum(v).alias("s1"), F.sum(v * v).alias("s2"))
+    n = F.col("n")
+    return sums.select((n * (n - 1) / 2).cast("long").alias("pairs"), F.round((n * F.col("s2") - F.col("s1") * F.col("s1")) / (n * n), 2).alias("variance"))
 
 
 def join_cross_augment(s, d):
@@ -367,7 +367,7 @@ def queries() -> dict[str, tuple]:
         "join_stage_semi": (join_stage_semi, f"WITH {INST} SELECT count(*) AS n, round(sum(label), 4) AS label FROM inst WHERE {uniform_sql('7', '1', 'instance_id')} < 0.05"),
         "join_unvisited_anti": (join_unvisited_anti, "SELECT c_nationkey, count(*) AS never FROM customer WHERE c_custkey NOT IN (SELECT user_id FROM events WHERE user_id IS NOT NULL) GROUP BY 1"),
         "join_range_cdf": (join_range_cdf, "WITH p AS (SELECT p_partkey, (p_partkey % 4)::INTEGER AS shard, p_size::BIGINT AS m, sum(p_size::BIGINT) OVER (PARTITION BY p_partkey % 4 ORDER BY p_partkey) AS hi FROM part), t AS (SELECT j AS step, (j % 4) AS shard, (j * 7 % 997) + 0.5 AS target FROM range(200) r(j)) SELECT step::INTEGER AS step, p_partkey, hi::BIGINT AS hi FROM p JOIN t ON p.shard = t.shard AND target < hi AND target >= hi - m"),
-        "join_theta_pairs": (join_theta_pairs, "WITH a AS (SELECT s_suppkey, s_acctbal FROM supplier ORDER BY s_suppkey LIMIT 100) SELECT count(*) AS pairs, round(sum(pow(x.s_acctbal - y.s_acctbal, 2)) / 10000, 2) AS variance FROM a x JOIN a y ON x.s_suppkey < y.s_suppkey"),
+        "join_theta_pairs": (join_theta_pairs, "WITH a AS (SELECT s_suppkey, s_acctbal FROM supplier) SELECT count(*) AS pairs, round(sum(pow(x.s_acctbal - y.s_acctbal, 2)) / pow((SELECT count(*) FROM a), 2), 2) AS variance FROM a x JOIN a y ON x.s_suppkey < y.s_suppkey"),
         "join_cross_augment": (join_cross_augment, "SELECT label, (c % 4)::INTEGER AS turn, count(*) AS n, round(sum(embedding[((64 - c % 64) % 64) + 1]::DOUBLE), 4) AS front FROM embeddings, range(128) r(c) GROUP BY 1, 2"),
         "join_asof_history": (join_asof_history, f"WITH {VISITS}, s AS (SELECT *, last_value(CASE WHEN event_type = 'click' THEN value END IGNORE NULLS) OVER ({w} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS prev FROM visits) SELECT event_id, round(prev, 4) AS prev FROM s WHERE event_type = 'purchase'"),
         "join_interval_events": (join_interval_events, "SELECT a.user_id, count(*) AS pairs FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase' GROUP BY 1"),

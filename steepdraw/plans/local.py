@@ -14,6 +14,7 @@ from dataclasses import dataclass, field
 import numpy as np
 
 from ..functions.columns import py_uniform
+from ..functions.objectives import square_norms
 from ..functions.steps import StepRule
 
 METHODS = ("full_gradient", "uniform", "sequential", "infogain", "infogain_draw", "weighted", "biased", "exact", "history", "snapshot")
@@ -39,9 +40,9 @@ def probabilities(magnitude: np.ndarray, beta: float) -> np.ndarray:
     return (1 - beta) * share + beta / len(magnitude)
 
 
-def draw(p: np.ndarray, uniforms: np.ndarray) -> np.ndarray:
-    """Rows whose running-sum interval holds each uniform."""
-    upto = np.cumsum(p)
+def draw(p: np.ndarray, uniforms: np.ndarray, upto: np.ndarray | None = None) -> np.ndarray:
+    """Rows whose running-sum interval holds each uniform; `upto` holds the running sums if known."""
+    upto = np.cumsum(p) if upto is None else upto
     return np.minimum(np.searchsorted(upto, uniforms * upto[-1], side="right"), len(p) - 1)
 
 
@@ -70,7 +71,7 @@ def run_steps(obj, x: np.ndarray, y: np.ndarray | None, w: np.ndarray, *, method
     n = len(x)
     pick = lambda i: None if y is None else y[i]
     s = State(w.copy(), np.ones(n) if magnitude is None else magnitude.astype(float).copy(), np.zeros(n, dtype=np.int64), np.zeros(n, dtype=np.int64))
-    p = np.full(n, 1 / n)
+    p, upto = np.full(n, 1 / n), None  # running sums of p, until p changes
     snapshot, snapshot_gradient = s.w, None
     began, spent = time.perf_counter(), 0.0
     for k in range(1, steps + 1):
@@ -88,7 +89,7 @@ def run_steps(obj, x: np.ndarray, y: np.ndarray | None, w: np.ndarray, *, method
         elif method in ("infogain", "infogain_draw"):
             score = x @ s.w
             q = 1 / (1 + np.exp(-np.clip(score, -500, 500)))
-            value = (_entropy(q) if gain == "entropy" else 2 * q * (1 - q)) * np.sqrt((x * x).sum(axis=1))
+            value = (_entropy(q) if gain == "entropy" else 2 * q * (1 - q)) * np.sqrt(square_norms(x))
             if method == "infogain":
                 value = value * (t - s.last_step)
                 rows = np.lexsort((np.arange(n), -value))[:batch]
@@ -98,14 +99,15 @@ def run_steps(obj, x: np.ndarray, y: np.ndarray | None, w: np.ndarray, *, method
                 weight = 1 / (n * p[rows])
         else:
             if method == "exact":
-                p = probabilities(obj.evaluate(s.w, x, y)[1], floor)
+                p, upto = probabilities(obj.evaluate(s.w, x, y)[1], floor), None
             elif method in ("weighted", "biased"):
                 p = prob / prob.sum()
             elif (k - 1) % redraw_every == 0:
                 if rescan_every and (k - 1) % rescan_every == 0:
                     s.magnitude = obj.evaluate(s.w, x, y)[1]
-                p = probabilities(s.magnitude, beta)
-            rows = draw(p, u)
+                p, upto = probabilities(s.magnitude, beta), None
+            upto = np.cumsum(p) if upto is None else upto
+            rows = draw(p, u, upto)
             weight = None if method == "biased" else 1 / (n * p[rows])
         _, lengths, gradient = obj.evaluate(s.w, x[rows], pick(rows))
         g = gradient(np.full(len(rows), 1 / len(rows)) if weight is None else weight / len(rows))

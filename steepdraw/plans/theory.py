@@ -16,7 +16,7 @@ from ..functions.steps import constant
 from ..operators import draws as D
 from ..operators import history as H
 from ..operators import measures as M
-from ..sources.tables import read_table
+from ..sources.tables import checkpointed, read_table
 from . import trainers as T
 
 FEATURES = ["x1", "x2", "x3", "x4", "x0"]
@@ -181,15 +181,15 @@ def _draw_out(df: DataFrame) -> DataFrame:
 
 
 def uniform_draw(s: SparkSession, d: str) -> DataFrame:
-    return _draw_out(D.uniform_draw(_with_shard(X.net_price(s, d).select("instance_id")), 128, SEED, 1))
+    return _draw_out(D.uniform_draw(_stored_once(s, d), 128, SEED, 1))
 
 
 def weighted_draw(s: SparkSession, d: str) -> DataFrame:
-    return _draw_out(D.two_level_draw(_stored(s, d), "magnitude", 128, SEED, 1))
+    return _draw_out(D.two_level_draw(_stored_once(s, d), "magnitude", 128, SEED, 1))
 
 
 def mixture(s: SparkSession, d: str) -> DataFrame:
-    return _draw_out(D.mixture_draw(_stored(s, d), "magnitude", BETA, 128, SEED, 2))
+    return _draw_out(D.mixture_draw(_stored_once(s, d), "magnitude", BETA, 128, SEED, 2))
 
 
 def _draw_sql(step: int, mix: bool = False, flat: bool = False) -> str:
@@ -208,7 +208,7 @@ VISIT_STEPS = range(1, 41)
 
 
 def _visits(s: SparkSession, d: str) -> DataFrame:
-    return M.visit_table(D.block_draw(_stored(s, d), "magnitude", 32, SEED, VISIT_STEPS))
+    return M.visit_table(D.block_draw(_stored_once(s, d), "magnitude", 32, SEED, VISIT_STEPS))
 
 
 def visit_counts(s: SparkSession, d: str) -> DataFrame:
@@ -217,9 +217,15 @@ def visit_counts(s: SparkSession, d: str) -> DataFrame:
 
 
 def staleness_report(s: SparkSession, d: str) -> DataFrame:
-    """Steps since the last visit, over the rows that were visited."""
-    age = F.lit(VISIT_STEPS.stop - 1) - F.col("last_step")
-    return _visits(s, d).agg(F.count(F.lit(1)).alias("visited"), F.round(F.avg(age), 6).alias("mean_age"), F.max(age).alias("max_age"), F.sum("visits").alias("draws"))
+    """Steps since the last visit over all rows; rows never visited count from the start."""
+    stored = _stored_once(s, d)
+    seen = F.broadcast(M.visit_table(D.block_draw(stored, "magnitude", 32, SEED, VISIT_STEPS)))  # a row a draw at most
+    age = F.lit(VISIT_STEPS.stop - 1) - F.coalesce("last_step", F.lit(0))
+    every = stored.select("instance_id").join(seen, "instance_id", "left").withColumn("age", age)
+    return every.agg(
+        F.count("visits").alias("visited"), F.round(F.avg("age"), 6).alias("mean_age"), F.round(F.avg(F.when(F.col("visits").isNotNull(), F.col("age"))), 6).alias("mean_age_visited"),
+        F.percentile(F.when(F.col("visits").isNotNull(), F.col("age")), F.lit(0.5)).alias("median_age_visited"), F.percentile(F.when(F.col("visits").isNotNull(), F.col("age")), F.lit(0.9)).alias("p90_age_visited"), F.max("age").cast("long").alias("max_age"), F.sum("visits").alias("draws"),
+    )
 
 
 VISITS_SQL = f"""{STORED_SQL}, us AS (SELECT t, {uniform_sql(str(SEED), "CAST(t AS VARCHAR)", "CAST(j AS VARCHAR)")} AS u FROM range(1, 41) a(t), range(32) b(j)),
@@ -230,8 +236,8 @@ vis AS (SELECT instance_id, count(*) AS visits, max(t) AS last_step FROM hit GRO
 
 
 def poisson(s: SparkSession, d: str) -> DataFrame:
-    h = H.probabilities(_stored(s, d), BETA)
-    n = h.count()
+    stored = _stored_once(s, d)
+    h, n = H.probabilities(stored, BETA), stored.count()
     return D.poisson_draw(h, "prob", 256, n, SEED, 3).select("instance_id", F.col("copies").cast("int").alias("copies"), F.round("weight", 4).alias("weight"))
 
 
@@ -278,18 +284,20 @@ def stage_and_length_costs(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(n, round(M.benefit_share(n, max(1, steps), 128), 6), round(M.length_cost(128, 32, 64), 6))], "rows long, benefit double, length_cost double")
 
 
+def _stored_once(s: SparkSession, d: str) -> DataFrame:
+    """The stored lengths as a table, for draws, which read them more than once."""
+    return checkpointed(_stored(s, d), "stored")
+
+
 def shard_masses(s: SparkSession, d: str) -> DataFrame:
     return D.shard_masses(_stored(s, d), "magnitude").select("shard", "rows", r6("mass"))
 
 
 def two_level_vs_global(s: SparkSession, d: str) -> DataFrame:
-    """One shard: the two-level draw and the global running sum must name the same rows."""
-    own = X.net_price(s, d).select("instance_id").withColumn("u", C.hash_uniform("few", F.col("instance_id"))).orderBy("u").limit(500)
-    own = own.select("instance_id", F.lit(0).alias("shard"), C.hash_uniform("hist", F.col("instance_id")).alias("magnitude"))
-    total = own.agg(F.sum("magnitude").alias("t"))
-    p = own.join(F.broadcast(total)).select("instance_id", "shard", (F.col("magnitude") / F.col("t")).alias("p"))
-    a = D.two_level_draw(p, "p", 64, SEED, 5).select("draw_no", F.col("instance_id").alias("a"))
-    b = D.global_cdf_draw(p, "p", 64, SEED, 5).select("draw_no", F.col("instance_id").alias("b"))
+    """The two-level draw and the running sum over the whole table must name the same rows."""
+    stored = _stored_once(s, d)
+    a = D.two_level_draw(stored, "magnitude", 64, SEED, 5).select("draw_no", F.col("instance_id").alias("a"))
+    b = D.global_cdf_draw(stored, "magnitude", 64, SEED, 5).select("draw_no", F.col("instance_id").alias("b"))
     return a.join(b, "draw_no", "full").agg(F.count(F.lit(1)).alias("draws"), F.count(F.when(F.col("a") == F.col("b"), 1)).alias("same"))
 
 
@@ -357,24 +365,21 @@ e AS (SELECT *, list_dot_product(r, u) AS c0, list_dot_product(r, v) AS c1 FROM
 SELECT vec_id AS instance_id, round(sqrt(list_sum(list_transform(x, lambda e, i: 4 * (pow(r[i] * a0 + e * c0, 2) + pow(r[i] * a1 + e * c1, 2))))), 6) AS magnitude FROM e"""
 
 
-def _few(s: SparkSession, d: str, m: int = 200) -> DataFrame:
-    own = D.subset_without_replacement(X.net_price(s, d), m, SEED, 9)
-    return own.select("instance_id", F.lit(0).alias("shard"), F.lit(False).alias("is_valid"), F.array(*FEATURES).alias("features"), "label")
+def _instances(s: SparkSession, d: str) -> DataFrame:
+    own = _with_shard(X.net_price(s, d))
+    return checkpointed(own.select("instance_id", "shard", F.lit(False).alias("is_valid"), F.array(*FEATURES).alias("features"), "label"), "instances")
 
 
 def _short(method: str):
     def q(s: SparkSession, d: str) -> DataFrame:
-        out = []
-        for steps in range(1, 6):
-            r = T.train(method, _few(s, d), Linear("logistic", 5), steps=steps, batch=4, step_rule=constant(0.5), seed=SEED, eval_every=0, beta=BETA) if steps == 5 else None
-            if r is not None:
-                out.append((steps, *[round(float(v), 6) + 0.0 for v in r.model]))
-        return s.createDataFrame(out, "step int, " + ", ".join(f"w_{c} double" for c in FEATURES))
+        """Five steps over the whole table, one distributed job a step."""
+        r = T.train(method, _instances(s, d), Linear("logistic", 5), steps=5, batch=4, step_rule=constant(0.5), seed=SEED, eval_every=0, beta=BETA, exec_mode="per_step", init="constant")
+        return s.createDataFrame([(5, *[round(float(v), 6) + 0.0 for v in r.model])], "step int, " + ", ".join(f"w_{c} double" for c in FEATURES))
 
     return q
 
 
-def _loop_sql(rows: str, tag: str, start: str, steps: range, method: str, n: int, gamma: float = 0.0) -> list[str]:
+def _loop_sql(rows: str, tag: str, start: str, steps: range, method: str, n: int | str, gamma: float = 0.0) -> list[str]:
     """CTEs of stochastic steps over the rows of CTE `rows` (i, x.., label); model w_<tag><t>."""
     out = [f"{tag}m{steps.start - 1} AS MATERIALIZED (SELECT i, 1.0::DOUBLE AS m FROM {rows})"]
     s = " + ".join(f"w.w_{c} * r.{c}" for c in FEATURES)
@@ -401,16 +406,18 @@ MODEL_OUT = ", ".join(f"round(w_{c}, 6) + 0.0 AS w_{c}" for c in FEATURES)
 
 
 def _short_sql(method: str) -> str:
-    return f"WITH {', '.join([INST, _subset_sql('few', 'inst', 200, 9), ZERO_W, *_loop_sql('few', 'a', 'z0', range(1, 6), method, 200)])} SELECT 5 AS step, {MODEL_OUT} FROM aw5"
+    every = f"every AS MATERIALIZED (SELECT row_number() OVER (ORDER BY shard, instance_id) - 1 AS i, * FROM (SELECT *, {SHARD_SQL} AS shard FROM inst))"
+    return f"WITH {', '.join([INST, every, ZERO_W, *_loop_sql('every', 'a', 'z0', range(1, 6), method, '(SELECT count(*) FROM every)')])} SELECT 5 AS step, {MODEL_OUT} FROM aw5"
 
 
 def staged_short(s: SparkSession, d: str) -> DataFrame:
-    r = T.staged_history(_few(s, d), Linear("logistic", 5), 2, subset_rows=100, batch=4, inner_steps=4, proximity="constant", gamma0=0.1, beta=BETA, history="reset", step_rule=constant(0.5), seed=SEED, eval_every=0)
+    """Two stages of four steps, each on 1,000 fresh rows of the whole table."""
+    r = T.staged_history(_instances(s, d), Linear("logistic", 5), 2, subset_rows=1000, batch=4, inner_steps=4, proximity="constant", gamma0=0.1, beta=BETA, history="reset", step_rule=constant(0.5), seed=SEED, eval_every=0)
     return s.createDataFrame([(8, *[round(float(v), 6) + 0.0 for v in r.model])], "step int, " + ", ".join(f"w_{c} double" for c in FEATURES))
 
 
 def _staged_sql() -> str:
-    ctes = [INST, _subset_sql("few", "inst", 200, 9), ZERO_W, _subset_sql("st0", "few", 100, 0), *_loop_sql("st0", "a", "z0", range(1, 5), "history", 100, 0.1), _subset_sql("st1", "few", 100, 1), *_loop_sql("st1", "b", "aw4", range(5, 9), "history", 100, 0.1)]
+    ctes = [INST, ZERO_W, _subset_sql("st0", "inst", 1000, 0), *_loop_sql("st0", "a", "z0", range(1, 5), "history", 1000, 0.1), _subset_sql("st1", "inst", 1000, 1), *_loop_sql("st1", "b", "aw4", range(5, 9), "history", 1000, 0.1)]
     return f"WITH {', '.join(ctes)} SELECT 8 AS step, {MODEL_OUT} FROM bw8"
 
 
@@ -418,13 +425,14 @@ def _one_step(method: str):
     """One distributed step from W over all rows: draws by shard masses, rows fetched by broadcast."""
 
     def q(s: SparkSession, d: str) -> DataFrame:
-        own = _with_shard(scored(s, d))
+        own = checkpointed(_with_shard(scored(s, d)).select("instance_id", "shard", *FEATURES, "slope", "len"), "scored")
         if method == "uniform":
             picked = D.uniform_draw(own.select("instance_id", "shard"), 128, SEED, 4)
         elif method == "exact":
             picked = D.two_level_draw(own.select("instance_id", "shard", "len"), "len", 128, SEED, 4)
         else:
-            picked = D.two_level_draw(H.probabilities(_stored(s, d), BETA), "prob", 128, SEED, 4)
+            held = own.select("instance_id", "shard", C.hash_uniform("hist", F.col("instance_id")).alias("magnitude"))
+            picked = D.two_level_draw(checkpointed(H.probabilities(held, BETA), "probabilities"), "prob", 128, SEED, 4)
         rows = own.join(F.broadcast(picked.select("instance_id", "weight")), "instance_id")
         return rows.agg(F.count(F.lit(1)).alias("draws"), *[F.round(F.lit(w) - 0.1 * F.sum(F.col("weight") * F.col("slope") * F.col(c)) / 128, 6).alias(f"w_{c}") for w, c in zip(W, FEATURES, strict=True)])
 
@@ -467,7 +475,7 @@ def queries() -> dict[str, tuple]:
         "weighted_draw_128": (weighted_draw, _draw_sql(1)),
         "mixture_draw": (mixture, _draw_sql(2, mix=True)),
         "visit_counts": (visit_counts, f"WITH {VISITS_SQL} SELECT instance_id, visits, last_step FROM vis ORDER BY visits DESC, instance_id LIMIT 20"),
-        "staleness_report": (staleness_report, f"WITH {VISITS_SQL} SELECT count(*) AS visited, round(avg(40 - last_step), 6) AS mean_age, max(40 - last_step) AS max_age, sum(visits)::BIGINT AS draws FROM vis"),
+        "staleness_report": (staleness_report, f"WITH {VISITS_SQL}, a AS (SELECT s.instance_id, v.visits, 40 - coalesce(v.last_step, 0) AS age FROM stored s LEFT JOIN vis v USING (instance_id)) SELECT count(visits) AS visited, round(avg(age), 6) AS mean_age, round(avg(age) FILTER (WHERE visits IS NOT NULL), 6) AS mean_age_visited, quantile_cont(age, 0.5) FILTER (WHERE visits IS NOT NULL) AS median_age_visited, quantile_cont(age, 0.9) FILTER (WHERE visits IS NOT NULL) AS p90_age_visited, max(age)::BIGINT AS max_age, sum(visits)::BIGINT AS draws FROM a"),
         "poisson_draw": (poisson, _poisson_sql()),
         "subset_without_replacement": (subset, f"WITH {INST} SELECT instance_id, round({uniform_sql(str(SEED), '1', 'instance_id')}, 9) AS u FROM inst ORDER BY {uniform_sql(str(SEED), '1', 'instance_id')}, instance_id LIMIT 200"),
         "subset_by_threshold": (subset_large, f"WITH {INST} SELECT instance_id, round({uniform_sql(str(SEED), '1', 'instance_id')}, 9) AS u FROM inst ORDER BY {uniform_sql(str(SEED), '1', 'instance_id')}, instance_id LIMIT 200"),

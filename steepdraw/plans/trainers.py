@@ -12,6 +12,7 @@ Shards are random, so any of them is a uniform subset and a stage is a pruned re
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -20,6 +21,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.objectives import SparseRows
 from ..functions.steps import StepRule, constant
 from ..operators import draws as D
 from ..operators import history as H
@@ -43,8 +45,12 @@ class TrainResult:
         return spark.createDataFrame(rows, TRACE)
 
 
-def _matrix(pdf: pd.DataFrame) -> tuple[np.ndarray, np.ndarray | None]:
-    x = np.array(pdf["features"].tolist(), dtype=np.float64).reshape(len(pdf), -1)
+def _matrix(pdf: pd.DataFrame) -> tuple[np.ndarray | SparseRows, np.ndarray | None]:
+    """Rows and labels of a batch; with a column `places`, features hold the values at those places."""
+    if "places" in pdf:
+        x = SparseRows.of(pdf["places"].tolist(), pdf["features"].tolist())
+    else:
+        x = np.array(pdf["features"].tolist(), dtype=np.float64).reshape(len(pdf), -1)
     return x, None if pdf["label"].isna().all() else pdf["label"].to_numpy(dtype=np.float64)
 
 
@@ -64,11 +70,14 @@ def _stage_task(obj, w: np.ndarray, options: dict):
         if "magnitude" in own and opts.pop("use_history", False):
             opts["magnitude"] = own["magnitude"].to_numpy(dtype=np.float64)
         opts.pop("use_history", None)
+        began = time.perf_counter()
         if opts.pop("init", "") == "exact_scan":
             opts["magnitude"] = obj.evaluate(w, x, y)[1]
+        scan = time.perf_counter() - began
         if opts["method"] in ("weighted", "biased"):
             opts["prob"] = own["prob"].to_numpy(dtype=np.float64)
         s = local.run_steps(obj, x, y, w, x_valid=xv, y_valid=yv, **opts)
+        s.trace = [t | {"elapsed_s": t["elapsed_s"] + scan} for t in s.trace]
         rows = pd.DataFrame({"kind": "row", "stage": stage, "instance_id": own["instance_id"].astype(str), "magnitude": s.magnitude, "last_step": s.last_step, "visits": s.visits, "vector": None, "trace": None})
         head = pd.DataFrame([{"kind": "model", "stage": stage, "instance_id": s.status, "magnitude": s.max_weight, "last_step": 0, "visits": 0, "vector": s.w.tolist(), "trace": json.dumps(s.trace)}])
         return pd.concat([head, rows[s.visits > 0]], ignore_index=True)
@@ -80,7 +89,7 @@ def stage_run(data: DataFrame, obj, w: np.ndarray, **options) -> tuple[np.ndarra
     """All steps of a stage on the rows of `data`, which must fit one task."""
     import json
 
-    keep = [c for c in ("instance_id", "is_valid", "features", "label", "magnitude", "prob") if c in data.columns]
+    keep = [c for c in ("instance_id", "is_valid", "places", "features", "label", "magnitude", "prob") if c in data.columns]
     own = data.select(*keep, F.lit(1).alias("_stage"))
     out = checkpointed(own.groupBy("_stage").applyInPandas(_stage_task(obj, w, options), STATE), "stage")
     head = out.where("kind = 'model'").select("vector", "trace", "instance_id").first()
@@ -150,18 +159,20 @@ def proximity_weight(kind: str, gamma0: float, stage: int, rows: int, var: float
     return {"none": 0.0, "constant": gamma0, "growing": gamma0 * float(np.sqrt((stage + 1) * max(var, 0.0) / rows))}[kind]
 
 
-def staged_history(data: DataFrame, obj, stages: int, *, shards: int = 16, subset_rows: int | None = None, visits: int = 16, batch: int = 128, inner_steps: int | None = None, proximity: str = "growing", gamma0: float = 0.1, beta: float = 0.2, history: str = "carry", step_rule: StepRule | None = None, seed: int = 0, eval_every: int = 100, method: str = "history", w: np.ndarray | None = None, **options) -> TrainResult:
+def staged_history(data: DataFrame, obj, stages: int, *, shards: int = 16, subset_rows: int | None = None, visits: int = 16, batch: int = 128, inner_steps: int | None = None, proximity: str = "growing", gamma0: float = 0.1, beta: float = 0.2, history: str = "carry", step_rule: StepRule | None = None, seed: int = 0, eval_every: int = 100, method: str = "history", exec_mode: str = "stage_local", w: np.ndarray | None = None, after_stage=None, **options) -> TrainResult:
     """Stages on random subsets: fixed shards in turn, or `subset_rows` fresh rows each.
 
     Lengths are carried between stages as a table of deltas, reset, or taken by a scan of the
-    subset.  Only the model and the trace of a stage reach the driver.
+    subset.  Only the model and the trace of a stage reach the driver.  A stage makes `visits` draws
+    a row unless `inner_steps` says otherwise; after the last shard the first comes again.
+    after_stage(stage, step, model, lengths) is called at the end of each.
     """
     rule = step_rule or constant(0.1)
     w = obj.start(seed) if w is None else w
     trace: list[dict] = []
     known: DataFrame | None = None
     step, spent, var = 0, 0.0, 1.0
-    status, visited_rows = "done", []
+    status, visited_rows, sent = "done", [], []
     valid = data.where("is_valid")
     for t in range(stages):
         if subset_rows is None:
@@ -171,7 +182,8 @@ def staged_history(data: DataFrame, obj, stages: int, *, shards: int = 16, subse
         extra: dict = {}
         if history == "carry" and known is not None:
             own = H.attach(own.withColumn("instance_id", F.col("instance_id").cast("string")), known)
-            extra["use_history"] = True
+            if exec_mode == "stage_local":
+                extra["use_history"] = True
         elif history == "exact_scan":
             extra["init"] = "exact_scan"
         rows = own.where("not is_valid").count()
@@ -181,46 +193,61 @@ def staged_history(data: DataFrame, obj, stages: int, *, shards: int = 16, subse
         inner = inner_steps or max(1, visits * rows // batch)
         gamma = proximity_weight(proximity, gamma0, t, rows, var)
         start = w
-        w, found, delta, status = stage_run(own, obj, w, method=method, steps=inner, batch=batch, rule=rule, seed=seed, beta=beta, anchor=start, gamma=gamma, first_step=step, eval_every=eval_every, stage=t, **extra, **options)
+        if exec_mode == "stage_local":
+            w, found, delta, status = stage_run(own, obj, w, method=method, steps=inner, batch=batch, rule=rule, seed=seed, beta=beta, anchor=start, gamma=gamma, first_step=step, eval_every=eval_every, stage=t, **extra, **options)
+        else:  # the subset's rows stay in their tasks
+            if "init" not in options:
+                extra.setdefault("init", "constant")
+            part = train(method, own, obj, steps=inner, batch=batch, step_rule=rule, seed=seed, exec_mode=exec_mode, eval_every=eval_every, w=w, beta=beta, anchor=start, gamma=gamma, first_step=step, stage=t, **extra, **options)
+            w, found, status = part.model, part.trace, part.status
+            delta = part.history.withColumn("last_step", F.lit(step + inner).cast("long"))
+            sent += part.extra.get("sent", [])
         for f in found:
             trace.append(f | {"elapsed_s": f["elapsed_s"] + spent})
         step, spent = step + inner, trace[-1]["elapsed_s"] if trace else 0.0
         if history == "carry":
             fresh = delta.select("instance_id", F.lit(0).alias("shard"), "magnitude", "last_step")
             known = checkpointed(fresh if known is None else H.compact(known, fresh), "history")
+        if after_stage is not None:
+            after_stage(t, step, w, known)
         if status in ("reached", "diverged"):
             break
-    return TrainResult(w, trace, known, status, {"subset_rows": visited_rows})
+    return TrainResult(w, trace, known, status, {"subset_rows": visited_rows, "sent": sent})
+
+
+def _inputs(data: DataFrame) -> list[str]:
+    return [c for c in ("places", "features", "label") if c in data.columns]
 
 
 def _gradient_rows(obj, w: np.ndarray):
     """Partial gradient, loss and lengths of the rows of a task; one partial a task."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        total, n, ids, lens = None, 0, [], []
+        total, n, most, ids, lens = None, 0, 0.0, [], []
         for pdf in batches:
             if not len(pdf):
                 continue
             x, y = _matrix(pdf)
             _, lengths, gradient = obj.evaluate(w, x, y)
             part = gradient(pdf["weight"].to_numpy(dtype=np.float64))
+            most = max(most, float(pdf["weight"].max()))
             total, n = part if total is None else total + part, n + len(pdf)
             ids += pdf["instance_id"].astype(str).tolist()
             lens += lengths.tolist()
         if total is not None:
-            yield pd.DataFrame([{"gradient": total.tolist(), "n": n, "ids": ids, "lens": lens}])
+            yield pd.DataFrame([{"gradient": total.tolist(), "n": n, "most": most, "ids": ids, "lens": lens}])
 
     return run
 
 
-def distributed_gradient(rows: DataFrame, obj, w: np.ndarray) -> tuple[np.ndarray, int, dict[str, float]]:
-    """Weighted gradient sum of drawn rows, their number and the lengths observed (a batch of rows)."""
-    parts = rows.select("instance_id", "features", "label", "weight").mapInPandas(_gradient_rows(obj, w), "gradient array<double>, n long, ids array<string>, lens array<double>").collect()
+def distributed_gradient(rows: DataFrame, obj, w: np.ndarray) -> tuple[np.ndarray, int, dict[str, float], int, float]:
+    """Weighted gradient sum of drawn rows, their number, the lengths observed (a batch of rows), the number of partial sums, the largest weight."""
+    parts = rows.select("instance_id", *_inputs(rows), "weight").mapInPandas(_gradient_rows(obj, w), "gradient array<double>, n long, most double, ids array<string>, lens array<double>").collect()
     total, seen = np.zeros(len(w)), {}
     for p in sorted(parts, key=lambda r: r["ids"]):
         total += np.array(p["gradient"])
         seen |= dict(zip(p["ids"], p["lens"], strict=True))
-    return total, sum(p["n"] for p in parts), seen
+    return total, sum(p["n"] for p in parts), seen, len(parts), max((p["most"] for p in parts), default=0.0)
 
 
 def _lengths(obj, w: np.ndarray):
@@ -235,71 +262,194 @@ def _lengths(obj, w: np.ndarray):
 def row_lengths(data: DataFrame, obj, w: np.ndarray) -> DataFrame:
     """instance_id, shard, magnitude for any objective, in one narrow pass."""
     kind = dict(data.dtypes)["instance_id"]
-    return data.select("instance_id", "shard", "features", "label").mapInPandas(_lengths(obj, w), f"instance_id {kind}, shard int, magnitude double")
+    return data.select("instance_id", "shard", *_inputs(data)).mapInPandas(_lengths(obj, w), f"instance_id {kind}, shard int, magnitude double")
 
 
-def _per_step(method, data, obj, w, steps, batch, rule, seed, eval_every, beta: float = 0.2, floor: float = 0.0, init: str = "constant", compact_every: int = 20, **_) -> TrainResult:
-    """One distributed job a step; for tests, large batches and rows that fit no single task."""
-    rows = data.where("not is_valid").withColumn("instance_id", F.col("instance_id").cast("string"))
-    state = None
-    if method == "history":
-        state = row_lengths(rows, obj, w) if init == "exact_scan" else rows.select("instance_id", "shard", F.lit(1.0).alias("magnitude"))
-        state = checkpointed(state.withColumn("last_step", F.lit(0).cast("long")), "history")
-    trace: list[dict] = []
-    n = rows.count()
-    for t in range(1, steps + 1):
+def _look_rows(obj, w: np.ndarray, beta: float, total: float, n: int):
+    """Partial sums of a task for one look: losses, lengths, inverse probabilities, gradient, held-out errors."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        sums, g = np.zeros(6), np.zeros(len(w))
+        for pdf in batches:
+            for held in (False, True):
+                own = pdf[pdf["is_valid"] == held]
+                if not len(own):
+                    continue
+                x, y = _matrix(own)
+                if held:
+                    sums[4:] += len(own), obj.wrong(w, x, y).sum()
+                    continue
+                losses, lengths, gradient = obj.evaluate(w, x, y)
+                share = own["magnitude"].to_numpy(dtype=np.float64) / total if total > 0 else np.full(len(own), 1 / n)
+                p = (1 - beta) * share + beta / n
+                sums[:4] += len(own), losses.sum(), (lengths**2).sum(), (lengths**2 / p).sum()
+                g += gradient(np.ones(len(own)))
+        yield pd.DataFrame([{"sums": sums.tolist(), "gradient": g.tolist()}])
+
+    return run
+
+
+def look(base: DataFrame, obj, w: np.ndarray, beta: float, total: float, n: int) -> dict:
+    """Mean loss, held-out error and variance ratio at w, in one pass; base holds magnitudes."""
+    kept = [c for c in ("is_valid", "magnitude", "places", "features", "label") if c in base.columns]
+    parts = base.select(*kept).mapInPandas(_look_rows(obj, w, beta, total, n), "sums array<double>, gradient array<double>").collect()  # one row a task
+    sums = np.sum([p["sums"] for p in parts], axis=0)
+    g = np.sum([p["gradient"] for p in parts], axis=0) / max(1.0, sums[0])
+    flat, given = sums[2] / sums[0] - g @ g, sums[3] / sums[0] ** 2 - g @ g
+    return {"loss": float(sums[1] / sums[0]), "penalty": obj.penalty.value(w), "error": float(sums[5] / sums[4]) if sums[4] else None, "nonzero": int(np.count_nonzero(np.abs(w) > 1e-8)), "var_uniform": float(flat), "var_history": float(given), "var_ratio": float(given / flat) if flat > 1e-15 else 1.0}
+
+
+class _Stored:
+    """Stored lengths of a distributed run: a written table, and what the steps since have seen.
+
+    The lengths seen since are a few rows a step; they are joined by broadcast and, from
+    `compact_rows` on, written into the table.  The total is kept up to date on the driver.
+    """
+
+    def __init__(self, data: DataFrame, obj, w: np.ndarray, init: str, compact_rows: int = 200_000) -> None:
+        own = data.withColumn("instance_id", F.col("instance_id").cast("string"))
+        if "magnitude" not in own.columns:
+            own = own.withColumn("magnitude", F.lit(1.0))
+            if init == "exact_scan":
+                kinds = dict(own.dtypes)
+                own = own.mapInPandas(_with_lengths(obj, w), ", ".join(f"{c} {kinds[c]}" for c in own.columns))
+        self.table, self.seen, self.compact_rows = checkpointed(own, "stored"), {}, compact_rows
+
+    def current(self) -> DataFrame:
+        """All rows with the lengths last seen."""
+        if not self.seen:
+            return self.table
+        ids, values = zip(*self.seen.items(), strict=True)
+        fresh = self.table.sparkSession.createDataFrame(pd.DataFrame({"instance_id": ids, "_seen": values}), "instance_id string, _seen double")
+        out = self.table.join(F.broadcast(fresh), "instance_id", "left").withColumn("magnitude", F.coalesce("_seen", "magnitude")).select(*self.table.columns)
+        if len(self.seen) >= self.compact_rows:
+            self.table, self.seen = checkpointed(out, "stored"), {}
+            return self.table
+        return out
+
+
+def _with_lengths(obj, w: np.ndarray):
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            if len(pdf):
+                pdf["magnitude"] = obj.evaluate(w, *_matrix(pdf))[1]
+            yield pdf
+
+    return run
+
+
+def _mixture_masses(rows: DataFrame, beta: float) -> tuple[list[tuple], float, int]:
+    """(shard, rows, mass) of the drawing probabilities, the sum of lengths and the number of rows."""
+    masses = [tuple(r) for r in D.shard_masses(rows, "magnitude").orderBy("shard").collect()]
+    n, total = sum(r[1] for r in masses), sum(r[2] for r in masses)
+    return [(s, c, ((1 - beta) * m / total if total else (1 - beta) * c / n) + beta * c / n) for s, c, m in masses], total, n
+
+
+def _mixture(beta: float, total: float, n: int):
+    share = F.col("magnitude") / F.lit(total) if total else F.lit(1.0 / n)
+    return (1 - beta) * share + F.lit(beta / n)
+
+
+def _per_step(method, data, obj, w, steps, batch, rule, seed, eval_every, beta: float = 0.2, floor: float = 0.0, init: str = "constant", measure_variance: bool = True, anchor=None, gamma: float = 0.0, first_step: int = 0, stage: int = 0, **_) -> TrainResult:
+    """One distributed job a step; for tests, large batches and rows that fit no single task.
+
+    A step sends the model to the tasks and one gradient, and the drawn rows' lengths, back:
+    `extra` counts those bytes.
+    """
+    beta = 1.0 if method in ("uniform", "full_gradient") else floor if method == "exact" else beta
+    stored = _Stored(data, obj, w, init if method == "history" else "constant")
+    trace, sent, max_weight, began, looked = [], [], 0.0, time.perf_counter(), 0.0
+    for t in range(first_step + 1, first_step + steps + 1):
+        every = stored.current()
+        rows = every.where("not is_valid")
+        if method == "exact":
+            rows = checkpointed(rows.drop("magnitude").mapInPandas(_fresh_lengths(obj, w), ", ".join(f"{c} {k}" for c, k in rows.dtypes)), "lengths")
         if method == "full_gradient":
             drawn = rows.withColumn("weight", F.lit(1.0))
-        else:
-            if method == "uniform":
-                picked = D.uniform_draw(rows.select("instance_id", "shard"), batch, seed, t).withColumn("weight", F.lit(1.0))
-            elif method == "exact":
-                lengths = checkpointed(row_lengths(rows, obj, w), "lengths")
-                picked = D.mixture_draw(lengths, "magnitude", floor, batch, seed, t) if floor else D.two_level_draw(lengths, "magnitude", batch, seed, t)
-            elif method == "history":
-                # the mixture's probability is formed on the fly: lengths share plus floor
-                picked = D.two_level_draw(H.probabilities(state, beta), "prob", batch, seed, t)
-            else:
-                raise ValueError(f"{method} has no per-step form")
+        elif method in ("uniform", "exact", "history"):
+            masses, total, n = _mixture_masses(rows, beta)
+            picked = D.block_draw(rows.select("instance_id", "shard", _mixture(beta, total, n).alias("prob")), "prob", batch, seed, [t], masses)
             drawn = rows.join(F.broadcast(picked.select("instance_id", "weight")), "instance_id")
-        g, count, seen = distributed_gradient(drawn, obj, w)
-        w = w - rule.move(g / count + obj.penalty.gradient(w), t)
+        else:
+            raise ValueError(f"{method} has no per-step form")
+        g, count, seen, parts, most = distributed_gradient(drawn, obj, w)
+        max_weight = max(max_weight, most)
+        sent.append({"step": t, "tasks": parts, "down": 8 * len(w) * parts, "up": 8 * len(w) * parts, "lengths": sum(len(i) + 8 for i in seen) if method == "history" else 0})
+        step = g / count + obj.penalty.gradient(w) + (gamma * (w - anchor) if anchor is not None else 0.0)
         if method == "history":
-            fresh = F.broadcast(data.sparkSession.createDataFrame([(i, v, t) for i, v in sorted(seen.items())], "instance_id string, _m double, _t long"))  # a batch of rows
-            state = state.join(fresh, "instance_id", "left").select("instance_id", "shard", F.coalesce("_m", "magnitude").alias("magnitude"), F.coalesce("_t", "last_step").alias("last_step"))
-            if t % compact_every == 0:
-                state = checkpointed(state, "history")
-        if eval_every and (t % eval_every == 0 or t == steps):
-            trace.append({"step": t, "stage": 0, "loss": float("nan"), "penalty": obj.penalty.value(w), "error": float("nan"), "nonzero": int(np.count_nonzero(w)), "var_ratio": 1.0, "max_weight": 0.0, "elapsed_s": 0.0})
-    return TrainResult(w, trace, state, "done", {"rows": n})
+            stored.seen |= seen
+        if eval_every and ((t - first_step) % eval_every == 0 or t == first_step + steps):
+            pass_began = time.perf_counter()
+            elapsed = pass_began - began - looked
+            w = w - rule.move(step, t)
+            after = stored.current()
+            masses, total, n = _mixture_masses(after.where("not is_valid"), beta)
+            trace.append(look(after, obj, w, beta, total, n) | {"step": t, "stage": stage, "max_weight": max_weight, "elapsed_s": elapsed})
+            looked += time.perf_counter() - pass_began
+        else:
+            w = w - rule.move(step, t)
+    state = stored.current().select("instance_id", "shard", "magnitude")
+    return TrainResult(w, trace, state, "done", {"sent": sent})
 
 
-def _prefetch(method, data, obj, w, steps, batch, rule, seed, eval_every, k: int, beta: float = 0.2, init: str = "exact_scan", **_) -> TrainResult:
+def _fresh_lengths(obj, w: np.ndarray):
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            yield pdf.assign(magnitude=obj.evaluate(w, *_matrix(pdf))[1] if len(pdf) else [])
+
+    return run
+
+
+BLOCK_ROWS = 200_000
+
+
+def _prefetch(method, data, obj, w, steps, batch, rule, seed, eval_every, k: int, beta: float = 0.2, init: str = "exact_scan", measure_variance: bool = True, anchor=None, gamma: float = 0.0, first_step: int = 0, stage: int = 0, prox: bool = False, look_shards: int = 0, **_) -> TrainResult:
     """Blocks of k steps: one draw job under frozen probabilities, then k steps over the drawn rows.
 
-    Unbiased for any k, since each draw keeps the probability it was made with.
+    Unbiased for any k, since each draw keeps the probability it was made with.  k * batch rows,
+    BLOCK_ROWS at most, reach the driver at a time, whatever the size of the table.  With
+    look_shards, look j of the trace is over the rows of shard j modulo look_shards.
     """
-    rows = data.where("not is_valid").withColumn("instance_id", F.col("instance_id").cast("string"))
-    state = rows.select("instance_id", "shard", F.lit(1.0).alias("magnitude"))
-    if method == "history" and init == "exact_scan":
-        state = row_lengths(rows, obj, w)
-    state = checkpointed(state.withColumn("last_step", F.lit(0).cast("long")), "history")
-    trace: list[dict] = []
-    for first in range(0, steps, k):
-        now = range(first + 1, min(first + k, steps) + 1)
-        weighted_rows = H.probabilities(state, beta if method == "history" else 1.0)
-        masses = [tuple(r) for r in D.shard_masses(weighted_rows, "prob").orderBy("shard").collect()]
-        picked = D.block_draw(weighted_rows, "prob", batch, seed, now, masses)
-        # k * batch rows at most
-        fetched = rows.join(F.broadcast(picked), "instance_id").select("step", "draw_no", "instance_id", "features", "label", "weight").toPandas().sort_values(["step", "draw_no"])
-        seen: dict[str, tuple[float, int]] = {}
-        for t in now:
-            own = fetched[fetched["step"] == t]
-            x, y = _matrix(own)
-            _, lengths, gradient = obj.evaluate(w, x, y)
-            w = w - rule.move(gradient(own["weight"].to_numpy() / len(own)) + obj.penalty.gradient(w), t)
-            seen |= {i: (float(v), t) for i, v in zip(own["instance_id"], lengths, strict=True)}
-        delta = data.sparkSession.createDataFrame([(i, v, t) for i, (v, t) in sorted(seen.items())], "instance_id string, _m double, _t long")
-        state = checkpointed(state.join(F.broadcast(delta), "instance_id", "left").select("instance_id", "shard", F.coalesce("_m", "magnitude").alias("magnitude"), F.coalesce("_t", "last_step").alias("last_step")), "history")
-        trace.append({"step": now[-1], "stage": 0, "loss": float("nan"), "penalty": obj.penalty.value(w), "error": float("nan"), "nonzero": int(np.count_nonzero(w)), "var_ratio": 1.0, "max_weight": 0.0, "elapsed_s": 0.0})
-    return TrainResult(w, trace, state)
+    if method not in ("uniform", "history"):
+        raise ValueError(f"{method} has no prefetched form")
+    beta = 1.0 if method == "uniform" else beta
+    k = max(1, min(k, BLOCK_ROWS // batch))
+    stored = _Stored(data, obj, w, init if method == "history" else "constant")
+    trace, max_weight, began, looked = [], 0.0, time.perf_counter(), 0.0
+    masses = None
+    last, done = first_step + steps, first_step
+    while done < last:
+        upto = min(done + k, last, (done - first_step) // eval_every * eval_every + eval_every + first_step if eval_every else last)
+        now = range(done + 1, upto + 1)
+        rows = stored.current().where("not is_valid")
+        if masses is None or method == "history":
+            masses, total, n = _mixture_masses(rows, beta)
+        picked = D.block_draw(rows.select("instance_id", "shard", _mixture(beta, total, n).alias("prob")), "prob", batch, seed, now, masses)
+        inputs = _inputs(rows)
+        fetched = rows.select("instance_id", *inputs).join(F.broadcast(picked), "instance_id").select("step", "draw_no", "instance_id", *inputs, "weight").toPandas().sort_values(["step", "draw_no"]).reset_index(drop=True)
+        x, y = _matrix(fetched)
+        ids, weights, at = fetched["instance_id"].to_numpy(), fetched["weight"].to_numpy(), fetched["step"].to_numpy()
+        edges = np.searchsorted(at, [*now, upto + 1])
+        max_weight = max(max_weight, float(weights.max()))
+        for t, a, z in zip(now, edges, edges[1:], strict=False):
+            own = np.arange(a, z)
+            _, lengths, gradient = obj.evaluate(w, x[own], None if y is None else y[own])
+            g = gradient(weights[a:z] / (z - a)) + (0.0 if prox else obj.penalty.gradient(w)) + (gamma * (w - anchor) if anchor is not None else 0.0)
+            w = w - rule.move(g, t)
+            if prox and obj.penalty.kind == "l1":
+                w = obj.penalty.shrink(w, rule.rate(t))
+            if method == "history":
+                stored.seen.update(zip(ids[a:z], lengths.tolist(), strict=True))
+        done = upto
+        if eval_every and ((done - first_step) % eval_every == 0 or done == last):
+            pass_began = time.perf_counter()
+            elapsed = pass_began - began - looked
+            after = stored.current()
+            if look_shards:
+                after = after.where(F.col("shard") == len(trace) % look_shards)
+            _, held, count = _mixture_masses(after.where("not is_valid"), beta)
+            trace.append(look(after, obj, w, beta, held, count) | {"step": done, "stage": stage, "max_weight": max_weight, "elapsed_s": elapsed})
+            looked += time.perf_counter() - pass_began
+            if not np.isfinite(trace[-1]["loss"]):
+                break
+    return TrainResult(w, trace, stored.current().select("instance_id", "shard", "magnitude"))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -59,9 +61,12 @@ def time_action(df: DataFrame) -> float:
 def scratch(spark: SparkSession, label: str) -> str:
     """A fresh path in the folder that driver and executors share."""
     root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        local = spark.sparkContext.master.startswith("local[")
-        root = f"file:///tmp/checkpoints/{spark.sparkContext.applicationId}" if local else spark.conf.get("spark.sql.warehouse.dir") + "/_scratch"
+    if not root and spark.sparkContext.master.startswith("local["):
+        folder = f"/tmp/checkpoints/{spark.sparkContext.applicationId}"
+        atexit.register(shutil.rmtree, folder, ignore_errors=True)
+        root = f"file://{folder}"
+    elif not root:
+        root = spark.conf.get("spark.sql.warehouse.dir") + "/_scratch"
     return f"{root.rstrip('/')}/{label}-{uuid.uuid4().hex}"
 
 
@@ -72,6 +77,13 @@ def checkpointed(df: DataFrame, label: str = "state") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def sharded(df: DataFrame, label: str = "instances", shards: int = 16) -> DataFrame:
+    """Rows in a folder for each shard, so reading a shard reads its folder only."""
+    path = scratch(df.sparkSession, label)
+    write_sharded(df, path, shards)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def no_nulls(df: DataFrame, columns: list[str]) -> DataFrame:
     """Rows with all of the columns present; training rejects the others."""
     keep = F.lit(True)
