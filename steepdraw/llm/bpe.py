@@ -25,7 +25,10 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import chunks
+
 CACHE_ENTRIES = 200_000
+CHUNK_BYTES = 1 << 20
 #: Unicode's White_Space property, as the pattern's \s means it.
 WHITE_SPACE = "".join(map(chr, (*range(0x09, 0x0E), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
 _SPLIT = regex.compile(f"[{WHITE_SPACE}]+")
@@ -218,13 +221,15 @@ def encode_decode(docs: DataFrame, path: str, column: str = "text") -> DataFrame
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(path)
         for b in batches:
-            n, ids, decoded = [], [], []
-            for text in b.column(1).to_pylist():
-                pieces = own.pieces(text or "")
-                n.append(sum(map(_COUNT, pieces)))
-                ids.append(" ".join(map(_IDS, pieces)))
-                decoded.append(" ".join(map(_NAMES, pieces)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(decoded, pa.string())], names=["doc_id", "n_tokens", "ids", "decoded"])
+            for part in chunks(b.column(1), CHUNK_BYTES):  # ids and names take several times the text's bytes
+                n, ids, decoded = [], [], []
+                for text in b.column(1).slice(part.start, part.stop - part.start).to_pylist():
+                    pieces = own.pieces(text or "")
+                    n.append(sum(map(_COUNT, pieces)))
+                    ids.append(" ".join(map(_IDS, pieces)))
+                    decoded.append(" ".join(map(_NAMES, pieces)))
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(part.start, len(n)), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(decoded, pa.string())], names=["doc_id", "n_tokens", "ids", "decoded"])
+        pa.default_memory_pool().release_unused()
 
     kind = dict(docs.dtypes)["doc_id"]
     return docs.select("doc_id", F.col(column).alias("text")).mapInArrow(run, f"doc_id {kind}, n_tokens long, ids string, decoded string")

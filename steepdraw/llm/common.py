@@ -5,8 +5,11 @@ from __future__ import annotations
 import atexit
 import shutil
 import uuid
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -74,6 +77,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def chunks(texts: pa.Array, size: int, rows: int = 512) -> Iterator[slice]:
+    """Slices of at most `rows` texts, cut once they hold `size` bytes."""
+    held, start = 0, 0
+    for i, n in enumerate(pc.binary_length(texts).to_pylist()):
+        held += n or 0
+        if held >= size or i + 1 - start >= rows:
+            yield slice(start, i + 1)
+            held, start = 0, i + 1
+    if start < len(texts):
+        yield slice(start, len(texts))
+
+
 def mix64(h: np.ndarray) -> np.ndarray:
     """Finaliser that spreads every input bit over the whole word (in place)."""
     h ^= h >> np.uint64(32)

@@ -39,11 +39,10 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SpanHasher, broadcast_if, materialise, mix64, powers, release
+from .common import SpanHasher, broadcast_if, chunks, materialise, mix64, powers, release
 
 SHINGLE = 5
 THRESHOLD = 0.8
@@ -53,7 +52,6 @@ REGISTERS = 256  # the bands read the first BANDS * ROWS; a multiple of 64
 PLANES = 4
 AGREE = 0.72
 BATCH_BYTES = 1 << 19
-BATCH_ROWS = 512
 
 
 def word_hashes(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
@@ -119,18 +117,6 @@ def signatures(text: np.ndarray, names: np.ndarray, weights: np.ndarray, texts:
     return out.reshape(texts, registers)
 
 
-def _chunks(texts: pa.Array) -> Iterator[slice]:
-    """Slices of at most BATCH_ROWS texts, cut once they hold BATCH_BYTES."""
-    size, start = 0, 0
-    for i, n in enumerate(pc.binary_length(texts).to_pylist()):
-        size += n or 0
-        if size >= BATCH_BYTES or i + 1 - start >= BATCH_ROWS:
-            yield slice(start, i + 1)
-            size, start = 0, i + 1
-    if start < len(texts):
-        yield slice(start, len(texts))
-
-
 def mark_planes(signature: np.ndarray) -> np.ndarray:
     """The top PLANES bits of each register: plane after plane, 64 registers a word."""
     top = (signature >> np.uint64(64 - PLANES)).astype(np.uint8)
@@ -148,7 +134,7 @@ def _signed(bands: int, rows: int, registers: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             *own, texts = b.columns
-            for part in _chunks(texts):
+            for part in chunks(texts, BATCH_BYTES):
                 some = texts.slice(part.start, part.stop - part.start).to_pylist()
                 text, h, w, node = shingles(some)
                 n = len(some)
@@ -167,7 +153,7 @@ def _signed(bands: int, rows: int, registers: int):
 def _bags(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Each text's bag: 32-bit names of its shingles, a further name for each further occurrence."""
     for b in batches:
-        for part in _chunks(b.column(0)):
+        for part in chunks(b.column(0), BATCH_BYTES):
             some = b.column(0).slice(part.start, part.stop - part.start).to_pylist()
             text, h, w, node = shingles(some)
             nth = np.arange(int(w.sum())) - np.repeat(np.cumsum(w) - w, w)
