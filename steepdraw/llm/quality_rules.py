@@ -74,7 +74,9 @@ def measures_of(texts: pa.Array) -> pa.Array:
 
 def _measured(docs: DataFrame, **kept: Column) -> DataFrame:
     """kept columns, lang, source, measures (a struct) and base_failed."""
-    own = docs.select(*[c.alias(n) for n, c in kept.items()], "lang", "source", measures_of(F.col("text").cast("string")).alias("m"))
+    # a deterministic function would be run again for a filter that is pushed below it
+    once = measures_of.asNondeterministic()
+    own = docs.select(*[c.alias(n) for n, c in kept.items()], "lang", "source", once(F.col("text").cast("string")).alias("m"))
     words = F.col("m.n_words")
     return own.withColumn("base_failed", (words < 50) | (100 * F.col("m.n_repeat_words") > 50 * words))
 
