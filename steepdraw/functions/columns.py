@@ -18,7 +18,18 @@ def hash_uniform(*parts: Column | str | int) -> Column:
 
 def py_uniform(*parts: object) -> float:
     """The same number without Spark."""
-    return (int(hashlib.md5(":".join(map(str, parts)).encode()).hexdigest()[:12], 16) + 0.5) / SPAN
+    return (int.from_bytes(hashlib.md5(":".join(map(str, parts)).encode()).digest()[:6], "big") + 0.5) / SPAN
+
+
+def py_uniforms(seed: int, step: int, count: int) -> list[float]:
+    """py_uniform(seed, step, j) for j below count."""
+    begun = hashlib.md5(f"{seed}:{step}:".encode())
+    out = []
+    for j in range(count):
+        own = begun.copy()
+        own.update(b"%d" % j)
+        out.append((int.from_bytes(own.digest()[:6], "big") + 0.5) / SPAN)
+    return out
 
 
 def dot(xs: list[Column], ws: list[float]) -> Column:

@@ -13,7 +13,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
-from ..functions.columns import py_uniform
+from ..functions.columns import py_uniform, py_uniforms
 from ..functions.objectives import square_norms
 from ..functions.steps import StepRule
 
@@ -78,7 +78,7 @@ def run_steps(obj, x: np.ndarray, y: np.ndarray | None, w: np.ndarray, *, method
         t = first_step + k
         u = None
         if method not in ("full_gradient", "sequential", "infogain"):
-            u = np.array([py_uniform(seed, t, j) for j in range(batch)])
+            u = np.array(py_uniforms(seed, t, batch))
         weight = None
         if method == "full_gradient":
             rows = np.arange(n)

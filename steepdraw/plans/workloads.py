@@ -31,6 +31,7 @@ from pyspark.sql import functions as F
 from ..functions import features as X
 from ..functions.objectives import Linear, Mlp, Pca, Penalty, fourier_features
 from ..functions.steps import constant
+from ..operators import draws as D
 from ..operators import measures as M
 from ..sources.tables import checkpointed, read_table, sharded
 from . import trainers as T
@@ -188,31 +189,36 @@ def _reached(trace: list[dict], target: float) -> tuple[int, float, bool]:
     return last["step"], last["elapsed_s"], hit is not None
 
 
+SUBSET = 3000  # rows a stage holds on a large table
+
+
 def steps_query(name: str = "net_price", seeds: tuple[int, ...] = (31, 32, 33, 34, 35)):
     """Steps and seconds to the error that uniform draws settle at (median of their last quarter).
 
-    one_subset  one shard's rows, small batches: stored lengths against uniform draws
-    all_shards  stages of 16 visits a row, published batch: the staged method against uniform draws
-    Each run is timed inside its tasks, so both methods of a form differ by their own work only.
+    one_subset  one subset's rows, small batches: stored lengths against uniform draws
+    subsets     fresh subsets of SUBSET rows, 16 visits a row, batch 128: stages against uniform draws
+    The steps are large, so the pull is small.  Subsets are drawn from the whole table.  Each run is timed inside its tasks, so both methods of
+    a form differ by their own work only.
     """
 
     def q(spark: SparkSession, sf_dir: str) -> DataFrame:
         w = load_task(spark, sf_dir, name)
         data = sharded(w.data)
-        one = checkpointed(data.where("shard = 0"), "subset")
-        n = one.where("not is_valid").count()
+        held = D.subset_without_replacement(data.where("is_valid"), SUBSET, 3, 0).drop("u")
+        own_rows = checkpointed(D.subset_without_replacement(data.where("not is_valid"), SUBSET, 2, 0).drop("u").unionByName(held), "subset")
+        every = checkpointed(data.where("not is_valid").unionByName(held), "instances")
         out = []
-        for form, batch, eta, methods in (("one_subset", 32, 10.0, ("uniform", "history")), ("all_shards", 128, 30.0, ("uniform", "staged"))):
+        for form, batch, eta, methods in (("one_subset", 32, 10.0, ("uniform", "history")), ("subsets", 128, 30.0, ("uniform", "staged"))):
             runs: dict[str, list] = {m: [] for m in methods}
-            for seed in seeds if form == "one_subset" else seeds[:3]:
+            for seed in seeds:
                 for m in methods:
                     common = {"step_rule": constant(eta), "seed": seed, "eval_every": 25, "batch": batch}
                     if form == "one_subset":
                         own = {"redraw_every": 16, "init": "exact_scan"} if m == "history" else {}
-                        r = T.train(m, one, w.objective, steps=max(1000, 16 * n // batch), **common, **own)
+                        r = T.train(m, own_rows, w.objective, steps=2000, **common, **own)
                     else:
-                        own = {"redraw_every": 16, "history": "exact_scan"} if m == "staged" else {"method": "uniform", "proximity": "none", "history": "reset"}
-                        r = T.staged_history(data, w.objective, 2, shards=SHARDS, visits=16, **common, **own)
+                        own = {"redraw_every": 16, "history": "exact_scan", "gamma0": 0.001} if m == "staged" else {"method": "uniform", "proximity": "none", "history": "reset"}
+                        r = T.staged_history(every, w.objective, 2, subset_rows=SUBSET, visits=16, **common, **own)
                     runs[m].append(r.trace)
             target = float(np.median([t["error"] for trace in runs["uniform"] for t in trace[-max(1, len(trace) // 4) :]]))
             found = {m: [_reached(t, target) for t in traces] for m, traces in runs.items()}
@@ -403,8 +409,8 @@ SELECT feature, round(value, 6) AS value FROM m WHERE value <> 0"""
 def queries() -> dict[str, tuple]:
     hist = ("uniform", "history", "staged")
     own = {
-        "train_uniform_trace": trace_query("net_price", ("uniform",), 600),
-        "train_history_trace": trace_query("net_price", ("history",), 600),
+        "train_uniform_trace": trace_query("net_price", ("uniform",), 600, eval_every=200),
+        "train_history_trace": trace_query("net_price", ("history",), 600, eval_every=200),
         "train_staged_trace": trace_query("net_price", ("staged",), 600, visits=16, eval_every=1 << 30),
         "train_hinge_trace": trace_query("net_price_hinge", hist, 304),
         "train_regression_trace": trace_query("net_price_regression", hist, 304),
