@@ -294,7 +294,9 @@ def look(base: DataFrame, obj, w: np.ndarray, beta: float, total: float, n: int)
     kept = [c for c in ("is_valid", "magnitude", "places", "features", "label") if c in base.columns]
     parts = base.select(*kept).mapInPandas(_look_rows(obj, w, beta, total, n), "sums array<double>, gradient array<double>").collect()  # one row a task
     sums = np.sum([p["sums"] for p in parts], axis=0)
-    g = np.sum([p["gradient"] for p in parts], axis=0) / max(1.0, sums[0])
+    if not sums[0]:  # no row to train on here
+        return {"loss": None, "penalty": obj.penalty.value(w), "error": float(sums[5] / sums[4]) if sums[4] else None, "nonzero": int(np.count_nonzero(np.abs(w) > 1e-8)), "var_ratio": None}
+    g = np.sum([p["gradient"] for p in parts], axis=0) / sums[0]
     flat, given = sums[2] / sums[0] - g @ g, sums[3] / sums[0] ** 2 - g @ g
     return {"loss": float(sums[1] / sums[0]), "penalty": obj.penalty.value(w), "error": float(sums[5] / sums[4]) if sums[4] else None, "nonzero": int(np.count_nonzero(np.abs(w) > 1e-8)), "var_uniform": float(flat), "var_history": float(given), "var_ratio": float(given / flat) if flat > 1e-15 else 1.0}
 
@@ -450,6 +452,6 @@ def _prefetch(method, data, obj, w, steps, batch, rule, seed, eval_every, k: int
             _, held, count = _mixture_masses(after.where("not is_valid"), beta)
             trace.append(look(after, obj, w, beta, held, count) | {"step": done, "stage": stage, "max_weight": max_weight, "elapsed_s": elapsed})
             looked += time.perf_counter() - pass_began
-            if not np.isfinite(trace[-1]["loss"]):
+            if trace[-1]["loss"] is not None and not np.isfinite(trace[-1]["loss"]):
                 break
     return TrainResult(w, trace, stored.current().select("instance_id", "shard", "magnitude"))

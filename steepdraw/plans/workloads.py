@@ -382,7 +382,7 @@ def one_vs_rest(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each given label against the rest on kernel features: traces of ten two-class tasks."""
     out = None
     for c in range(10):
-        t = run_methods(spark, load_task(spark, sf_dir, f"kernel_given_{c}"), 96, methods=("staged",), eval_every=1 << 30).withColumn("label", F.lit(c))
+        t = run_methods(spark, load_task(spark, sf_dir, f"kernel_given_{c}"), 100, methods=("history",)).withColumn("label", F.lit(c))
         out = t if out is None else out.unionByName(t)
     return out
 
