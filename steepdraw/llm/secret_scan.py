@@ -103,7 +103,7 @@ def scan_unseen(versions: DataFrame, ledger: DataFrame | None = None, rules: tup
 def join_back(versions: DataFrame, ledger: DataFrame, rule_version: str = RULE_VERSION, key: str = "doc_id") -> DataFrame:
     """Spans of every path, from the ledger."""
     addressed = versions.select(F.col(key), F.sha2(F.encode(F.coalesce("text", F.lit("")), "UTF-8"), 256).alias("blob"))
-    known = ledger.where((F.col("rule_version") == rule_version) & (F.size("spans") > 0)).select("blob", "spans")
+    known = ledger.where((F.col("rule_version") == rule_version) & (F.size("spans") > 0)).select("blob", "spans").dropDuplicates(["blob"])  # an append that was retried repeats its rows
     return addressed.join(known, "blob", "left").select(key, "blob", F.coalesce("spans", F.array().cast(_SPAN)).alias("spans"))
 
 
