@@ -139,7 +139,8 @@ def test_rules_and_model(spark):
 
 
 def test_codec_equals_the_library(spark, small):
-    tokenizers = pytest.importorskip("tokenizers")
+    import tokenizers
+
     path = registry.tokenizer_path()
     own, lib = bpe.Codec(path), tokenizers.Tokenizer.from_file(path)
     lib.no_truncation()
