@@ -31,7 +31,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
-from .common import materialise
+from .common import broadcast_if, materialise
 
 ACCURACY = 0.005
 GROWTH = (1 + ACCURACY) / (1 - ACCURACY)
@@ -122,7 +122,8 @@ def thresholds(measured: DataFrame) -> DataFrame:
     whole = _fences(own).select(F.col("measure").alias("measure__"), F.col("fence").alias("by_all"))
     wide = group.join(lang, F.col("lang").eqNullSafe(F.col("lang_")) & (F.col("measure") == F.col("measure_"))).join(whole, F.col("measure") == F.col("measure__"))
     named = F.struct("measure", F.coalesce("by_group", "by_lang", "by_all").alias("fence"))
-    return wide.groupBy(F.col("lang").alias("group_lang"), F.col("source").alias("group_source")).agg(F.map_from_entries(F.collect_list(named)).alias("fences"))
+    each = wide.groupBy(F.col("lang").alias("group_lang"), F.col("source").alias("group_source")).agg(F.map_from_entries(F.collect_list(named)).alias("fences"))
+    return broadcast_if(materialise(each, "fences"), 400)
 
 
 def judge(measured: DataFrame, fences: DataFrame) -> DataFrame:
