@@ -68,11 +68,20 @@ def user_lengths(events: DataFrame) -> DataFrame:
 
 
 def run_available(df: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Everything available now into a memory table; checkpointed, so a restart goes on."""
-    spark = df.sparkSession
-    query = df.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", scratch(spark, f"stream-{name}")).trigger(availableNow=True).start()
+    """Everything available now, written by the tasks to files; checkpointed, so a restart goes on.
+
+    Complete results replace those of the batch before, others go into a folder for each batch, which
+    a replayed batch overwrites.
+    """
+    spark, path = df.sparkSession, scratch(df.sparkSession, f"rows-{name}")
+    spark.createDataFrame([], df.schema).write.parquet(f"{path}/0")  # there may be no batch
+
+    def keep(rows: DataFrame, batch_id: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{path}/{0 if mode == 'complete' else batch_id + 1}")
+
+    query = df.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", scratch(spark, f"stream-{name}")).trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.table(name)
+    return spark.read.schema(df.schema).option("recursiveFileLookup", "true").parquet(path)
 
 
 class PrequentialTrainer:

@@ -51,6 +51,17 @@ def test_repeats_within_the_watermark_are_dropped(spark, tmp_path):
     assert online.run_available(online.deduplicated(source(spark, data)), "dedup_test", "append").count() == 2
 
 
+def test_results_of_streams_lie_in_files_not_on_the_driver(spark, tmp_path):
+    data = f"file://{tmp_path}/data"
+    write(spark, data, "a", [event(1, 1, 7), event(2, 2, 8)])
+    write(spark, data, "b", [event(3, 3, 7), event(4, 20, 7)])
+    whole = online.run_available(online.sessions(source(spark, data)), "files_whole")
+    assert whole.inputFiles() and sorted((r.user_id, r.n) for r in whole.collect()) == [(7, 1), (7, 2), (8, 1)]
+    each = online.run_available(online.user_lengths(source(spark, data)), "files_each", "update")
+    assert each.inputFiles() and sorted((r.user_id, r.visits) for r in each.collect()) == [(7, 1), (7, 3), (8, 1)]
+    assert online.run_available(source(spark, data).where("user_id = 9"), "files_none", "append").count() == 0
+
+
 def test_trainer_is_replayed_exactly(spark):
     rng = np.random.default_rng(0)
     rows = [(i, [float(v) for v in x], float(x @ [1.0, -2.0])) for i, x in enumerate(rng.standard_normal((200, 2)))]
