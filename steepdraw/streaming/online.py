@@ -53,18 +53,33 @@ def follow_ups(clicks: DataFrame, purchases: DataFrame, within: str = "1 hour")
     return a.join(b, F.expr(f"u1 = u2 AND t2 >= t1 AND t2 <= t1 + INTERVAL {within}"))
 
 
+MOST = (1 << 63) - 1  # stands for a missing time or id, which SQL orders last
+
+
 def user_lengths(events: DataFrame) -> DataFrame:
-    """Latest value and number of visits of each user, kept as state across batches."""
+    """Latest value and number of visits of each user, kept as state across batches.
+
+    The latest is the row with the greatest (ts, event_id) that has a value, in whatever order and
+    pieces the rows of a user arrive.
+    """
 
     def update(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        n, last = state.get if state.exists else (0, 0.0)
+        n, at, event, last = state.get if state.exists else (0, None, None, None)
         for pdf in batches:
-            pdf = pdf.sort_values(["ts", "event_id"])
-            n, last = n + len(pdf), float(pdf["value"].iloc[-1])
-        state.update((n, last))
-        yield pd.DataFrame({"user_id": [key[0]], "visits": [n], "magnitude": [last]})
-
-    return events.groupBy("user_id").applyInPandasWithState(update, "user_id long, visits long, magnitude double", "visits long, magnitude double", "update", "NoTimeout")
+            n += len(pdf)
+            known = np.flatnonzero(pdf["known"].to_numpy())
+            if len(known):
+                when, ids = pdf["at"].to_numpy()[known], pdf["event_id"].to_numpy()[known]
+                top = np.lexsort((ids, when))[-1]
+                found = int(when[top]), int(ids[top])
+                if at is None or found >= (at, event):
+                    (at, event), last = found, float(pdf["value"].to_numpy()[known[top]])
+        state.update((n, at, event, last))
+        yield pd.DataFrame({"user_id": pd.array([key[0]], dtype="Int64"), "visits": [n], "magnitude": pd.array([last], dtype="Float64")})
+
+    at = F.coalesce(F.unix_micros(F.col("ts").cast("timestamp")), F.lit(MOST))
+    own = events.select("user_id", at.alias("at"), F.coalesce("event_id", F.lit(MOST)).alias("event_id"), "value", F.col("value").isNotNull().alias("known"))
+    return own.groupBy("user_id").applyInPandasWithState(update, "user_id long, visits long, magnitude double", "visits long, at long, event long, magnitude double", "update", "NoTimeout")
 
 
 def run_available(df: DataFrame, name: str, mode: str = "complete") -> DataFrame:

@@ -45,6 +45,19 @@ def test_state_is_kept_between_batches(spark, tmp_path):
     assert last == {7: (2, 5.0), 8: (1, 3.0)}
 
 
+def test_latest_value_in_any_order_and_pieces(spark, tmp_path):
+    data = f"file://{tmp_path}/data"
+    write(spark, data, "a", [event(1, 9, 7, 9.0), event(2, 3, 7, 3.0), event(3, 1, 7, 1.0), event(4, 12, 7, None), event(5, 1, 8, None), event(6, 1, None, 4.0)])
+    write(spark, data, "b", [event(7, 5, 7, 5.0)])  # older than what has been seen
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1")
+    try:
+        out = online.run_available(online.user_lengths(source(spark, data)), "order_test", "update").collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    last = {r.user_id: (r.visits, r.magnitude) for r in sorted(out, key=lambda r: r.visits)}
+    assert last == {7: (5, 9.0), 8: (1, None), None: (1, 4.0)}
+
+
 def test_repeats_within_the_watermark_are_dropped(spark, tmp_path):
     data = f"file://{tmp_path}/data"
     write(spark, data, "a", [event(1, 1), event(1, 1), event(2, 1)])
