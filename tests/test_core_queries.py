@@ -47,3 +47,9 @@ def test_filters_and_columns_reach_the_scan(spark, tiny):
 @pytest.mark.parametrize("name", ["train_history_trace", "train_staged_trace", "train_identical_trace", "distributed_modes", "staging_ablation"])
 def test_traces_run(spark, tiny, name):
     assert registry.queries()[name](spark, tiny).count() > 0
+
+
+def test_recursion_starts_from_a_table(spark, tiny):
+    rows = registry.queries()["cte_recursive"](spark, tiny).where("k = 12").collect()
+    goal = {r[0]: r[1] for r in spark.read.parquet(f"{tiny}/lineitem.parquet").groupBy("l_returnflag").avg("l_discount").collect()}
+    assert {r.l_returnflag: r.w for r in rows} == {f: pytest.approx(g * (1 - 0.5**11), abs=1e-9) for f, g in goal.items()}
