@@ -53,3 +53,8 @@ def test_recursion_starts_from_a_table(spark, tiny):
     rows = registry.queries()["cte_recursive"](spark, tiny).where("k = 12").collect()
     goal = {r[0]: r[1] for r in spark.read.parquet(f"{tiny}/lineitem.parquet").groupBy("l_returnflag").avg("l_discount").collect()}
     assert {r.l_returnflag: r.w for r in rows} == {f: pytest.approx(g * (1 - 0.5**11), abs=1e-9) for f, g in goal.items()}
+
+
+def test_minibatch_uniforms_are_drawn_for_rows_of_a_table(spark, tiny):
+    df = registry.queries()["udtf_draw_minibatch"](spark, tiny)
+    assert df.inputFiles() and df.count() == 64 * spark.read.parquet(f"{tiny}/supplier.parquet").count()
