@@ -58,3 +58,10 @@ def test_recursion_starts_from_a_table(spark, tiny):
 def test_minibatch_uniforms_are_drawn_for_rows_of_a_table(spark, tiny):
     df = registry.queries()["udtf_draw_minibatch"](spark, tiny)
     assert df.inputFiles() and df.count() == 64 * spark.read.parquet(f"{tiny}/supplier.parquet").count()
+
+
+def test_length_costs_are_timed_on_all_rows_of_a_table(spark, tiny):
+    df = registry.queries()["length_cost_timed"](spark, tiny)
+    rows = df.collect()
+    assert df.inputFiles() and sorted((r.outputs, r.inputs) for r in rows) == [(10, 64), (32, 64), (128, 128), (256, 512)]
+    assert {r.rows for r in rows} == {spark.read.parquet(f"{tiny}/embeddings.parquet").count()} and all(r.timed > 0 for r in rows)
