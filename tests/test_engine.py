@@ -231,3 +231,14 @@ def test_augmented_copies_are_spread_over_tasks_and_follow_their_definition(spar
         x = np.array([e + (C.py_uniform("jitter", v, c, i) - 0.5) * 0.02 for i, e in enumerate(given[v])])
         x = np.roll(x, c % 4)
         assert np.allclose(r.features, x / np.sqrt(x @ x), rtol=0, atol=1e-14)
+
+
+def test_greatest_values_are_those_of_a_full_sort(monkeypatch):
+    values = [RNG.integers(0, 5, 200).astype(float), RNG.standard_normal(200), np.zeros(50), np.array([np.nan, 2.0, np.nan, 3.0, 2.0]), np.array([-np.inf, np.inf, 0.0])]
+    for v in values:
+        for b in (1, 2, 3, 16, 500):
+            assert local.greatest(v, b).tolist() == np.lexsort((np.arange(len(v)), -v))[:b].tolist()
+    x, y = rows(60)
+    whole = lambda *a, **k: pytest.fail("all rows were sorted")
+    monkeypatch.setattr(local.np, "lexsort", whole)
+    local.run_steps(Linear("logistic", 4), x, y, np.zeros(4), method="infogain", steps=2, batch=5, rule=constant(0.1))
