@@ -242,3 +242,25 @@ def test_greatest_values_are_those_of_a_full_sort(monkeypatch):
     whole = lambda *a, **k: pytest.fail("all rows were sorted")
     monkeypatch.setattr(local.np, "lexsort", whole)
     local.run_steps(Linear("logistic", 4), x, y, np.zeros(4), method="infogain", steps=2, batch=5, rule=constant(0.1))
+
+
+def test_block_draws_search_running_sums_and_join_no_row_with_all_targets(spark):
+    mass = [None if i % 11 == 0 else 0.0 if i % 7 == 0 else float(i % 5) + 0.1 for i in range(400)]
+    df = spark.createDataFrame([(f"{i:04d}", i % 3, m) for i, m in enumerate(mass)], "instance_id string, shard int, m double")
+    out = D.block_draw(df, "m", 50, 4, range(8, 12))
+    assert "Join" not in out._jdf.queryExecution().optimizedPlan().toString()
+    sums = [sum(m or 0.0 for m in mass[s::3]) for s in range(3)]
+    got = {(r.step, r.draw_no): r for r in out.collect()}
+    assert len(got) == 200
+    for (t, j), r in got.items():
+        left = C.py_uniform(4, t, j) * sum(sums)
+        shard = int(np.searchsorted(np.cumsum(sums), left, side="right"))
+        inside = np.cumsum([m or 0.0 for m in mass[shard::3]])
+        want = shard + 3 * int(np.searchsorted(inside, left - sum(sums[:shard]), side="right"))
+        assert int(r.instance_id) == want and r.prob == pytest.approx(mass[want] / sum(sums))
+
+
+def test_block_uniforms_equal_single_ones():
+    for seed, first, steps, count in ((11, 1, 12, 130), (7, 999_995, 9, 3), ("x" * 60, 5, 3, 12)):
+        want = [[C.py_uniform(seed, t, j) for j in range(count)] for t in range(first, first + steps)]
+        assert C.block_uniforms(seed, first, steps, count).tolist() == want
