@@ -264,3 +264,34 @@ def test_block_uniforms_equal_single_ones():
     for seed, first, steps, count in ((11, 1, 12, 130), (7, 999_995, 9, 3), ("x" * 60, 5, 3, 12)):
         want = [[C.py_uniform(seed, t, j) for j in range(count)] for t in range(first, first + steps)]
         assert C.block_uniforms(seed, first, steps, count).tolist() == want
+
+
+def test_many_rows_are_drawn_and_changed_without_a_pass_over_all(monkeypatch):
+    m = RNG.uniform(0, 1, 70_001) ** 3
+    tree, u = local.Mixture(m, 0.2), np.append(RNG.uniform(0, 1, 20_000), [0.0, 1.0])
+    for _ in range(2):
+        p = local.probabilities(tree.magnitude, 0.2)
+        drawn, prob = tree.draw(u)
+        assert (drawn == local.draw(p, u)).all() and np.allclose(prob, p[drawn], rtol=1e-12)
+        own = np.append(RNG.integers(0, 70_001, 3000), [70_000, 5, 5])
+        tree.put(own, RNG.uniform(0, 9, len(own)))
+        tree.refresh()
+    x, y = rows(70_001)
+    run = lambda: local.run_steps(Linear("logistic", 4), x, y, np.zeros(4), method="history", steps=40, batch=16, redraw_every=8, rule=constant(0.5), seed=3, eval_every=40, measure_variance=False)
+    monkeypatch.setattr(local, "TREE_ROWS", 1 << 30)
+    whole = run()
+    monkeypatch.setattr(local, "TREE_ROWS", 1 << 15)
+    monkeypatch.setattr(local, "probabilities", lambda *a: pytest.fail("all rows were summed again"))
+    few = run()
+    assert np.allclose(whole.w, few.w) and (whole.visits == few.visits).all() and (whole.last_step == few.last_step).all() and np.allclose(whole.magnitude, few.magnitude)
+
+
+def test_a_stage_holds_arrays_and_gives_what_the_plain_loop_gives(spark, tiny):
+    data = _instances(spark, tiny, 300)
+    w, trace, rows, status = T.stage_run(data, Linear("logistic", 5), np.zeros(5), method="history", steps=20, batch=8, rule=constant(0.5), seed=3, eval_every=10, measure_variance=True)
+    pdf = data.toPandas().sort_values("instance_id").reset_index(drop=True)
+    own, held = pdf[~pdf["is_valid"]].reset_index(drop=True), pdf[pdf["is_valid"]]
+    s = local.run_steps(Linear("logistic", 5), *T._matrix(own), np.zeros(5), method="history", steps=20, batch=8, rule=constant(0.5), seed=3, eval_every=10, measure_variance=True, x_valid=T._matrix(held)[0], y_valid=T._matrix(held)[1])
+    assert np.array_equal(w, s.w) and [t["error"] for t in trace] == [t["error"] for t in s.trace]
+    assert {r.instance_id: (r.magnitude, r.visits) for r in rows.collect()} == {i: (m, v) for i, m, v in zip(own["instance_id"], s.magnitude, s.visits, strict=True) if v}
+    assert T.stage_run(data, Linear("logistic", 5), np.zeros(5), method="history", steps=20, batch=8, rule=constant(0.5), seed=3, keep_rows=False)[2] is None
