@@ -295,3 +295,13 @@ def test_a_stage_holds_arrays_and_gives_what_the_plain_loop_gives(spark, tiny):
     assert np.array_equal(w, s.w) and [t["error"] for t in trace] == [t["error"] for t in s.trace]
     assert {r.instance_id: (r.magnitude, r.visits) for r in rows.collect()} == {i: (m, v) for i, m, v in zip(own["instance_id"], s.magnitude, s.visits, strict=True) if v}
     assert T.stage_run(data, Linear("logistic", 5), np.zeros(5), method="history", steps=20, batch=8, rule=constant(0.5), seed=3, keep_rows=False)[2] is None
+
+
+def test_held_out_rows_of_a_subset_stage_are_judged_in_their_own_tasks(spark, tiny, monkeypatch):
+    data = _instances(spark, tiny, 600)
+    given, kept = [], T.stage_run
+    monkeypatch.setattr(T, "stage_run", lambda own, *a, **k: given.append(own.where("is_valid").count()) or kept(own, *a, **k))
+    r = T.staged_history(data, Linear("logistic", 5), 2, subset_rows=100, batch=8, inner_steps=20, step_rule=constant(0.5), seed=2, eval_every=1 << 30)
+    held = data.where("is_valid").toPandas()
+    assert given == [0, 0] and len(held) > 30
+    assert r.trace[-1]["error"] == Linear("logistic", 5).wrong(r.model, *T._matrix(held)).mean()
